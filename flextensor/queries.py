@@ -1,8 +1,10 @@
 """Registered queries of the engine and their SQL twins."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from .operators import relational, tensor_queries
+from .operators.tensor_queries import flagship
 
+_ALL = {**relational.TABLE, **tensor_queries.TABLE}
+QUERIES = {name: f for name, (f, _) in _ALL.items()}
+ORACLES = {name: sql for name, (_, sql) in _ALL.items() if sql is not None}
 
-def flagship(spark, sf_dir):
-    raise NotImplementedError
+__all__ = ["ORACLES", "QUERIES", "flagship"]
