@@ -1,9 +1,9 @@
 """Registered queries of the engine and their SQL twins."""
 
-from .operators import relational, tensor_queries
+from .operators import relational, streaming_queries, tensor_queries
 from .operators.tensor_queries import flagship
 
-_ALL = {**relational.TABLE, **tensor_queries.TABLE}
+_ALL = {**relational.TABLE, **tensor_queries.TABLE, **streaming_queries.TABLE}
 QUERIES = {name: f for name, (f, _) in _ALL.items()}
 ORACLES = {name: sql for name, (_, sql) in _ALL.items() if sql is not None}
 
