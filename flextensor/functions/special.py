@@ -41,7 +41,8 @@ def log_ndtr(x) -> np.ndarray:
     x = np.asarray(x, float)
     a = np.maximum(-x, FAR)
     tail = -0.5 * a * a - 0.5 * LOG_2PI + np.log(_mills(a))
-    return np.where(x < -FAR, tail, np.log(np.maximum(ndtr(np.maximum(x, -FAR)), 1e-300)))
+    low = np.log(ndtr(np.clip(x, -FAR, 0.0)))
+    return np.where(x < -FAR, tail, np.where(x > 0, np.log1p(-ndtr(-np.maximum(x, 0.0))), low))
 
 
 def hazard(x) -> np.ndarray:
