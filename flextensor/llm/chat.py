@@ -25,7 +25,8 @@ from pyspark.sql import functions as F
 
 Turns = list[tuple[str, str]]
 # fixed values: control strings of common chat templates
-CONTROL = re.compile(r"<\|(?=.)|<\|$|\|>|</?s>|\[/?INST\]|<</?SYS>>|<(?:bos|eos|start_of_turn|end_of_turn)>", re.S)
+CONTROL = re.compile(r"<\||\|>|</?s>|\[/?INST\]|<</?SYS>>|<(?:bos|eos|start_of_turn|end_of_turn)>")
+STARTS = re.compile(rf"(?={CONTROL.pattern})(.)")
 TURN = re.compile(r"<\|turn\|>(.*?)<\|text\|>(.*?)<\|end\|>", re.S)
 FULL_PREFIXES, WINDOW = 32, 4
 
@@ -33,7 +34,7 @@ FULL_PREFIXES, WINDOW = 32, 4
 def escape(text: str) -> str:
     if "\\" in text:
         text = text.replace("\\", "\\\\")
-    return CONTROL.sub(lambda m: m[0][0] + "\\" + m[0][1:], text)
+    return STARTS.sub(r"\1\\", text)
 
 
 def unescape(text: str) -> str:
