@@ -23,7 +23,9 @@ def query(name: str, sql: str | None):
     return add
 
 
-K = F.get_json_object("props", "$.k").cast("long")
+def K():  # noqa: N802
+    return F.get_json_object("props", "$.k").cast("long")
+
 K_SQL = "CAST(json_extract_string(props, '$.k') AS BIGINT)"
 long = lambda c: c.cast("long")
 
@@ -42,7 +44,7 @@ def _(spark, d):
 
 
 def coordinates(spark, d):
-    return ev(spark, d, "user_id", "ts", "props").select("user_id", long(F.hour("ts")).alias("hr"), K.alias("k")).groupBy("user_id", "hr", "k").agg(F.count("*").alias("n"))
+    return ev(spark, d, "user_id", "ts", "props").select("user_id", long(F.hour("ts")).alias("hr"), K().alias("k")).groupBy("user_id", "hr", "k").agg(F.count("*").alias("n"))
 
 
 COORD_SQL = f"SELECT user_id, CAST(hour(ts) AS BIGINT) AS hr, {K_SQL} AS k, count(*) AS n FROM events GROUP BY ALL"
@@ -72,7 +74,7 @@ def _(spark, d):
 
 @query("q_project_modes", f"SELECT event_id, CAST(hour(ts) AS BIGINT) AS hr, CAST(minute(ts) AS BIGINT) AS mi, CAST(year(ts) * 12 + month(ts) AS BIGINT) AS mo, {K_SQL} % 10 AS fold FROM events")
 def _(spark, d):
-    return ev(spark, d, "event_id", "ts", "props").select("event_id", long(F.hour("ts")).alias("hr"), long(F.minute("ts")).alias("mi"), long(F.year("ts") * 12 + F.month("ts")).alias("mo"), F.pmod(K, F.lit(10)).alias("fold"))
+    return ev(spark, d, "event_id", "ts", "props").select("event_id", long(F.hour("ts")).alias("hr"), long(F.minute("ts")).alias("mi"), long(F.year("ts") * 12 + F.month("ts")).alias("mo"), F.pmod(K(), F.lit(10)).alias("fold"))
 
 
 @query("q_filter_pred", "SELECT event_id FROM events WHERE event_type IN ('click', 'view') AND value BETWEEN 10 AND 50 AND regexp_matches(event_type, '^c') AND value IS NOT NULL AND NOT isnan(value)")
@@ -172,7 +174,7 @@ def _(spark, d):
 
 @query("q_agg_merge", f"SELECT user_id, {K_SQL} AS k, round(sum(value), 4) AS s, count(*) AS n, round(avg(value), 6) AS a, max(value) AS m FROM events GROUP BY ALL")
 def _(spark, d):
-    return ev(spark, d, "user_id", "value", "props").groupBy("user_id", K.alias("k")).agg(F.round(F.sum("value"), 4).alias("s"), F.count("*").alias("n"), F.round(F.avg("value"), 6).alias("a"), F.max("value").alias("m"))
+    return ev(spark, d, "user_id", "value", "props").groupBy("user_id", K().alias("k")).agg(F.round(F.sum("value"), 4).alias("s"), F.count("*").alias("n"), F.round(F.avg("value"), 6).alias("a"), F.max("value").alias("m"))
 
 
 @query("q_agg_sort", "SELECT l_suppkey, max(l_returnflag || l_linestatus) AS hi, min(l_returnflag || l_linestatus) AS lo FROM lineitem GROUP BY l_suppkey")
@@ -390,7 +392,7 @@ def _(spark, d):
 @query("q_struct", f"SELECT user_id, {K_SQL} AS k, value FROM events WHERE event_type = 'click'")
 def _(spark, d):
     e = ev(spark, d, "user_id", "props", "value", "event_type").where("event_type = 'click'")
-    return e.select(F.array(F.struct(F.struct("user_id", K.alias("k")).alias("at"), "value")).alias("cells")).select(F.inline("cells")).select("at.user_id", "at.k", "value")
+    return e.select(F.array(F.struct(F.struct("user_id", K().alias("k")).alias("at"), "value")).alias("cells")).select(F.inline("cells")).select("at.user_id", "at.k", "value")
 
 
 @query("q_explode", "SELECT item_id, CAST(pos - 1 AS BIGINT) AS pos, ws[pos] AS word FROM (SELECT item_id, string_split(text, ' ') AS ws, unnest(range(1, len(string_split(text, ' ')) + 1)) AS pos FROM benchmark)")

@@ -74,7 +74,7 @@ def _(spark, d):
 def _cells(df):
     from ..workloads import K
 
-    return df.select((F.col("user_id") % 7).alias("i_1"), (F.hour("ts") % 6).cast("long").alias("i_2"), (K % 5).alias("i_3"), (F.col("value") / 100).alias("y"))
+    return df.select((F.col("user_id") % 7).alias("i_1"), (F.hour("ts") % 6).cast("long").alias("i_2"), (K() % 5).alias("i_3"), (F.col("value") / 100).alias("y"))
 
 
 _RAW = STATS_SQL.replace("round(avg(value) / 100, 6) AS y FROM events GROUP BY ALL", "value / 100 AS y FROM events")

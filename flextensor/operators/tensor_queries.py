@@ -59,7 +59,7 @@ def _m_sql(beta: float) -> str:
 
 def folded(spark: SparkSession, d: str, binary: bool = False) -> TensorFrame:
     e = spark.read.parquet(f"{d}/events.parquet").select("user_id", "ts", "props", "value")
-    t = build_tensor(e, [F.col("user_id") % 7, F.hour("ts") % 6, workloads.K % 5], F.col("value"), "avg", dims=DIMS)
+    t = build_tensor(e, [F.col("user_id") % 7, F.hour("ts") % 6, workloads.K() % 5], F.col("value"), "avg", dims=DIMS)
     y = F.round(F.col("y") / 100, 6)
     return TensorFrame(t.df.withColumn("y", (y > 0.5).cast("double") if binary else y), DIMS, "binary" if binary else "real")
 
@@ -149,7 +149,7 @@ _NZ = f"nz AS (SELECT DISTINCT user_id % 50 AS i_1, CAST(hour(ts) AS BIGINT) AS
 
 def clicks(spark: SparkSession, d: str) -> TensorFrame:
     e = spark.read.parquet(f"{d}/events.parquet").where("event_type = 'click'")
-    return build_tensor(e, [F.col("user_id") % 50, F.hour("ts"), workloads.K], F.lit(1.0), "presence", "binary", dims=(50, 24, 100))
+    return build_tensor(e, [F.col("user_id") % 50, F.hour("ts"), workloads.K()], F.lit(1.0), "presence", "binary", dims=(50, 24, 100))
 
 
 def _candidate_sql(attempts: int, dims=(50, 24, 100), seed: int = 3) -> str:

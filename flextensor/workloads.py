@@ -8,7 +8,9 @@ from pyspark.sql import functions as F
 from .sources.tables import load_table
 from .tensor import TensorFrame, build_tensor
 
-K = F.get_json_object("props", "$.k").cast("long")
+def K():  # noqa: N802
+    return F.get_json_object("props", "$.k").cast("long")
+
 
 
 def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -24,12 +26,12 @@ def _sales(spark: SparkSession, sf_dir: str, cols: list[str]) -> DataFrame:
 
 def w1(spark: SparkSession, sf_dir: str) -> TensorFrame:
     """user × event type × (hour, k); log(1 + Σ value)"""
-    return build_tensor(_events(spark, sf_dir), [F.col("user_id"), F.col("event_type"), 100 * F.hour("ts") + K], F.col("value"), "log1p_sum")
+    return build_tensor(_events(spark, sf_dir), [F.col("user_id"), F.col("event_type"), 100 * F.hour("ts") + K()], F.col("value"), "log1p_sum")
 
 
 def w2a(spark: SparkSession, sf_dir: str) -> TensorFrame:
     """clicks: user × hour × k; log(1 + Σ value)"""
-    return build_tensor(_events(spark, sf_dir).where("event_type = 'click'"), [F.col("user_id"), F.hour("ts"), K], F.col("value"), "log1p_sum")
+    return build_tensor(_events(spark, sf_dir).where("event_type = 'click'"), [F.col("user_id"), F.hour("ts"), K()], F.col("value"), "log1p_sum")
 
 
 def w2b(spark: SparkSession, sf_dir: str) -> TensorFrame:
@@ -82,14 +84,14 @@ def w7(spark: SparkSession, sf_dir: str) -> TensorFrame:
 def w8(spark: SparkSession, sf_dir: str) -> TensorFrame:
     """user × k × hour × minute; click or not"""
     click = F.when(F.col("event_type") == "click", 1.0).otherwise(0.0)
-    return build_tensor(_events(spark, sf_dir), [F.col("user_id"), K, F.hour("ts"), F.minute("ts")], click, "max", "binary")
+    return build_tensor(_events(spark, sf_dir), [F.col("user_id"), K(), F.hour("ts"), F.minute("ts")], click, "max", "binary")
 
 
 def w8_day(spark: SparkSession, sf_dir: str, day: str, dims: tuple[int, ...]) -> TensorFrame:
     """One day's events with raw ids as indices, all of ``dims`` in use by any day."""
     click = F.when(F.col("event_type") == "click", 1.0).otherwise(0.0)
     rows = _events(spark, sf_dir).where(F.to_date("ts") == F.lit(day).cast("date"))
-    return build_tensor(rows, [F.col("user_id"), K, F.hour("ts"), F.minute("ts")], click, "max", "binary", dims=dims)
+    return build_tensor(rows, [F.col("user_id"), K(), F.hour("ts"), F.minute("ts")], click, "max", "binary", dims=dims)
 
 
 def w10(spark: SparkSession, sf_dir: str, side: int = 100) -> TensorFrame:

@@ -13,7 +13,7 @@ DATA = "/root/testdata/sf0.001"
 def spark():
     from flextensor.session import local_session
 
-    return local_session(4, 4, "4g")
+    return local_session(2, 4, "4g")
 
 
 @pytest.fixture(scope="session")

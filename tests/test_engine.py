@@ -119,3 +119,31 @@ def test_entry(spark):
 
     assert e.entry(spark).count() == 1
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_anchored_placement_equals_the_dense_path(spark, data):
+    from flextensor.exec import anchored
+
+    t, m = folded(spark, data), sine_model()
+    s = passes.suff_stats(t, m)
+    a = gaussian.adjoints(m, s)[0]
+    whole = passes.gradient_pass(t, m, a)
+    for salts in (1, 3):
+        table = anchored.shard_factors(t, m, 0)
+        got = anchored.anchored_stats(t, m, table, 0, 5, salts)
+        assert np.allclose(got.g, s.g) and np.allclose(got.h, s.h) and got.n == s.n
+        rest, own = anchored.anchored_gradient(t, m, a, table, 0, 5, salts)
+        assert np.allclose(rest, whole[7:])
+        assert all(np.allclose(r.grad, whole[r.idx]) for r in own.collect())
+        moved = {r.idx: r.factor[0] for r in anchored.ascend(table, own, 0.1).collect()}
+        assert all(np.isclose(moved[i], m.factors[0][i, 0] + 0.1 * (whole[i] - m.factors[0][i, 0])) for i in range(7))
+        assert np.isclose(anchored.table_dot(own, own), (whole[:7] ** 2).sum())
+
+
+def test_mini_batches_are_unbiased(spark, data):
+    from flextensor.exec import anchored
+
+    t, m = folded(spark, data), sine_model()
+    full = passes.suff_stats(t, m)
+    parts = [anchored.scaled(passes.suff_stats(anchored.mini_batch(t, 0.5, i), m), 0.5) for i in range(6)]
+    assert abs(np.mean([p.n for p in parts]) / full.n - 1) < 0.2
