@@ -90,7 +90,7 @@ def near_terms(text: str, start: int, end: int, reach: int = 200) -> list[tuple[
 
 
 def _near_counts(docs: DataFrame) -> DataFrame:
-    """(term, kind, n): entities with the term near them; the null term counts the entities, kind 'terms' all terms."""
+    """(term, kind, n): entities of each kind with the term near them."""
 
     def run(frames: Iterator[pd.DataFrame]):
         for pdf in frames:
@@ -191,7 +191,7 @@ class Sanitiser:
 
 
 def _fit(docs: DataFrame, generalise: float, most: int):
-    """The disclosing terms: a broadcast dictionary up to ``most`` of them, the strongest class beyond raises the threshold for none: see sanitise_documents."""
+    """(disclosing terms, whether there are few enough to broadcast)"""
     terms = cut_lineage(disclosing_terms(docs, generalise=generalise))
     return terms, terms.count() <= most
 
@@ -203,7 +203,7 @@ def _apply(docs: DataFrame, terms: DataFrame, small: bool, remove: float, row, s
         def run(frames):
             tool = Sanitiser(known.value, remove)
             for pdf in frames:
-                yield pd.DataFrame([row(tool, d, t or "", None) for d, t in zip(pdf["doc_id"], pdf["text"], strict=True)], columns=[c.split()[0] for c in schema.split(", ")])
+                yield pd.DataFrame([row(tool, d, t or "") for d, t in zip(pdf["doc_id"], pdf["text"], strict=True)], columns=[c.split()[0] for c in schema.split(", ")])
 
         return docs.mapInPandas(run, schema)
 
@@ -218,7 +218,7 @@ def _apply(docs: DataFrame, terms: DataFrame, small: bool, remove: float, row, s
     def run_joined(frames):
         for pdf in frames:
             tools = [Sanitiser({(r["term"], r["kind"]): r["disclosure"] for r in x} if x is not None else {}, remove) for x in pdf["terms"]]
-            yield pd.DataFrame([row(s, d, t or "", None) for s, d, t in zip(tools, pdf["doc_id"], pdf["text"], strict=True)], columns=[c.split()[0] for c in schema.split(", ")])
+            yield pd.DataFrame([row(s, d, t or "") for s, d, t in zip(tools, pdf["doc_id"], pdf["text"], strict=True)], columns=[c.split()[0] for c in schema.split(", ")])
 
     return docs.join(own, "doc_id", "left").mapInPandas(run_joined, schema)
 
@@ -226,7 +226,7 @@ def _apply(docs: DataFrame, terms: DataFrame, small: bool, remove: float, row, s
 def find_personal_data(docs: DataFrame, generalise: float = 0.5, remove: float = 0.9, most_broadcast: int = 500_000) -> DataFrame:
     """Per document the counts, digest and list of spans of personal data."""
 
-    def row(tool: Sanitiser, doc, text: str, _):
+    def row(tool: Sanitiser, doc, text: str):
         base, extra = tool.spans(text)
         text_of = lambda spans: ",".join(f"{k}:{s}:{e}" for k, s, e in spans)
         n = Counter(k for k, _, _ in base)
@@ -242,4 +242,4 @@ def sanitise_documents(docs: DataFrame, generalise: float = 0.5, remove: float =
     """(doc_id, text) with entities and revealing terms generalised to a class or removed."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     terms, small = _fit(docs.select("text"), generalise, most_broadcast)
-    return _apply(docs, terms, small, remove, lambda tool, doc, text, _: (doc, tool.clean(text)), "doc_id long, text string")
+    return _apply(docs, terms, small, remove, lambda tool, doc, text: (doc, tool.clean(text)), "doc_id long, text string")
