@@ -7,9 +7,10 @@ fragment is counted on its own and partial counts are summed, first per document
 2. Two sets that reach the threshold share ``t`` of their first ``n - ceil(threshold n) + t`` shingles in any global
    order. Each fragment counts, per node, which of those prefix shingles another node has as well; nodes whose sum
    is under t for the smallest partner they may have are linked with nothing. Ordinary documents end here.
-3. Among the nodes left, every shared prefix shingle links its nodes to the smallest of them; pairs whose partial
-   counts sum to t are verified on whole sets, fragment by fragment. Connected components of these links follow.
-4. Prefix shingles whose nodes are still in several components give the pairs across components, counted and
+3. The sets of the nodes left are packed by fragment, once. Every shared prefix shingle links its nodes to the
+   smallest of them. Pairs that share, in some fragment, that fragment's part of t are candidates; each fragment
+   counts its part of their overlap and the parts are summed per pair. Connected components of these links follow.
+4. Prefix shingles whose nodes are still in several components give the pairs across components, chosen and
    verified likewise: so no link that could join two components is missed, and no pair inside one is ever made.
 
 Defined results: null, empty and blank texts have no shingle and are their own component; repeated rows of one
@@ -31,8 +32,9 @@ from ..session import cut_lineage
 from .common import mix, shingle_sets, slices, utf8
 
 FRAGMENT_ROWS = 1_500_000  # prefix shingles in one fragment's task
-VERIFY_CUTS = 4  # fragments of a verified set
 BROADCAST_NODES = 2_000_000
+BROADCAST_PAIRS = 2_000_000
+PREFIX_SPAN = 0.42  # prefixes of all but short texts end below this part of the hash range
 
 
 def shared_at_least(n, extra: float = 0.1):
@@ -80,7 +82,7 @@ def _fragment_rows(docs: DataFrame, k: int, percent: int, cuts: int) -> DataFram
                 continue
             h = np.concatenate([sets[i][: take[i]] for i in once])
             owner = np.repeat(once, take[once])
-            frag = ((h >> np.uint64(32)) * np.uint64(cuts)) >> np.uint64(32)
+            frag = np.minimum((h / 2.0**64 * (cuts / PREFIX_SPAN)).astype(np.int64), cuts - 1)
             order = np.argsort(frag, kind="stable")
             h, owner, frag = h[order], owner[order], frag[order]
             at = np.flatnonzero(np.r_[True, frag[1:] != frag[:-1]])
@@ -109,8 +111,10 @@ def _shared_in_fragment(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"digest": u, "n": np.array([pairs[x] for x in u.tolist()], np.int64), "shared": c.astype(np.int64)})
 
 
-def _kept_sets(docs: DataFrame, k: int, keep) -> DataFrame:
-    """(d, n, hashes sorted) of the documents in ``keep`` (a broadcast sorted id array) or, where it is None, of all."""
+def _packed_sets(docs: DataFrame, k: int, percent: int, keep, cuts: int) -> DataFrame:
+    """(frag, ids, ns, skips, counts, hashes): whole sets of the documents in ``keep`` (a broadcast sorted id array; None: all),
+    packed by fragment. ``skips`` counts a document's hashes in earlier fragments, ``lasts`` is the fragment in which its prefix ends. A third column of ``docs`` is packed as ``labels``."""
+    labelled = len(docs.columns) > 2
 
     def run(batches):
         for whole in batches:
@@ -121,22 +125,182 @@ def _kept_sets(docs: DataFrame, k: int, keep) -> DataFrame:
                     b = b.filter(pa.array(keep.value[np.minimum(at, len(keep.value) - 1)] == ids))
                     if not b.num_rows:
                         continue
+                ids = b.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
                 sets = shingle_sets(*utf8(b.column(1)), k)
-                flat = np.concatenate(sets).view(np.int64)
-                ends = np.cumsum([0, *map(len, sets)]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([b.column(0).cast(pa.int64()), pa.array(np.diff(ends).astype(np.int64)), pa.ListArray.from_arrays(ends, flat)], ["d", "n", "hashes"])
-
-    return docs.mapInArrow(run, "d long, n long, hashes array<long>")
-
-
-def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) that reach the threshold: partial overlaps of each fragment, summed per pair."""
-    cut = lambda i: F.filter("hashes", lambda x: F.pmod(F.shiftrightunsigned(x, 40), F.lit(VERIFY_CUTS)) == i)
-    parts = sets.select("d", "n", F.posexplode(F.array(*[cut(i) for i in range(VERIFY_CUTS)])).alias("frag", "part"))
-    left = parts.select(F.col("d").alias("a"), F.col("n").alias("na"), "frag", F.col("part").alias("pa"))
-    right = parts.select(F.col("d").alias("b"), F.col("n").alias("nb"), "frag", F.col("part").alias("pb"))
-    counted = pairs.join(left, "a").join(right, ["b", "frag"]).groupBy("a", "b", "na", "nb").agg(F.sum(F.size(F.array_intersect("pa", "pb"))).alias("o"))
-    return counted.where(100 * F.col("o") >= percent * (F.col("na") + F.col("nb") - F.col("o"))).select("a", "b")
+                n = np.array([len(x) for x in sets], np.int64)
+                own = b.column(2).to_numpy(zero_copy_only=False).astype(np.int64) if labelled else ids
+                bounds = np.concatenate([[0], (np.arange(1, cuts, dtype=object) * (1 << 64) // cuts)]).astype(np.uint64)
+                ends = np.stack([np.append(np.searchsorted(x, bounds[1:]), len(x)) for x in sets], 1) if len(sets) else np.zeros((cuts, 0), np.int64)
+                starts = np.vstack([np.zeros((1, len(sets)), np.int64), ends[:-1]])
+                last = np.array([int(np.searchsorted(bounds, x[prefix_length(len(x), percent) - 1], "right")) - 1 if len(x) else 0 for x in sets], np.int64)
+                columns: list[list] = [[] for _ in range(8)]
+                for f in range(cuts):
+                    some = np.flatnonzero(ends[f] > starts[f])
+                    if len(some):
+                        hashes = np.concatenate([sets[i][starts[f, i] : ends[f, i]] for i in some])
+                        for col, x in zip(columns, (f, ids[some], n[some], starts[f, some], (ends - starts)[f, some], hashes, own[some], last[some]), strict=True):
+                            col.append(x if isinstance(x, int) else x.tobytes())
+                yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int32()), *(pa.array(c, pa.binary()) for c in columns[1:])], ["frag", "ids", "ns", "skips", "counts", "hashes", "labels", "lasts"])
+
+    return docs.mapInArrow(run, "frag int, ids binary, ns binary, skips binary, counts binary, hashes binary, labels binary, lasts binary")
+
+
+class Fragment:
+    """One fragment of the kept sets: documents in the order of their ids, their hashes sorted within each."""
+
+    def __init__(self, frag: int, rows: list[dict], percent: int):
+        col = lambda c, t: np.concatenate([np.frombuffer(r[c], t) for r in rows])
+        ids, ns, skips, counts, labels, lasts = (col(c, np.int64) for c in ("ids", "ns", "skips", "counts", "labels", "lasts"))
+        hashes = col("hashes", np.uint64)
+        first = np.cumsum(counts) - counts
+        self.ids, take = np.unique(ids, return_index=True)
+        self.n, self.count, self.label, self.last = ns[take], counts[take], labels[take], lasts[take]
+        self.owner = np.repeat(np.arange(len(take)), self.count)
+        inside = np.arange(len(self.owner)) - np.repeat(np.cumsum(self.count) - self.count, self.count)
+        self.h = hashes[np.repeat(first[take], self.count) + inside]
+        self.prefix = np.repeat(skips[take], self.count) + inside < np.repeat(prefix_length(self.n, percent), self.count)
+        self.frag, self.percent = frag, percent
+
+    def lists(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(owners, start, size) of the lists of prefix hashes that several documents share; owners ascend in each."""
+        h, d = self.h[self.prefix], self.owner[self.prefix]
+        order = np.lexsort((d, h))
+        h, d = h[order], d[order]
+        if not len(h):
+            return d, np.zeros(0, np.int64), np.zeros(0, np.int64)
+        at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+        size = np.diff(np.r_[at, len(h)])
+        return d, at[size > 1], size[size > 1]
+
+    def candidates(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        """Shared prefix hashes (x, y) of pairs of fitting sizes, as x * documents + y."""
+        fits = 100 * np.minimum(self.n[x], self.n[y]) >= self.percent * np.maximum(self.n[x], self.n[y])
+        return x[fits] * len(self.ids) + y[fits]
+
+    def enough(self, code: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(x, y) of pairs whose count here is this fragment's part of t: the t shared prefix hashes lie in the fragments up
+        to the end of the shorter prefix, so one of these holds at least its part."""
+        x, y = code // len(self.ids), code % len(self.ids)
+        good = count * (np.minimum(self.last[x], self.last[y]) + 1) >= shared_at_least(np.minimum(self.n[x], self.n[y]))
+        return x[good], y[good]
+
+
+def _each_fragment(rows: Iterator[pd.DataFrame], percent: int) -> Iterator[Fragment]:
+    by: dict[int, list[dict]] = {}
+    for pdf in rows:
+        for r in pdf.to_dict("records"):
+            by.setdefault(int(r["frag"]), []).append(r)
+    for f in sorted(by):
+        yield Fragment(f, by.pop(f), percent)
+
+
+def _star_pairs(packed: DataFrame, percent: int) -> DataFrame:
+    """(a, b): every shared prefix hash links its documents to the smallest of them."""
+
+    def run(rows):
+        for f in _each_fragment(rows, percent):
+            d, at, size = f.lists()
+            rest = np.repeat(at + 1 - np.r_[0, np.cumsum(size - 1)[:-1]], size - 1) + np.arange((size - 1).sum()) if len(at) else np.zeros(0, np.int64)
+            x, y = f.enough(*np.unique(f.candidates(np.repeat(d[at], size - 1), d[rest]), return_counts=True))
+            yield pd.DataFrame({"a": f.ids[x], "b": f.ids[y]})
+
+    return packed.mapInPandas(run, "a long, b long").distinct()
+
+
+MOST_CODES = 4_000_000
+
+
+def _cross_pairs(packed: DataFrame, percent: int, labels) -> DataFrame:
+    """(a, b): all pairs with different labels that share a prefix hash and may reach the threshold."""
+
+    def run(rows):
+        for f in _each_fragment(rows, percent):
+            if labels is not None:
+                known, label = labels.value
+                at = np.minimum(np.searchsorted(known, f.ids), max(0, len(known) - 1))
+                f.label = np.where(known[at] == f.ids, label[at], f.ids) if len(known) else f.ids
+            d, at, size = f.lists()
+            mine = f.label[d]
+            if len(at):
+                span = np.repeat(at - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum())
+                low = np.minimum.reduceat(mine[span], np.r_[0, np.cumsum(size)[:-1]])
+                high = np.maximum.reduceat(mine[span], np.r_[0, np.cumsum(size)[:-1]])
+                at, size = at[low < high], size[low < high]
+            # counts of pairs merge as they grow, so memory follows the pairs, not their shared hashes
+            held: dict[str, np.ndarray] = {"code": np.zeros(0, np.int64), "count": np.zeros(0, np.int64)}
+            fresh: list[np.ndarray] = []
+            waiting = 0
+
+            def merge() -> None:
+                code, count = np.unique(np.concatenate(fresh), return_counts=True) if fresh else (np.zeros(0, np.int64), np.zeros(0, np.int64))
+                fresh.clear()
+                both, inv = np.unique(np.concatenate([held["code"], code]), return_inverse=True)
+                held["code"], held["count"] = both, np.bincount(inv, np.concatenate([held["count"], count]), len(both)).astype(np.int64)
+
+            for m in np.unique(size):
+                starts = at[size == m]
+                i, j = (np.triu_indices(m, 1) if m <= 512 else (None, None))
+                step = max(1, 2_000_000 // (m * m))
+                for lo in range(0, len(starts), step):
+                    block = d[starts[lo : lo + step, None] + np.arange(m)]
+                    if i is not None:
+                        pieces = [(block[:, i].ravel(), block[:, j].ravel())]
+                    else:
+                        pieces = ((np.full(m - 1 - r, one[r]), one[r + 1 :]) for one in block for r in range(m - 1))
+                    for x, y in pieces:
+                        differ = f.label[x] != f.label[y]
+                        fresh.append(f.candidates(x[differ], y[differ]))
+                        waiting += len(fresh[-1])
+                        if waiting > MOST_CODES:
+                            merge()
+                            waiting = 0
+            merge()
+            x, y = f.enough(held["code"], held["count"])
+            yield pd.DataFrame({"a": f.ids[x], "b": f.ids[y]})
+
+    return packed.mapInPandas(run, "a long, b long").distinct()
+
+
+def _verified(packed: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
+    """The pairs that reach the threshold: each fragment counts its part of the overlap, the parts are summed per pair.
+    Pairs are broadcast in portions of bounded size."""
+    sc = pairs.sparkSession.sparkContext
+    portions = max(1, -(-pairs.count() // BROADCAST_PAIRS))
+    out = None
+    for i in range(portions):
+        some = pairs.where(F.pmod(F.xxhash64("a", "b"), F.lit(portions)) == i) if portions > 1 else pairs
+        both = some.toPandas()
+        a, b = both["a"].to_numpy(np.int64), both["b"].to_numpy(np.int64)
+        shared = sc.broadcast((a, b))
+
+        def run(rows):  # noqa: B023
+            a, b = shared.value
+            for f in _each_fragment(rows, percent):
+                x, y = np.searchsorted(f.ids, a), np.searchsorted(f.ids, b)
+                x, y = np.minimum(x, len(f.ids) - 1), np.minimum(y, len(f.ids) - 1)
+                here = np.flatnonzero((f.ids[x] == a) & (f.ids[y] == b))
+                x, y = x[here], y[here]
+                _, rank = np.unique(f.h, return_inverse=True)
+                most = int(rank.max()) + 1
+                table = f.owner * most + rank  # ascending: documents in order, hashes sorted in each
+                first = np.cumsum(f.count) - f.count
+                got = np.zeros(len(here), np.int64)
+                sizes = np.cumsum(f.count[x])
+                lo = 0
+                while lo < len(x):  # portions of pairs of a bounded number of hashes
+                    hi = max(lo + 1, int(np.searchsorted(sizes, (sizes[lo - 1] if lo else 0) + 2_000_000)))
+                    c = f.count[x[lo:hi]]
+                    at = np.repeat(first[x[lo:hi]] - (np.cumsum(c) - c), c) + np.arange(c.sum())
+                    want = np.repeat(y[lo:hi], c) * most + rank[at]
+                    spot = np.minimum(np.searchsorted(table, want), len(table) - 1)
+                    got[lo:hi] = np.bincount(np.repeat(np.arange(hi - lo), c), table[spot] == want, hi - lo)
+                    lo = hi
+                yield pd.DataFrame({"a": a[here], "b": b[here], "na": f.n[x], "nb": f.n[y], "o": got})
+
+        part = packed.mapInPandas(run, "a long, b long, na long, nb long, o long")
+        part = part.groupBy("a", "b", "na", "nb").agg(F.sum("o").alias("o")).where(100 * F.col("o") >= percent * (F.col("na") + F.col("nb") - F.col("o"))).select("a", "b")
+        out = part if out is None else out.unionByName(part)
+    return cut_lineage(out)
 
 
 def connected_components(edges: DataFrame) -> DataFrame:
@@ -158,50 +322,42 @@ def _t(n):
     return F.greatest(F.lit(1), F.floor(n * 0.1).cast("long"))
 
 
-def _pair_counts(members: DataFrame, percent: int) -> DataFrame:
-    """Candidate pairs (a, b) from (a, b, na, nb), one row per shared prefix shingle."""
-    fits = (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & (F.col("a") != F.col("b"))
-    return members.where(fits).groupBy("a", "b", "na", "nb").agg(F.count("*").alias("c")).where(F.col("c") >= _t(F.least("na", "nb"))).select("a", "b")
-
-
 def similarity_components(docs: DataFrame, percent: int = 75, k: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id): one row per row of ``docs``."""
     spark = docs.sparkSession
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     table = cut_lineage(shingle_table(docs, k))
     total = table.agg(F.sum("n").alias("s")).first().s or 0
-    per_doc = table.where("n > 0").groupBy("digest", "doc_id").agg(F.count("*").alias("c"), F.first("n").alias("n"))
-    nodes = cut_lineage(per_doc.groupBy("digest").agg(F.min(F.struct("doc_id", "c")).alias("m"), F.first("n").alias("n")).select("digest", F.col("m.doc_id").alias("d"), F.col("m.c").alias("c")))
+    nodes = table.where("n > 0").groupBy("digest").agg(F.min("doc_id").alias("d"))
 
     fragments = max(8, math.ceil(total * 0.35 / FRAGMENT_ROWS))
     shared = _fragment_rows(docs, k, percent, fragments).groupBy("frag").applyInPandas(_shared_in_fragment, "digest long, n long, shared long")
     least_partner = F.ceil(F.col("n") * percent / 100)
     suspects = shared.groupBy("digest", "n").agg(F.sum("shared").alias("shared")).where(F.col("shared") >= _t(least_partner))
-    keep = cut_lineage(suspects.join(nodes, "digest").select("d", "c"))
-    count, most = keep.agg(F.count("*"), F.max("c")).first()
+    keep = cut_lineage(suspects.join(nodes, "digest").select("d", "n"))
+    count = keep.count()
     if not count:
         labels = None
     else:
-        if count <= BROADCAST_NODES:
+        kept_total = keep.agg(F.sum("n")).first()[0]
+        cuts = max(8, math.ceil(kept_total / FRAGMENT_ROWS))
+        small = count <= BROADCAST_NODES
+        if small:
+            chosen = docs
             ids = spark.sparkContext.broadcast(np.sort(np.array([r.d for r in keep.select("d").toLocalIterator()], np.int64)))
-            sets = _kept_sets(docs, k, ids)
         else:
-            sets = _kept_sets(docs.join(keep.select(F.col("d").alias("doc_id")), "doc_id", "left_semi"), k, None)
-        sets = cut_lineage(sets.dropDuplicates(["d"]) if most > 1 else sets)
-        length = F.least(F.col("n"), F.col("n") - F.ceil(F.col("n") * percent / 100) + _t(F.col("n"))).cast("int")
-        # the global order of the prefix is that of unsigned hashes, in which the arrays are sorted
-        prefix = cut_lineage(sets.select("d", "n", F.explode(F.slice("hashes", F.lit(1), length)).alias("h")))
-        first = prefix.groupBy("h").agg(F.min(F.struct("d", "n")).alias("m"), F.count("*").alias("c")).where("c > 1")
-        stars = prefix.join(first, "h").select(F.col("m.d").alias("a"), F.col("m.n").alias("na"), F.col("d").alias("b"), F.col("n").alias("nb"))
-        links = cut_lineage(_verified(_pair_counts(stars, percent), sets, percent))
+            chosen, ids = docs.join(keep.select(F.col("d").alias("doc_id")), "doc_id", "left_semi"), None
+        packed = cut_lineage(_packed_sets(chosen, k, percent, ids, cuts).repartition("frag"))
+        links = _verified(packed, _star_pairs(packed, percent), percent)
         labels = connected_components(links)
-        # pairs across components
-        labelled = prefix.join(labels, "d", "left").select("h", "d", "n", F.coalesce("label", "d").alias("label"))
-        mixed = labelled.groupBy("h").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("h")
-        rest = cut_lineage(labelled.join(mixed, "h", "left_semi"))
-        x, y = rest.alias("x"), rest.alias("y")
-        across = x.join(y, F.col("x.h") == F.col("y.h")).where(F.col("x.label") < F.col("y.label")).select(F.col("x.d").alias("a"), F.col("x.n").alias("na"), F.col("y.d").alias("b"), F.col("y.n").alias("nb"))
-        more = cut_lineage(_verified(_pair_counts(across, percent), sets, percent))
+        if small:
+            pdf = labels.toPandas().sort_values("d")
+            shared_labels = spark.sparkContext.broadcast((pdf["d"].to_numpy(np.int64), pdf["label"].to_numpy(np.int64)))
+            across = _cross_pairs(packed, percent, shared_labels)
+        else:
+            named = chosen.join(labels.withColumnRenamed("d", "doc_id"), "doc_id", "left").select("doc_id", "text", F.coalesce("label", "doc_id").alias("label"))
+            across = _cross_pairs(cut_lineage(_packed_sets(named, k, percent, None, cuts).repartition("frag")), percent, None)
+        more = _verified(packed, cut_lineage(across), percent)
         if not more.isEmpty():
             labels = connected_components(links.union(more))
     out = table.join(nodes.select("digest", "d"), "digest", "left")
