@@ -8,7 +8,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-SLICE_BYTES = 1 << 21
+SLICE_BYTES = 1 << 20
 
 SPACE = np.zeros(256, bool)
 SPACE[[9, 10, 11, 12, 13, 32]] = True
@@ -23,7 +23,7 @@ _POWERS: dict[str, np.ndarray] = {}
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     """BASE ** i and its inverse modulo 2 ** 64, i < n."""
     if len(_POWERS.get("up", ())) < n:
-        m = max(n, SLICE_BYTES * 2)
+        m = max(n, SLICE_BYTES + 1)
         with np.errstate(over="ignore"):
             for name, b in (("up", BASE), ("down", BASE_INV)):
                 p = np.full(m, b, np.uint64)

@@ -7,8 +7,9 @@ fragment is counted on its own and partial counts are summed, first per document
 2. Two sets that reach the threshold share ``t`` of their first ``n - ceil(threshold n) + t`` shingles in any global
    order. Each fragment counts, per node, which of those prefix shingles another node has as well; nodes whose sum
    is under t for the smallest partner they may have are linked with nothing. Ordinary documents end here.
-3. The sets of the nodes left are packed by fragment, once. Every shared prefix shingle links its nodes to the
-   smallest of them. Pairs that share, in some fragment, that fragment's part of t are candidates; each fragment
+3. The sets of the nodes left are packed by fragment, once. Summed over fragments they tell how many of a node's
+   shingles any other node has, which bounds its overlap with all. Every shared prefix shingle links its nodes to
+   one of them. Pairs whose sizes and common shingles allow it and that share, in some fragment, that fragment's part of t are candidates; each fragment
    counts its part of their overlap and the parts are summed per pair. Connected components of these links follow.
 4. Prefix shingles whose nodes are still in several components give the pairs across components, chosen and
    verified likewise: so no link that could join two components is missed, and no pair inside one is ever made.
@@ -31,9 +32,9 @@ from pyspark.sql import functions as F
 from ..session import cut_lineage
 from .common import mix, shingle_sets, slices, utf8
 
-FRAGMENT_ROWS = 1_500_000  # prefix shingles in one fragment's task
+FRAGMENT_ROWS = 600_000  # prefix shingles in one fragment's task
 BROADCAST_NODES = 2_000_000
-BROADCAST_PAIRS = 2_000_000
+BROADCAST_PAIRS = 1_000_000
 PREFIX_SPAN = 0.42  # prefixes of all but short texts end below this part of the hash range
 
 
@@ -113,8 +114,8 @@ def _shared_in_fragment(pdf: pd.DataFrame) -> pd.DataFrame:
 
 def _packed_sets(docs: DataFrame, k: int, percent: int, keep, cuts: int) -> DataFrame:
     """(frag, ids, ns, skips, counts, hashes): whole sets of the documents in ``keep`` (a broadcast sorted id array; None: all),
-    packed by fragment. ``skips`` counts a document's hashes in earlier fragments, ``lasts`` is the fragment in which its prefix ends. A third column of ``docs`` is packed as ``labels``."""
-    labelled = len(docs.columns) > 2
+    packed by fragment. ``skips`` counts a document's hashes in earlier fragments, ``lasts`` is the fragment in which its prefix ends. Further columns of ``docs``, label and common, are packed as well."""
+    known = len(docs.columns) > 2
 
     def run(batches):
         for whole in batches:
@@ -128,21 +129,21 @@ def _packed_sets(docs: DataFrame, k: int, percent: int, keep, cuts: int) -> Data
                 ids = b.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
                 sets = shingle_sets(*utf8(b.column(1)), k)
                 n = np.array([len(x) for x in sets], np.int64)
-                own = b.column(2).to_numpy(zero_copy_only=False).astype(np.int64) if labelled else ids
+                own, common = (b.column(j).to_numpy(zero_copy_only=False).astype(np.int64) for j in (2, 3)) if known else (ids, n)
                 bounds = np.concatenate([[0], (np.arange(1, cuts, dtype=object) * (1 << 64) // cuts)]).astype(np.uint64)
                 ends = np.stack([np.append(np.searchsorted(x, bounds[1:]), len(x)) for x in sets], 1) if len(sets) else np.zeros((cuts, 0), np.int64)
                 starts = np.vstack([np.zeros((1, len(sets)), np.int64), ends[:-1]])
                 last = np.array([int(np.searchsorted(bounds, x[prefix_length(len(x), percent) - 1], "right")) - 1 if len(x) else 0 for x in sets], np.int64)
-                columns: list[list] = [[] for _ in range(8)]
+                columns: list[list] = [[] for _ in range(9)]
                 for f in range(cuts):
                     some = np.flatnonzero(ends[f] > starts[f])
                     if len(some):
                         hashes = np.concatenate([sets[i][starts[f, i] : ends[f, i]] for i in some])
-                        for col, x in zip(columns, (f, ids[some], n[some], starts[f, some], (ends - starts)[f, some], hashes, own[some], last[some]), strict=True):
+                        for col, x in zip(columns, (f, ids[some], n[some], starts[f, some], (ends - starts)[f, some], hashes, own[some], last[some], common[some]), strict=True):
                             col.append(x if isinstance(x, int) else x.tobytes())
-                yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int32()), *(pa.array(c, pa.binary()) for c in columns[1:])], ["frag", "ids", "ns", "skips", "counts", "hashes", "labels", "lasts"])
+                yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int32()), *(pa.array(c, pa.binary()) for c in columns[1:])], ["frag", "ids", "ns", "skips", "counts", "hashes", "labels", "lasts", "commons"])
 
-    return docs.mapInArrow(run, "frag int, ids binary, ns binary, skips binary, counts binary, hashes binary, labels binary, lasts binary")
+    return docs.mapInArrow(run, "frag int, ids binary, ns binary, skips binary, counts binary, hashes binary, labels binary, lasts binary, commons binary")
 
 
 class Fragment:
@@ -150,17 +151,27 @@ class Fragment:
 
     def __init__(self, frag: int, rows: list[dict], percent: int):
         col = lambda c, t: np.concatenate([np.frombuffer(r[c], t) for r in rows])
-        ids, ns, skips, counts, labels, lasts = (col(c, np.int64) for c in ("ids", "ns", "skips", "counts", "labels", "lasts"))
+        ids, ns, skips, counts, labels, lasts, commons = (col(c, np.int64) for c in ("ids", "ns", "skips", "counts", "labels", "lasts", "commons"))
         hashes = col("hashes", np.uint64)
         first = np.cumsum(counts) - counts
         self.ids, take = np.unique(ids, return_index=True)
-        self.n, self.count, self.label, self.last = ns[take], counts[take], labels[take], lasts[take]
+        self.n, self.count, self.label, self.last, self.common = ns[take], counts[take], labels[take], lasts[take], commons[take]
         self.owner = np.repeat(np.arange(len(take)), self.count)
         inside = np.arange(len(self.owner)) - np.repeat(np.cumsum(self.count) - self.count, self.count)
         self.h = hashes[np.repeat(first[take], self.count) + inside]
         self.prefix = np.repeat(skips[take], self.count) + inside < np.repeat(prefix_length(self.n, percent), self.count)
         self.frag, self.percent = frag, percent
 
+    def inform(self, known) -> None:
+        """Sets the common counts and, where given, the labels from broadcast arrays (ids, common, label)."""
+        if known is not None and len(known.value[0]):
+            ids, common, label = known.value
+            at = np.minimum(np.searchsorted(ids, self.ids), len(ids) - 1)
+            found = ids[at] == self.ids
+            self.common = np.where(found, common[at], 0)
+            if label is not None:
+                self.label = np.where(found, label[at], self.ids)
+
     def lists(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(owners, start, size) of the lists of prefix hashes that several documents share; owners ascend in each."""
         h, d = self.h[self.prefix], self.owner[self.prefix]
@@ -173,8 +184,11 @@ class Fragment:
         return d, at[size > 1], size[size > 1]
 
     def candidates(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
-        """Shared prefix hashes (x, y) of pairs of fitting sizes, as x * documents + y."""
+        """Shared prefix hashes (x, y) of pairs that may be similar, as x * documents + y: of fitting sizes, and with enough
+        shingles each that any other kept node has at all."""
+        both = self.n[x] + self.n[y]
         fits = 100 * np.minimum(self.n[x], self.n[y]) >= self.percent * np.maximum(self.n[x], self.n[y])
+        fits &= (100 + self.percent) * np.minimum(self.common[x], self.common[y]) >= self.percent * both
         return x[fits] * len(self.ids) + y[fits]
 
     def enough(self, code: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -186,39 +200,63 @@ class Fragment:
 
 
 def _each_fragment(rows: Iterator[pd.DataFrame], percent: int) -> Iterator[Fragment]:
-    by: dict[int, list[dict]] = {}
+    """The fragments of a partition sorted by fragment, one in memory at a time."""
+    now, held = None, []
     for pdf in rows:
         for r in pdf.to_dict("records"):
-            by.setdefault(int(r["frag"]), []).append(r)
-    for f in sorted(by):
-        yield Fragment(f, by.pop(f), percent)
+            if r["frag"] != now and held:
+                yield Fragment(int(now), held, percent)
+                held = []
+            now = r["frag"]
+            held.append(r)
+    if held:
+        yield Fragment(int(now), held, percent)
 
 
-def _star_pairs(packed: DataFrame, percent: int) -> DataFrame:
-    """(a, b): every shared prefix hash links its documents to the smallest of them."""
+def _common_counts(packed: DataFrame, percent: int) -> DataFrame:
+    """(d, common): how many shingles of each kept node another kept node has as well, summed over fragments."""
 
     def run(rows):
         for f in _each_fragment(rows, percent):
+            order = np.argsort(f.h, kind="stable")
+            h, d = f.h[order], f.owner[order]
+            at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+            size = np.diff(np.r_[at, len(h)])
+            yield pd.DataFrame({"d": f.ids, "common": np.bincount(d[np.repeat(size > 1, size)], minlength=len(f.ids)).astype(np.int64)})
+
+    return packed.mapInPandas(run, "d long, common long").groupBy("d").agg(F.sum("common").alias("common"))
+
+
+def _star_pairs(packed: DataFrame, percent: int, known) -> DataFrame:
+    """(a, b): every shared prefix hash links its documents to one centre, the node with the largest common part (then the smallest id)."""
+
+    def run(rows):
+        for f in _each_fragment(rows, percent):
+            f.inform(known)
             d, at, size = f.lists()
-            rest = np.repeat(at + 1 - np.r_[0, np.cumsum(size - 1)[:-1]], size - 1) + np.arange((size - 1).sum()) if len(at) else np.zeros(0, np.int64)
-            x, y = f.enough(*np.unique(f.candidates(np.repeat(d[at], size - 1), d[rest]), return_counts=True))
+            if not len(at):
+                continue
+            span = np.repeat(at - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum())
+            member, group = d[span], np.repeat(np.arange(len(at)), size)
+            order = np.lexsort((member, -(f.common / f.n)[member], group))
+            centre = np.repeat(member[order][np.r_[0, np.cumsum(size)[:-1]]], size)
+            x, y = np.minimum(centre, member), np.maximum(centre, member)
+            x, y = x[centre != member], y[centre != member]
+            x, y = f.enough(*np.unique(f.candidates(x, y), return_counts=True))
             yield pd.DataFrame({"a": f.ids[x], "b": f.ids[y]})
 
     return packed.mapInPandas(run, "a long, b long").distinct()
 
 
-MOST_CODES = 4_000_000
+MOST_CODES = 1_000_000
 
 
-def _cross_pairs(packed: DataFrame, percent: int, labels) -> DataFrame:
+def _cross_pairs(packed: DataFrame, percent: int, known) -> DataFrame:
     """(a, b): all pairs with different labels that share a prefix hash and may reach the threshold."""
 
     def run(rows):
         for f in _each_fragment(rows, percent):
-            if labels is not None:
-                known, label = labels.value
-                at = np.minimum(np.searchsorted(known, f.ids), max(0, len(known) - 1))
-                f.label = np.where(known[at] == f.ids, label[at], f.ids) if len(known) else f.ids
+            f.inform(known)
             d, at, size = f.lists()
             mine = f.label[d]
             if len(at):
@@ -240,7 +278,7 @@ def _cross_pairs(packed: DataFrame, percent: int, labels) -> DataFrame:
             for m in np.unique(size):
                 starts = at[size == m]
                 i, j = (np.triu_indices(m, 1) if m <= 512 else (None, None))
-                step = max(1, 2_000_000 // (m * m))
+                step = max(1, 400_000 // (m * m))
                 for lo in range(0, len(starts), step):
                     block = d[starts[lo : lo + step, None] + np.arange(m)]
                     if i is not None:
@@ -288,7 +326,7 @@ def _verified(packed: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
                 sizes = np.cumsum(f.count[x])
                 lo = 0
                 while lo < len(x):  # portions of pairs of a bounded number of hashes
-                    hi = max(lo + 1, int(np.searchsorted(sizes, (sizes[lo - 1] if lo else 0) + 2_000_000)))
+                    hi = max(lo + 1, int(np.searchsorted(sizes, (sizes[lo - 1] if lo else 0) + 500_000)))
                     c = f.count[x[lo:hi]]
                     at = np.repeat(first[x[lo:hi]] - (np.cumsum(c) - c), c) + np.arange(c.sum())
                     want = np.repeat(y[lo:hi], c) * most + rank[at]
@@ -347,16 +385,24 @@ def similarity_components(docs: DataFrame, percent: int = 75, k: int = 5, id_col
             ids = spark.sparkContext.broadcast(np.sort(np.array([r.d for r in keep.select("d").toLocalIterator()], np.int64)))
         else:
             chosen, ids = docs.join(keep.select(F.col("d").alias("doc_id")), "doc_id", "left_semi"), None
-        packed = cut_lineage(_packed_sets(chosen, k, percent, ids, cuts).repartition("frag"))
-        links = _verified(packed, _star_pairs(packed, percent), percent)
+        packed = cut_lineage(_packed_sets(chosen, k, percent, ids, cuts).repartition("frag").sortWithinPartitions("frag"))
+        common = cut_lineage(_common_counts(packed, percent))
+        known = None
+        if small:
+            pdf = common.toPandas().sort_values("d")
+            at, n_common = pdf["d"].to_numpy(np.int64), pdf["common"].to_numpy(np.int64)
+            known = spark.sparkContext.broadcast((at, n_common, None))
+        links = _verified(packed, cut_lineage(_star_pairs(packed, percent, known)), percent)
         labels = connected_components(links)
         if small:
             pdf = labels.toPandas().sort_values("d")
-            shared_labels = spark.sparkContext.broadcast((pdf["d"].to_numpy(np.int64), pdf["label"].to_numpy(np.int64)))
-            across = _cross_pairs(packed, percent, shared_labels)
+            label = at.copy()
+            label[np.searchsorted(at, pdf["d"].to_numpy(np.int64))] = pdf["label"].to_numpy(np.int64)
+            across = _cross_pairs(packed, percent, spark.sparkContext.broadcast((at, n_common, label)))
         else:
-            named = chosen.join(labels.withColumnRenamed("d", "doc_id"), "doc_id", "left").select("doc_id", "text", F.coalesce("label", "doc_id").alias("label"))
-            across = _cross_pairs(cut_lineage(_packed_sets(named, k, percent, None, cuts).repartition("frag")), percent, None)
+            named = chosen.join(common.withColumnRenamed("d", "doc_id"), "doc_id").join(labels.withColumnRenamed("d", "doc_id"), "doc_id", "left")
+            named = named.select("doc_id", "text", F.coalesce("label", "doc_id").alias("label"), "common")
+            across = _cross_pairs(cut_lineage(_packed_sets(named, k, percent, None, cuts).repartition("frag").sortWithinPartitions("frag")), percent, None)
         more = _verified(packed, cut_lineage(across), percent)
         if not more.isEmpty():
             labels = connected_components(links.union(more))
