@@ -32,7 +32,8 @@ from pyspark.sql import functions as F
 from ..session import cut_lineage
 from .common import mix, shingle_sets, slices, utf8
 
-FRAGMENT_ROWS = 600_000  # prefix shingles in one fragment's task
+COUNT_ROWS = 2_000_000  # prefix shingles counted in one task
+FRAGMENT_ROWS = 1_000_000  # shingles of kept sets in one task
 BROADCAST_NODES = 2_000_000
 BROADCAST_PAIRS = 1_000_000
 PREFIX_SPAN = 0.42  # prefixes of all but short texts end below this part of the hash range
@@ -70,7 +71,7 @@ def shingle_table(docs: DataFrame, k: int) -> DataFrame:
 
 
 def _fragment_rows(docs: DataFrame, k: int, percent: int, cuts: int) -> DataFrame:
-    """(frag, hashes, digests, ns): prefix shingles of many documents, packed, by fragment of the global order."""
+    """(frag, hashes, counts, digests, ns): prefix shingles of many documents, packed, by fragment of the global order."""
 
     def run(batches):
         for _, sets in _sets(batches, k):
@@ -89,19 +90,20 @@ def _fragment_rows(docs: DataFrame, k: int, percent: int, cuts: int) -> DataFram
             at = np.flatnonzero(np.r_[True, frag[1:] != frag[:-1]])
             columns: list[list[bytes]] = [[], [], [], []]
             for a, b in zip(at, np.r_[at[1:], len(frag)], strict=True):
-                owners, inside = np.unique(owner[a:b], return_inverse=True)
-                for col, x in zip(columns, (h[a:b], inside.astype(np.int32), digests[owners], n[owners]), strict=True):
+                first = a + np.flatnonzero(np.r_[True, owner[a + 1 : b] != owner[a : b - 1]])
+                owners = owner[first]
+                for col, x in zip(columns, (h[a:b], np.diff(np.r_[first, b]).astype(np.int32), digests[owners], n[owners].astype(np.int32)), strict=True):
                     col.append(x.tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(frag[at].astype(np.int32)), *(pa.array(c, pa.binary()) for c in columns)], ["frag", "hashes", "owners", "digests", "ns"])
+            yield pa.RecordBatch.from_arrays([pa.array(frag[at].astype(np.int32)), *(pa.array(c, pa.binary()) for c in columns)], ["frag", "hashes", "counts", "digests", "ns"])
 
-    return docs.mapInArrow(run, "frag int, hashes binary, owners binary, digests binary, ns binary")
+    return docs.mapInArrow(run, "frag int, hashes binary, counts binary, digests binary, ns binary")
 
 
 def _shared_in_fragment(pdf: pd.DataFrame) -> pd.DataFrame:
     """(digest, n, shared): prefix shingles of this fragment that another digest has as well."""
     h = np.concatenate([np.frombuffer(x, np.uint64) for x in pdf["hashes"]])
-    d = np.concatenate([np.frombuffer(x, np.int64)[np.frombuffer(o, np.int32)] for x, o in zip(pdf["digests"], pdf["owners"], strict=True)])
-    pairs = dict(zip(np.concatenate([np.frombuffer(x, np.int64) for x in pdf["digests"]]).tolist(), np.concatenate([np.frombuffer(x, np.int64) for x in pdf["ns"]]).tolist(), strict=True))
+    d = np.concatenate([np.repeat(np.frombuffer(x, np.int64), np.frombuffer(c, np.int32)) for x, c in zip(pdf["digests"], pdf["counts"], strict=True)])
+    pairs = dict(zip(np.concatenate([np.frombuffer(x, np.int64) for x in pdf["digests"]]).tolist(), np.concatenate([np.frombuffer(x, np.int32) for x in pdf["ns"]]).tolist(), strict=True))
     order = np.lexsort((d, h))
     h, d = h[order], d[order]
     new = np.r_[True, (h[1:] != h[:-1]) | (d[1:] != d[:-1])]
@@ -133,14 +135,17 @@ def _packed_sets(docs: DataFrame, k: int, percent: int, keep, cuts: int) -> Data
                 bounds = np.concatenate([[0], (np.arange(1, cuts, dtype=object) * (1 << 64) // cuts)]).astype(np.uint64)
                 ends = np.stack([np.append(np.searchsorted(x, bounds[1:]), len(x)) for x in sets], 1) if len(sets) else np.zeros((cuts, 0), np.int64)
                 starts = np.vstack([np.zeros((1, len(sets)), np.int64), ends[:-1]])
-                last = np.array([int(np.searchsorted(bounds, x[prefix_length(len(x), percent) - 1], "right")) - 1 if len(x) else 0 for x in sets], np.int64)
+                last = np.array([int(np.searchsorted(bounds, x[prefix_length(len(x), percent) - 1], "right")) - 1 if len(x) else 0 for x in sets], np.int32)
+                n32 = n.astype(np.int32)
                 columns: list[list] = [[] for _ in range(9)]
                 for f in range(cuts):
                     some = np.flatnonzero(ends[f] > starts[f])
                     if len(some):
                         hashes = np.concatenate([sets[i][starts[f, i] : ends[f, i]] for i in some])
-                        for col, x in zip(columns, (f, ids[some], n[some], starts[f, some], (ends - starts)[f, some], hashes, own[some], last[some], common[some]), strict=True):
+                        for col, x in zip(columns, (f, ids[some], n32[some], starts[f, some].astype(np.int32), (ends - starts)[f, some].astype(np.int32), hashes, own[some], last[some], common[some].astype(np.int32)), strict=True):
                             col.append(x if isinstance(x, int) else x.tobytes())
+                        if not known:
+                            columns[6][-1] = columns[8][-1] = b""
                 yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int32()), *(pa.array(c, pa.binary()) for c in columns[1:])], ["frag", "ids", "ns", "skips", "counts", "hashes", "labels", "lasts", "commons"])
 
     return docs.mapInArrow(run, "frag int, ids binary, ns binary, skips binary, counts binary, hashes binary, labels binary, lasts binary, commons binary")
@@ -151,7 +156,9 @@ class Fragment:
 
     def __init__(self, frag: int, rows: list[dict], percent: int):
         col = lambda c, t: np.concatenate([np.frombuffer(r[c], t) for r in rows])
-        ids, ns, skips, counts, labels, lasts, commons = (col(c, np.int64) for c in ("ids", "ns", "skips", "counts", "labels", "lasts", "commons"))
+        ids, labels = (col(c, np.int64) for c in ("ids", "labels"))
+        ns, skips, counts, lasts, commons = (col(c, np.int32).astype(np.int64) for c in ("ns", "skips", "counts", "lasts", "commons"))
+        labels, commons = (labels, commons) if len(labels) else (ids, ns)
         hashes = col("hashes", np.uint64)
         first = np.cumsum(counts) - counts
         self.ids, take = np.unique(ids, return_index=True)
@@ -368,7 +375,7 @@ def similarity_components(docs: DataFrame, percent: int = 75, k: int = 5, id_col
     total = table.agg(F.sum("n").alias("s")).first().s or 0
     nodes = table.where("n > 0").groupBy("digest").agg(F.min("doc_id").alias("d"))
 
-    fragments = max(8, math.ceil(total * 0.35 / FRAGMENT_ROWS))
+    fragments = max(8, math.ceil(total * 0.35 / COUNT_ROWS))
     shared = _fragment_rows(docs, k, percent, fragments).groupBy("frag").applyInPandas(_shared_in_fragment, "digest long, n long, shared long")
     least_partner = F.ceil(F.col("n") * percent / 100)
     suspects = shared.groupBy("digest", "n").agg(F.sum("shared").alias("shared")).where(F.col("shared") >= _t(least_partner))

@@ -78,7 +78,7 @@ def test_similarity_components(spark):
     assert got == components(texts)
 
 
-@pytest.mark.parametrize("limits", [{"BROADCAST_NODES": 0}, {"BROADCAST_PAIRS": 40, "FRAGMENT_ROWS": 500}])
+@pytest.mark.parametrize("limits", [{"BROADCAST_NODES": 0}, {"BROADCAST_PAIRS": 40, "FRAGMENT_ROWS": 500, "COUNT_ROWS": 300}])
 def test_similarity_beyond_the_broadcast_bounds(spark, monkeypatch, limits):
     for k, v in limits.items():
         monkeypatch.setattr(similarity, k, v)
