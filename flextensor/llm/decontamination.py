@@ -2,11 +2,14 @@
 
 Texts become templates: numbers, capitalised words inside a sentence and units after a number are typed placeholders
 that keep their value aside; all else is lower-cased words. Windows of ``window`` template words are hash-joined
-between documents and benchmark items (items shorter than a window match by one window of their own length). Matches
-of one document and item at the same offset are one occurrence. An occurrence counts only if its slots are
-consistent: equal item values stand for equal document values and the reverse, so a re-parameterised copy matches and
-a chance mix of numbers does not. An item leaks into a document if an occurrence covers ``min_words`` words of it, or
-all windows of a shorter item.
+between documents and benchmark items (items shorter than a window match by one window of their own length, items of
+fewer than four words only documents of just these words). Windows mostly of placeholders match by equal values, all
+others by their template. Matches of one document and item at the same offset are one occurrence. An item leaks into a
+document if an occurrence covers ``min_words`` words of it, or all windows of a shorter item.
+
+Slots are consistent if equal item values stand for equal document values; different ones may fall together. Where a
+slot clashes, its windows are dropped unless they match word for word, and the windows left must cover twice
+``min_words`` words: a long copy with an edited number leaks, a chance mix of numbers does not.
 
 Defined results: null and empty texts match nothing; repeated rows and ties give one row per (doc_id, item_id); empty
 tables give an empty result; further columns are ignored.
@@ -32,24 +35,30 @@ def template_words(text: Column) -> Column:
     return F.regexp_extract_all(F.lower(t), F.lit(MARK + r"?[\p{L}\p{N}]+(?:[.,:/-][0-9]+)*"), F.lit(0))
 
 
-def _windows(df: DataFrame, id_col: str, words: Column, lengths: list[int]) -> DataFrame:
-    """(id, len, pos, win) for every window of each length."""
-    df = df.select(F.col(id_col).alias("id"), words.alias("words"))
+def _windows(df: DataFrame, id_col: str, words: Column, lengths: list[int], whole: int) -> DataFrame:
+    """(id, len, pos, win) for every window of each length; texts of fewer than ``whole`` words are one window."""
+    kind = "array<struct<len:int,pos:int,win:string>>"
 
     def cut(k: int) -> Column:
-        return F.transform(F.sequence(F.lit(1), F.size("words") - k + 1), lambda i: F.array_join(F.slice(F.col("words"), i, k), " "))
+        return F.transform(F.sequence(F.lit(1), F.size("words") - k + 1), lambda i: F.struct(F.lit(k).alias("len"), i.alias("pos"), F.array_join(F.slice(F.col("words"), i, k), " ").alias("win")))
+
+    each = [F.when(F.size("words") >= k, cut(k)).otherwise(F.array().cast(kind)) for k in lengths]
+    one = F.array(F.struct(F.size("words").alias("len"), F.lit(1).alias("pos"), F.array_join("words", " ").alias("win")))
+    each.append(F.when(F.size("words").between(1, whole - 1), one).otherwise(F.array().cast(kind)))
+    # the outer form keeps the optimiser from building the windows twice, for a filter on their number
+    return df.select(F.col(id_col).alias("id"), words.alias("words")).select("id", F.explode_outer(F.concat(*each)).alias("w")).select("id", "w.*").where(F.col("win").isNotNull())
+
 
-    each = [df.where(F.size("words") >= k).select("id", F.lit(k).alias("len"), F.posexplode(cut(k)).alias("pos", "win")) for k in lengths]
-    out = each[0]
-    for x in each[1:]:
-        out = out.unionByName(x)
-    return out
+def _plain(win: Column) -> Column:
+    return F.when(F.contains(win, F.lit(MARK)), F.regexp_replace(win, MARK + "[a-z]", "")).otherwise(win)
 
 
-def _keyed(df: DataFrame) -> DataFrame:
+def _keyed(df: DataFrame, whole: int) -> DataFrame:
     marked = F.contains("win", F.lit(MARK))
-    canon = F.when(marked, F.regexp_replace("win", MARK + "([a-z])[^ ]*", "<$1>")).otherwise(F.col("win"))
-    return df.withColumn("h", F.xxhash64("len", canon))
+    mostly = F.call_function("substring_index", F.col("win"), F.lit(MARK), F.floor(F.col("len") / 2).cast("int") + 1) != F.col("win")
+    by_value = (F.col("len") < whole) | mostly
+    canon = F.when(marked, F.when(by_value, _plain(F.col("win"))).otherwise(F.regexp_replace("win", MARK + "([a-z])[^ ]*", "<$1>"))).otherwise(F.col("win"))
+    return df.withColumn("h", F.xxhash64("len", canon)).withColumn("by_value", by_value)
 
 
 def _slots(win: str) -> Column:
@@ -59,30 +68,35 @@ def _slots(win: str) -> Column:
 def find_leaks(docs: DataFrame, bench: DataFrame, window: int = 8, min_words: int = 12, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """(doc_id, item_id, n_windows, n_slots): every item that leaks into a document."""
     items = bench.select(F.col(item_col).alias("item_id"), template_words(F.col(item_text_col)).alias("words")).where(F.size("words") > 0)
-    # a text of few words is held against documents by its own length; below four words nothing can be told
+    # a text of few words is held against documents by its own length; one below four words against whole documents
+    whole = min(window, 4)
     short = sorted(r.k for r in items.where((F.size("words") < window) & (F.size("words") >= 4)).select(F.size("words").alias("k")).distinct().collect())
     lengths = [window, *short]
     own = F.least(F.size("words"), F.lit(window))
-    b = _keyed(_windows(items, "item_id", F.col("words"), lengths).withColumnRenamed("id", "item_id"))
+    b = _keyed(_windows(items, "item_id", F.col("words"), lengths, whole).withColumnRenamed("id", "item_id"), whole)
     b = b.join(items.select("item_id", own.alias("own")), "item_id").where(F.col("len") == F.col("own"))
-    literal = F.size(F.filter(F.split("win", " "), lambda x: ~F.startswith(x, F.lit(MARK))))
-    b = b.where(literal * 2 >= F.col("len")).select("h", "item_id", F.col("pos").alias("ipos"), F.col("len"), F.col("win").alias("iwin"))
-    totals = b.groupBy("item_id").agg(F.countDistinct("ipos").alias("total"))
+    b = b.select("h", "item_id", F.col("pos").alias("ipos"), F.col("len"), F.col("win").alias("iwin"), "by_value")
+    # a changed copy can't match windows by value, so all windows of a short item are all that match by template, if any
+    totals = b.groupBy("item_id").agg(F.countDistinct("ipos").alias("total"), F.countDistinct(F.when(~F.col("by_value"), F.col("ipos"))).alias("total_open"))
     if b.count() <= BROADCAST_ROWS:
         b = F.broadcast(b)
-    d = _keyed(_windows(docs.select(id_col, text_col), id_col, template_words(F.col(text_col)), lengths)).select("id", "pos", "win", "h")
-    hits = d.join(b, "h").select("id", "item_id", (F.col("pos") - F.col("ipos")).alias("offset"), "ipos", "len", _slots("iwin").alias("i"), _slots("win").alias("d")).dropDuplicates(["id", "item_id", "offset", "ipos"])
+    d = _keyed(_windows(docs.select(id_col, text_col), id_col, template_words(F.col(text_col)), lengths, whole), whole).select("id", "pos", "win", "h")
+    same = _plain(F.col("iwin")) == _plain(F.col("win"))
+    hits = d.join(b, "h").select("id", "item_id", (F.col("pos") - F.col("ipos")).alias("offset"), "ipos", "len", "by_value", _slots("iwin").alias("i"), F.when(same, _slots("iwin")).otherwise(_slots("win")).alias("d")).dropDuplicates(["id", "item_id", "offset", "ipos"])
     key = ["id", "item_id", "offset"]
-    found = hits.groupBy(*key).agg(F.count("*").alias("n_windows"), F.max("len").alias("len"), F.array_distinct(F.flatten(F.collect_set(F.arrays_zip("i", "d")))).alias("slots"))
-    sides = lambda f: F.size(F.array_distinct(F.transform("slots", lambda s: s[f])))
-    consistent = (sides("i") == F.size("slots")) & (sides("d") == F.size("slots"))
-    long_enough = (F.col("n_windows") + F.col("len") - 1 >= min_words) | (F.col("n_windows") >= F.col("total"))
+    found = hits.groupBy(*key).agg(F.count("*").alias("n"), F.max("len").alias("len"), F.count(F.when(~F.col("by_value"), 1)).alias("n_open"), F.collect_set(F.when(F.col("by_value"), F.arrays_zip("i", "d"))).alias("equal"), F.collect_list(F.when(~F.col("by_value") & (F.size("i") > 0), F.arrays_zip("i", "d"))).alias("pairs"))
+    found = found.withColumn("slots", F.array_distinct(F.flatten("pairs"))).withColumn("values", F.array_sort(F.transform("slots", lambda s: s["i"])))
+    found = found.withColumn("clash", F.filter("values", lambda v, k: v == F.get(F.col("values"), k + 1)))
+    lost = F.filter("pairs", lambda w: F.exists(w, lambda s: F.array_contains(F.col("clash"), s["i"])) & F.exists(w, lambda s: s["i"] != s["d"]))
+    found = found.withColumn("n_windows", F.when(F.size("clash") > 0, F.col("n") - F.size(lost)).otherwise(F.col("n")))
+    covered = F.col("n_windows") + F.col("len") - 1
+    every = F.when(F.col("total_open") > 0, F.col("n_open") >= F.col("total_open")).otherwise(F.col("n") >= F.col("total"))
+    leak = F.when(F.size("clash") > 0, (F.col("n_windows") > 0) & (covered >= 2 * min_words)).otherwise((covered >= min_words) | every)
     return (
-        found.where(consistent)
-        .join(totals, "item_id")
-        .where(long_enough)
+        found.join(totals, "item_id")
+        .where(leak)
         .groupBy(F.col("id").alias("doc_id"), "item_id")
-        .agg(F.max("n_windows").alias("n_windows"), F.max(F.size("slots")).cast("long").alias("n_slots"))
+        .agg(F.max("n_windows").alias("n_windows"), F.max(F.size(F.array_union("slots", F.flatten("equal")))).cast("long").alias("n_slots"))
     )
 
 

@@ -121,6 +121,18 @@ def test_leaks(spark):
     assert not {d for d, _ in got} & {3, 4, 5, 6, 7, 10, 12}
 
 
+def leaks_of(spark, texts, items):
+    b = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    return {(r.doc_id, r.item_id) for r in decontamination.find_leaks(frame(spark, texts), b).collect()}
+
+
+def test_a_clash_costs_only_its_own_windows(spark):
+    long = ITEM + " while the keeper of the lamp wrote every single one of these numbers down in a heavy green book that nobody had opened since spring"
+    merged = "he bought 3 red apples and then 5 green pears before walking home along the river with his old brown dog"
+    texts = [long.replace("17 boxes", "23 boxes"), merged.replace("3", "4").replace("5", "4"), long.replace("17 boxes", "23 boxes").replace("while", "and")[:170]]
+    assert leaks_of(spark, texts, [long, merged]) == {(0, 0), (1, 1)}
+
+
 def test_leaks_of_empty_tables(spark):
     assert leaks(spark, []) == set()
     b = spark.createDataFrame([], "item_id long, text string")
