@@ -1,13 +1,14 @@
 """PII by information-theoretic sanitisation.
 
-Four kinds of entities are found by their form (e-mail, IP address, card, phone). Terms near them may reveal them as
-well: over the whole corpus, co-occurrence of a term with the protected kinds gives its disclosure, the pointwise mutual information
-of term and kind over the information of the kind, which is 1 for a term that never occurs without the kind.
-Terms over ``generalise`` next to an entity of that kind become spans to be replaced by a class, those over ``remove``
-spans to be dropped.
+Four kinds of entities are found by their form (e-mail, IP address, card, phone). Terms may reveal them as well: over
+the sentences of the whole corpus, co-occurrence of a term with the protected kinds gives its disclosure, the pointwise
+mutual information of term and kind over the information of the kind. The share of a term's sentences that hold the kind
+is smoothed by ``PRIOR`` sentences with the kind's own share, so that disclosure nears 1 as a term that never occurs
+without the kind is seen more often. Terms over ``generalise`` become, wherever they occur, spans to be replaced by a
+class, those over ``remove`` spans to be dropped.
 
-Counts cover all documents: one pass counts, exactly, terms within ``WINDOW`` words of an entity; a second pass counts, in all
-texts, the terms that have enough support among those, found through a Bloom filter of bounded size and made exact by a join.
+Counts cover all documents: one pass counts, exactly, terms in sentences with an entity; a second pass counts, in all
+texts, the sentences of these terms, found through a Bloom filter of bounded size and made exact by a join.
 
 Defined results: null texts are empty; repeated rows count and are searched each on their own; an empty table gives an
 empty result; further columns are ignored.
@@ -35,7 +36,8 @@ IP = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
 CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])++")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 TERM = re.compile(r"[^\W\d_]{3,}")
-WINDOW, SUPPORT = 3, 5
+SENTENCE = re.compile(r"\n+|(?<=[.!?])\s+")
+PRIOR = 1
 BLOOM_BITS = 1 << 24
 
 
@@ -75,37 +77,59 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
     return out
 
 
-def near_terms(text: str, start: int, end: int, reach: int = 200) -> list[tuple[str, int, int]]:
-    """Up to WINDOW terms on each side of a span, on its line: (term, start, end)."""
-    a, b = max(0, start - reach), min(len(text), end + reach)
-    a = max(a, text.rfind("\n", a, start) + 1)
-    b = b if (cut := text.find("\n", end, b)) < 0 else cut
-    before = [m for m in TERM.finditer(text, a, start)][-WINDOW:]
-    after = []
-    for m in TERM.finditer(text, end, b):
-        after.append(m)
-        if len(after) == WINDOW:
-            break
-    return [(m[0].lower(), m.start(), m.end()) for m in (*before, *after)]
+def sentences(text: str) -> Iterator[tuple[int, int]]:
+    """(start, end) of each sentence or line."""
+    at = 0
+    for m in SENTENCE.finditer(text):
+        yield at, m.start()
+        at = m.end()
+    yield at, len(text)
+
+
+def terms_of(text: str, start: int, end: int) -> set[str]:
+    return {t.lower() for t in TERM.findall(text, start, end)}
 
 
 def _near_counts(docs: DataFrame) -> DataFrame:
-    """(term, kind, n): entities of each kind with the term near them."""
+    """(term, kind, n): sentences with the term in which an entity of the kind starts; the empty term counts them all."""
 
     def run(frames: Iterator[pd.DataFrame]):
         for pdf in frames:
             seen: Counter = Counter()
             for text in pdf["text"]:
-                if not text:
+                base = sorted((s, e, k) for k, s, e in base_spans(text)) if text else []
+                if not base:
                     continue
-                for kind, s, e in base_spans(text):
-                    for t in {x[0] for x in near_terms(text, s, e)}:
-                        seen[t, kind] += 1
+                at = 0
+                for a, b in sentences(text):
+                    kinds, cut = set(), []
+                    while at < len(base) and base[at][0] < b:
+                        kinds.add(base[at][2])
+                        cut.append(base[at][:2])
+                        at += 1
+                    if kinds:
+                        inner = terms_outside(text, a, b, cut)
+                        for kind in kinds:
+                            seen["", kind] += 1
+                            for t in inner:
+                                seen[t, kind] += 1
+                    if at == len(base):
+                        break
             yield pd.DataFrame([(t, k, n) for (t, k), n in seen.items()], columns=["term", "kind", "n"])
 
     return docs.mapInPandas(run, "term string, kind string, n long").groupBy("term", "kind").agg(F.sum("n").alias("n"))
 
 
+def terms_outside(text: str, start: int, end: int, spans: list[tuple[int, int]]) -> set[str]:
+    """Terms of a sentence without those inside its entities."""
+    out: set[str] = set()
+    for s, e in spans:
+        if s > start:
+            out |= terms_of(text, start, s)
+        start = max(start, e)
+    return out | terms_of(text, start, end) if start < end else out
+
+
 def _bits(terms) -> np.ndarray:
     import zlib
 
@@ -113,20 +137,20 @@ def _bits(terms) -> np.ndarray:
 
 
 def _term_counts(docs: DataFrame, bloom) -> DataFrame:
-    """(term, n) in all texts for terms that pass the Bloom filter; the empty term counts all terms."""
+    """(term, n): sentences of all texts with the term, for terms that pass the Bloom filter; the empty term counts all sentences."""
 
     def run(frames: Iterator[pd.DataFrame]):
         table, known = bloom.value, {}
         for pdf in frames:
             seen: Counter = Counter()
+            total = 0
             for text in pdf["text"]:
                 if text:
-                    seen.update(TERM.findall(text))
+                    for a, b in sentences(text):
+                        total += 1
+                        seen.update(terms_of(text, a, b))
             folded: Counter = Counter()
-            total = 0
-            for t, n in seen.items():
-                total += n
-                low = t.lower()
+            for low, n in seen.items():
                 hit = known.get(low)
                 if hit is None:
                     if len(known) > 200_000:
@@ -140,30 +164,35 @@ def _term_counts(docs: DataFrame, bloom) -> DataFrame:
     return docs.mapInPandas(run, "term string, n long").groupBy("term").agg(F.sum("n").alias("n"))
 
 
-def disclosing_terms(docs: DataFrame, support: int = SUPPORT, generalise: float = 0.5) -> DataFrame:
-    """(term, kind, disclosure) of at least ``generalise``, from counts over all of ``docs`` (text)."""
-    near = cut_lineage(_near_counts(docs).where(F.col("n") >= support))
+def _bloom(terms: DataFrame) -> np.ndarray:
     table = np.zeros(BLOOM_BITS, bool)
     batch: list[str] = []
-    for r in near.select("term").distinct().toLocalIterator():
+    for r in terms.select("term").distinct().toLocalIterator():
         batch.append(r.term)
         if len(batch) == 10_000:
             table[_bits(batch)] = True
             batch = []
     table[_bits(batch)] = True
-    counts = cut_lineage(_term_counts(docs, docs.sparkSession.sparkContext.broadcast(table)))
+    return table
+
+
+def disclosing_terms(docs: DataFrame, generalise: float = 0.5) -> DataFrame:
+    """(term, disclosure) of at least ``generalise`` for some kind, from counts over all of ``docs`` (text)."""
+    near = cut_lineage(_near_counts(docs))
+    counts = cut_lineage(_term_counts(docs, docs.sparkSession.sparkContext.broadcast(_bloom(near.where("term <> ''")))))
     total = counts.where("term = ''").agg(F.sum("n")).first()[0] or 1
-    kinds = near.groupBy("kind").agg(F.sum("n").alias("n_kind"))
-    joined = near.join(counts.withColumnRenamed("n", "n_term"), "term").join(F.broadcast(kinds), "kind")
+    kinds = near.where("term = ''").select("kind", F.col("n").alias("n_kind"))
+    joined = near.where("term <> ''").join(counts.withColumnRenamed("n", "n_term"), "term").join(F.broadcast(kinds), "kind")
     p_kind = F.col("n_kind") / float(total)
-    pmi = F.log(F.col("n") / F.col("n_term") / p_kind)
-    return joined.where("n_kind < %d" % total).select("term", "kind", F.least(F.lit(1.0), pmi / -F.log(p_kind)).alias("disclosure")).where(F.col("disclosure") >= generalise)
+    share = (F.col("n") + PRIOR * p_kind) / (F.col("n_term") + PRIOR)
+    found = joined.where("n_kind < %d" % total).select("term", F.least(F.lit(1.0), F.log(share / p_kind) / -F.log(p_kind)).alias("disclosure"))
+    return found.where(F.col("disclosure") >= generalise).groupBy("term").agg(F.max("disclosure").alias("disclosure"))
 
 
 class Sanitiser:
     """Applies disclosing terms to texts."""
 
-    def __init__(self, terms: dict[tuple[str, str], float], remove: float = 0.9):
+    def __init__(self, terms: dict[str, float], remove: float = 0.9):
         self.terms, self.remove = terms, remove
 
     def spans(self, text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, int, int]]]:
@@ -171,12 +200,16 @@ class Sanitiser:
         base = base_spans(text)
         extra = {}
         if self.terms:
-            taken = [(s, e) for _, s, e in base]
-            for kind, s, e in base:
-                for t, a, b in near_terms(text, s, e):
-                    d = self.terms.get((t, kind))
-                    if d is not None and not any(a < y and x < b for x, y in taken):
-                        extra[a, b] = max(d, extra.get((a, b), 0))
+            taken = sorted((s, e) for _, s, e in base)
+            at = 0
+            for m in TERM.finditer(text):
+                d = self.terms.get(m[0].lower())
+                if d is None:
+                    continue
+                while at < len(taken) and taken[at][1] <= m.start():
+                    at += 1
+                if not any(s < m.end() and m.start() < e for s, e in taken[at : at + len(KINDS)]):
+                    extra[m.span()] = d
         found = [("term_x" if d >= self.remove else "term", a, b) for (a, b), d in extra.items()]
         return base, sorted(found)
 
@@ -198,7 +231,7 @@ def _fit(docs: DataFrame, generalise: float, most: int):
 
 def _apply(docs: DataFrame, terms: DataFrame, small: bool, remove: float, row, schema: str) -> DataFrame:
     if small:
-        known = docs.sparkSession.sparkContext.broadcast({(r.term, r.kind): r.disclosure for r in terms.toLocalIterator()})
+        known = docs.sparkSession.sparkContext.broadcast({r.term: r.disclosure for r in terms.toLocalIterator()})
 
         def run(frames):
             tool = Sanitiser(known.value, remove)
@@ -208,16 +241,22 @@ def _apply(docs: DataFrame, terms: DataFrame, small: bool, remove: float, row, s
         return docs.mapInPandas(run, schema)
 
     # too many terms for a broadcast: each document meets its own terms through a join
+    bloom = docs.sparkSession.sparkContext.broadcast(_bloom(terms))
+
     def emit(frames):
         for pdf in frames:
-            rows = {(d, t, kind) for d, text in zip(pdf["doc_id"], pdf["text"], strict=True) if text for kind, s, e in base_spans(text) for t, _, _ in near_terms(text, s, e)}
-            yield pd.DataFrame(list(rows), columns=["doc_id", "term", "kind"])
+            rows: list = []
+            for d, text in zip(pdf["doc_id"], pdf["text"], strict=True):
+                own = list(terms_of(text, 0, len(text))) if text else []
+                if own:
+                    rows += [(d, t) for t, hit in zip(own, bloom.value[_bits(own)].all(axis=1), strict=True) if hit]
+            yield pd.DataFrame(rows, columns=["doc_id", "term"])
 
-    own = docs.mapInPandas(emit, "doc_id long, term string, kind string").join(terms, ["term", "kind"]).groupBy("doc_id").agg(F.collect_list(F.struct("term", "kind", "disclosure")).alias("terms"))
+    own = docs.mapInPandas(emit, "doc_id long, term string").join(terms, "term").groupBy("doc_id").agg(F.collect_list(F.struct("term", "disclosure")).alias("terms"))
 
     def run_joined(frames):
         for pdf in frames:
-            tools = [Sanitiser({(r["term"], r["kind"]): r["disclosure"] for r in x} if x is not None else {}, remove) for x in pdf["terms"]]
+            tools = [Sanitiser({r["term"]: r["disclosure"] for r in x} if x is not None else {}, remove) for x in pdf["terms"]]
             yield pd.DataFrame([row(s, d, t or "") for s, d, t in zip(tools, pdf["doc_id"], pdf["text"], strict=True)], columns=[c.split()[0] for c in schema.split(", ")])
 
     return docs.join(own, "doc_id", "left").mapInPandas(run_joined, schema)

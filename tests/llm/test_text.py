@@ -141,6 +141,14 @@ def test_personal_data(spark):
     assert privacy.find_personal_data(frame(spark, [])).count() == 0
 
 
+def test_disclosing_terms_are_marked_everywhere(spark):
+    far = "zorblatt went along one two three four five six seven to mail someone@example.org"
+    texts = [far, far + " again", "Nobody knew. Later zorblatt left.", "quillfeather wrote someone@example.org"] + ["one two three four five six seven went along to someone again"] * 300
+    for most in (500_000, 0):
+        rows = {r.doc_id: r.spans for r in privacy.find_personal_data(frame(spark, texts), most_broadcast=most).collect()}
+        assert "term:0:8" in rows[0] and "term:19:27" in rows[2] and "term:0:12" in rows[3] and rows[4] == ""
+
+
 # -- chat -------------------------------------------------------------------------------------------------------------
 @settings(max_examples=300, deadline=None)
 @given(st.lists(st.tuples(st.sampled_from(["user", "assistant", "system", "<|end|>"]), st.text(alphabet="<|>/s[]INST\\ab\n", max_size=30)), max_size=6))
