@@ -1,21 +1,27 @@
 """N-gram Jaccard self-join by vertical partitioning.
 
-Distinct 5-word shingles, hashed to 64 bits, have one global order: that of the hash. It is cut into fragments; each
-fragment is counted on its own and partial counts are summed, first per document, then per pair.
+Distinct 5-word shingles, hashed to 64 bits, are put in one global order, and that order is cut into fragments. Each
+fragment is counted on its own; partial counts are summed, first per document, then per pair.
 
-1. Documents of equal sets become one node: the smallest doc_id. (Sets are told apart by a 64-bit digest.)
+1. Documents of equal sets become one node, known by a 64-bit digest of the set.
 2. Two sets that reach the threshold share ``t`` of their first ``n - ceil(threshold n) + t`` shingles in any global
-   order. Each fragment counts, per node, which of those prefix shingles another node has as well; nodes whose sum
-   is under t for the smallest partner they may have are linked with nothing. Ordinary documents end here.
-3. The sets of the nodes left are packed by fragment, once. Summed over fragments they tell how many of a node's
-   shingles any other node has, which bounds its overlap with all. Every shared prefix shingle links its nodes to
-   one of them. Pairs whose sizes and common shingles allow it and that share, in some fragment, that fragment's part of t are candidates; each fragment
-   counts its part of their overlap and the parts are summed per pair. Connected components of these links follow.
-4. Prefix shingles whose nodes are still in several components give the pairs across components, chosen and
-   verified likewise: so no link that could join two components is missed, and no pair inside one is ever made.
-
-Defined results: null, empty and blank texts have no shingle and are their own component; repeated rows of one
-doc_id are one document; an empty table gives an empty result; further columns are ignored.
+   order. In the order of the hash each fragment counts, per node, which of those another node has as well; nodes whose
+   sum is under t for the smallest partner they may have are linked with nothing. Ordinary documents end here.
+3. For the nodes left, fragments count in how many of them each shingle occurs. The global order is now: rare shingles
+   first, in classes of twice the frequency, by hash within a class. The classes reach all tasks as an array of bounded
+   size, one cell for many hashes, which holds the highest class of the cell; so the order is the same everywhere, and a
+   shingle of class 0 is in one node only. Nodes with too few shingles of other classes end here.
+4. Of nodes left, the shingles among the first ``n - ceil(threshold n) + 1`` that aren't of class 0 make the lists of
+   candidates. Both shingles' places bound the overlap of a pair from its first common shingle on, and only pairs
+   that can still reach the threshold are made: passages in many documents of their own give none.
+5. In each list all nodes meet one centre; each node is held against the centre it meets most. Pairs are counted exactly:
+   per fragment of the sets, then summed per pair. Connected components of these links follow.
+6. Lists whose nodes are still in several components give the pairs across components, bounded and counted likewise: no
+   link that could join two components is missed, and no pair inside one is ever made.
+
+Defined results: null, empty and blank texts have no shingle and are their own component; repeated rows of one doc_id
+and text are one document, rows of one doc_id with other texts are documents of their own; a null doc_id is never the
+smallest of a component unless all are null; an empty table gives an empty result; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,17 +32,22 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..session import cut_lineage
 from .common import mix, shingle_sets, slices, utf8
 
-COUNT_ROWS = 2_000_000  # prefix shingles counted in one task
-FRAGMENT_ROWS = 1_000_000  # shingles of kept sets in one task
+COUNT_ROWS = 2_000_000  # prefix shingles counted in one fragment
+FRAGMENT_ROWS = 2_000_000  # shingles of kept sets counted in one fragment
+CHUNK_ROWS = 1_000_000  # shingles a fragment takes in at a time
 BROADCAST_NODES = 2_000_000
 BROADCAST_PAIRS = 1_000_000
+MOST_CELL_BITS = 27  # the array of classes has at most this many bits of address, a byte each
+HOT_KEYS, HOT_LEAST = 50_000, 1_000  # keys of at least HOT_LEAST rows and a HOT_KEYS-th of all are broadcast: at most HOT_KEYS of them
+BLOCK_ROWS = 20_000  # rows of one list in one block of a join
 PREFIX_SPAN = 0.42  # prefixes of all but short texts end below this part of the hash range
+SET_FRAGMENTS = 8
 
 
 def shared_at_least(n, extra: float = 0.1):
@@ -44,9 +55,14 @@ def shared_at_least(n, extra: float = 0.1):
     return np.maximum(1, np.floor(np.asarray(n) * extra)).astype(np.int64)
 
 
+def least_overlap(n, percent: int = 75):
+    """The least number of shingles of a set of n that any similar set has as well."""
+    return (percent * np.asarray(n, np.int64) + 99) // 100
+
+
 def prefix_length(n, percent: int = 75):
     n = np.asarray(n, np.int64)
-    return np.minimum(n, n - (percent * n + 99) // 100 + shared_at_least(n))
+    return np.minimum(n, n - least_overlap(n, percent) + shared_at_least(n))
 
 
 def _digest(s: np.ndarray) -> int:
@@ -54,298 +70,243 @@ def _digest(s: np.ndarray) -> int:
         return int(np.sum(mix(s * np.uint64(3) + np.uint64(1)), dtype=np.uint64).astype(np.int64)) if len(s) else 0
 
 
-def _sets(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[tuple[np.ndarray, list[np.ndarray]]]:
-    for whole in batches:
-        for b in slices(whole):
-            yield b.column(0).to_numpy(zero_copy_only=False), shingle_sets(*utf8(b.column(1)), k)
-
-
 def shingle_table(docs: DataFrame, k: int) -> DataFrame:
-    """(doc_id, n, digest)"""
+    """(doc_id, text_key, n, digest) of ``docs`` (doc_id, text_key, text)"""
 
     def run(batches):
-        for ids, sets in _sets(batches, k):
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([_digest(s) for s in sets], pa.int64())], ["doc_id", "n", "digest"])
+        for whole in batches:
+            for b in slices(whole):
+                sets = shingle_sets(*utf8(b.column(2)), k)
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([len(s) for s in sets], pa.int64()), pa.array([_digest(s) for s in sets], pa.int64())], ["doc_id", "text_key", "n", "digest"])
 
-    return docs.mapInArrow(run, "doc_id long, n long, digest long")
+    return docs.mapInArrow(run, "doc_id long, text_key long, n long, digest long")
 
 
+# -- suspects: prefixes in the order of the hash ------------------------------------------------------------------------
 def _fragment_rows(docs: DataFrame, k: int, percent: int, cuts: int) -> DataFrame:
-    """(frag, hashes, counts, digests, ns): prefix shingles of many documents, packed, by fragment of the global order."""
-
-    def run(batches):
-        for _, sets in _sets(batches, k):
-            n = np.array([len(s) for s in sets], np.int64)
-            take = prefix_length(n, percent)
-            digests = np.array([_digest(s) for s in sets], np.int64)
-            _, once = np.unique(digests, return_index=True)
-            once = once[n[once] > 0]
-            if not len(once):
-                continue
-            h = np.concatenate([sets[i][: take[i]] for i in once])
-            owner = np.repeat(once, take[once])
-            frag = np.minimum((h / 2.0**64 * (cuts / PREFIX_SPAN)).astype(np.int64), cuts - 1)
-            order = np.argsort(frag, kind="stable")
-            h, owner, frag = h[order], owner[order], frag[order]
-            at = np.flatnonzero(np.r_[True, frag[1:] != frag[:-1]])
-            columns: list[list[bytes]] = [[], [], [], []]
-            for a, b in zip(at, np.r_[at[1:], len(frag)], strict=True):
-                first = a + np.flatnonzero(np.r_[True, owner[a + 1 : b] != owner[a : b - 1]])
-                owners = owner[first]
-                for col, x in zip(columns, (h[a:b], np.diff(np.r_[first, b]).astype(np.int32), digests[owners], n[owners].astype(np.int32)), strict=True):
-                    col.append(x.tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(frag[at].astype(np.int32)), *(pa.array(c, pa.binary()) for c in columns)], ["frag", "hashes", "counts", "digests", "ns"])
-
-    return docs.mapInArrow(run, "frag int, hashes binary, counts binary, digests binary, ns binary")
-
-
-def _shared_in_fragment(pdf: pd.DataFrame) -> pd.DataFrame:
-    """(digest, n, shared): prefix shingles of this fragment that another digest has as well."""
-    h = np.concatenate([np.frombuffer(x, np.uint64) for x in pdf["hashes"]])
-    d = np.concatenate([np.repeat(np.frombuffer(x, np.int64), np.frombuffer(c, np.int32)) for x, c in zip(pdf["digests"], pdf["counts"], strict=True)])
-    pairs = dict(zip(np.concatenate([np.frombuffer(x, np.int64) for x in pdf["digests"]]).tolist(), np.concatenate([np.frombuffer(x, np.int32) for x in pdf["ns"]]).tolist(), strict=True))
-    order = np.lexsort((d, h))
-    h, d = h[order], d[order]
-    new = np.r_[True, (h[1:] != h[:-1]) | (d[1:] != d[:-1])]
-    h, d = h[new], d[new]
-    at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
-    runs = np.diff(np.r_[at, len(h)])
-    u, c = np.unique(d[np.repeat(runs > 1, runs)], return_counts=True)
-    return pd.DataFrame({"digest": u, "n": np.array([pairs[x] for x in u.tolist()], np.int64), "shared": c.astype(np.int64)})
-
-
-def _packed_sets(docs: DataFrame, k: int, percent: int, keep, cuts: int) -> DataFrame:
-    """(frag, ids, ns, skips, counts, hashes): whole sets of the documents in ``keep`` (a broadcast sorted id array; None: all),
-    packed by fragment. ``skips`` counts a document's hashes in earlier fragments, ``lasts`` is the fragment in which its prefix ends. Further columns of ``docs``, label and common, are packed as well."""
-    known = len(docs.columns) > 2
+    """(frag, hashes, told, counts, digests): prefix shingles of many documents by fragment. Shingles that several of them
+    have are counted here, in rows of frag -1, and sent on once, marked as told."""
 
     def run(batches):
         for whole in batches:
             for b in slices(whole):
-                if keep is not None:
-                    ids = b.column(0).to_numpy(zero_copy_only=False)
-                    at = np.searchsorted(keep.value, ids)
-                    b = b.filter(pa.array(keep.value[np.minimum(at, len(keep.value) - 1)] == ids))
-                    if not b.num_rows:
-                        continue
-                ids = b.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
-                sets = shingle_sets(*utf8(b.column(1)), k)
-                n = np.array([len(x) for x in sets], np.int64)
-                own, common = (b.column(j).to_numpy(zero_copy_only=False).astype(np.int64) for j in (2, 3)) if known else (ids, n)
-                bounds = np.concatenate([[0], (np.arange(1, cuts, dtype=object) * (1 << 64) // cuts)]).astype(np.uint64)
-                ends = np.stack([np.append(np.searchsorted(x, bounds[1:]), len(x)) for x in sets], 1) if len(sets) else np.zeros((cuts, 0), np.int64)
-                starts = np.vstack([np.zeros((1, len(sets)), np.int64), ends[:-1]])
-                last = np.array([int(np.searchsorted(bounds, x[prefix_length(len(x), percent) - 1], "right")) - 1 if len(x) else 0 for x in sets], np.int32)
-                n32 = n.astype(np.int32)
-                columns: list[list] = [[] for _ in range(9)]
-                for f in range(cuts):
-                    some = np.flatnonzero(ends[f] > starts[f])
-                    if len(some):
-                        hashes = np.concatenate([sets[i][starts[f, i] : ends[f, i]] for i in some])
-                        for col, x in zip(columns, (f, ids[some], n32[some], starts[f, some].astype(np.int32), (ends - starts)[f, some].astype(np.int32), hashes, own[some], last[some], common[some].astype(np.int32)), strict=True):
-                            col.append(x if isinstance(x, int) else x.tobytes())
-                        if not known:
-                            columns[6][-1] = columns[8][-1] = b""
-                yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int32()), *(pa.array(c, pa.binary()) for c in columns[1:])], ["frag", "ids", "ns", "skips", "counts", "hashes", "labels", "lasts", "commons"])
-
-    return docs.mapInArrow(run, "frag int, ids binary, ns binary, skips binary, counts binary, hashes binary, labels binary, lasts binary, commons binary")
-
-
-class Fragment:
-    """One fragment of the kept sets: documents in the order of their ids, their hashes sorted within each."""
-
-    def __init__(self, frag: int, rows: list[dict], percent: int):
-        col = lambda c, t: np.concatenate([np.frombuffer(r[c], t) for r in rows])
-        ids, labels = (col(c, np.int64) for c in ("ids", "labels"))
-        ns, skips, counts, lasts, commons = (col(c, np.int32).astype(np.int64) for c in ("ns", "skips", "counts", "lasts", "commons"))
-        labels, commons = (labels, commons) if len(labels) else (ids, ns)
-        hashes = col("hashes", np.uint64)
-        first = np.cumsum(counts) - counts
-        self.ids, take = np.unique(ids, return_index=True)
-        self.n, self.count, self.label, self.last, self.common = ns[take], counts[take], labels[take], lasts[take], commons[take]
-        self.owner = np.repeat(np.arange(len(take)), self.count)
-        inside = np.arange(len(self.owner)) - np.repeat(np.cumsum(self.count) - self.count, self.count)
-        self.h = hashes[np.repeat(first[take], self.count) + inside]
-        self.prefix = np.repeat(skips[take], self.count) + inside < np.repeat(prefix_length(self.n, percent), self.count)
-        self.frag, self.percent = frag, percent
-
-    def inform(self, known) -> None:
-        """Sets the common counts and, where given, the labels from broadcast arrays (ids, common, label)."""
-        if known is not None and len(known.value[0]):
-            ids, common, label = known.value
-            at = np.minimum(np.searchsorted(ids, self.ids), len(ids) - 1)
-            found = ids[at] == self.ids
-            self.common = np.where(found, common[at], 0)
-            if label is not None:
-                self.label = np.where(found, label[at], self.ids)
-
-    def lists(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(owners, start, size) of the lists of prefix hashes that several documents share; owners ascend in each."""
-        h, d = self.h[self.prefix], self.owner[self.prefix]
-        order = np.lexsort((d, h))
-        h, d = h[order], d[order]
-        if not len(h):
-            return d, np.zeros(0, np.int64), np.zeros(0, np.int64)
-        at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
-        size = np.diff(np.r_[at, len(h)])
-        return d, at[size > 1], size[size > 1]
-
-    def candidates(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
-        """Shared prefix hashes (x, y) of pairs that may be similar, as x * documents + y: of fitting sizes, and with enough
-        shingles each that any other kept node has at all."""
-        both = self.n[x] + self.n[y]
-        fits = 100 * np.minimum(self.n[x], self.n[y]) >= self.percent * np.maximum(self.n[x], self.n[y])
-        fits &= (100 + self.percent) * np.minimum(self.common[x], self.common[y]) >= self.percent * both
-        return x[fits] * len(self.ids) + y[fits]
-
-    def enough(self, code: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(x, y) of pairs whose count here is this fragment's part of t: the t shared prefix hashes lie in the fragments up
-        to the end of the shorter prefix, so one of these holds at least its part."""
-        x, y = code // len(self.ids), code % len(self.ids)
-        good = count * (np.minimum(self.last[x], self.last[y]) + 1) >= shared_at_least(np.minimum(self.n[x], self.n[y]))
-        return x[good], y[good]
-
-
-def _each_fragment(rows: Iterator[pd.DataFrame], percent: int) -> Iterator[Fragment]:
-    """The fragments of a partition sorted by fragment, one in memory at a time."""
-    now, held = None, []
-    for pdf in rows:
-        for r in pdf.to_dict("records"):
-            if r["frag"] != now and held:
-                yield Fragment(int(now), held, percent)
-                held = []
-            now = r["frag"]
+                sets = shingle_sets(*utf8(b.column(0)), k)
+                digests = np.array([_digest(s) for s in sets], np.int64)
+                _, once = np.unique(digests, return_index=True)
+                n = np.array([len(s) for s in sets], np.int64)
+                once = once[n[once] > 0]
+                if not len(once):
+                    continue
+                take = prefix_length(n[once], percent)
+                h, owner = np.concatenate([sets[i][:p] for i, p in zip(once, take, strict=True)]), np.repeat(once, take)
+                order = np.argsort(h, kind="stable")
+                h, owner = h[order], owner[order]
+                at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+                size = np.diff(np.r_[at, len(h)])
+                here = np.bincount(owner[np.repeat(size > 1, size)], minlength=len(sets))
+                h, owner, told = h[at], owner[at], (size > 1).astype(np.uint8)
+                frag = np.minimum((h / 2.0**64 * (cuts / PREFIX_SPAN)).astype(np.int64), cuts - 1)
+                order = np.lexsort((owner, frag))
+                h, owner, told, frag = h[order], owner[order], told[order], frag[order]
+                at = np.flatnonzero(np.r_[True, frag[1:] != frag[:-1]])
+                some = np.flatnonzero(here)
+                columns: list[list[bytes]] = [[b""], [b""], [here[some].astype(np.int32).tobytes()], [digests[some].tobytes()]]
+                for x, y in zip(at, np.r_[at[1:], len(frag)], strict=True):
+                    first = x + np.flatnonzero(np.r_[True, owner[x + 1 : y] != owner[x : y - 1]])
+                    for col, v in zip(columns, (h[x:y], told[x:y], np.diff(np.r_[first, y]).astype(np.int32), digests[owner[first]]), strict=True):
+                        col.append(v.tobytes())
+                yield pa.RecordBatch.from_arrays([pa.array(np.r_[-1, frag[at]].astype(np.int32)), *(pa.array(c, pa.binary()) for c in columns)], ["frag", "hashes", "told", "counts", "digests"])
+
+    return docs.select("text").mapInArrow(run, "frag int, hashes binary, told binary, counts binary, digests binary")
+
+
+def _chunks(frames: Iterator[pd.DataFrame], size_col: str, width: int) -> Iterator[tuple[int, pd.DataFrame]]:
+    """(fragment, rows) of a partition sorted by fragment, about CHUNK_ROWS shingles at a time."""
+    now, held, n = None, [], 0
+    for pdf in frames:
+        for r in pdf.itertuples(index=False):
+            if held and (r.frag != now or n >= CHUNK_ROWS):
+                yield now, pd.DataFrame(held)
+                held, n = [], 0
+            now = r.frag
             held.append(r)
+            n += len(getattr(r, size_col)) // width
     if held:
-        yield Fragment(int(now), held, percent)
+        yield now, pd.DataFrame(held)
+
+
+def _joined(col: pd.Series, kind) -> np.ndarray:
+    return np.frombuffer(b"".join(col), kind)
+
+
+def _shared_counts(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """(digest, shared): prefix shingles of a fragment that another digest has as well. A digest may be counted twice where
+    its text is repeated, which only keeps it. Of earlier chunks one digest of each shingle is remembered."""
+    now = None
+    for frag, rows in _chunks(frames, "hashes", 8):
+        digests, counts = _joined(rows["digests"], np.int64), _joined(rows["counts"], np.int32)
+        if frag < 0:
+            yield pd.DataFrame({"digest": digests, "shared": counts.astype(np.int64)})
+            continue
+        if frag != now:
+            now, state = frag, (np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.uint8))
+        h, d, told = (np.concatenate([a, b]) for a, b in zip(state, (_joined(rows["hashes"], np.uint64), np.repeat(digests, counts), _joined(rows["told"], np.uint8)), strict=True))
+        order = np.lexsort((1 - told, d, h))
+        h, d, told = h[order], d[order], told[order]
+        new = np.r_[True, (h[1:] != h[:-1]) | (d[1:] != d[:-1])]
+        h, d, told = h[new], d[new], told[new]
+        at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+        size = np.diff(np.r_[at, len(h)])
+        u, c = np.unique(d[np.repeat(size > 1, size) & (told == 0)], return_counts=True)
+        state = h[at], d[at], np.maximum(np.maximum.reduceat(told, at), size > 1).astype(np.uint8)
+        yield pd.DataFrame({"digest": u, "shared": c.astype(np.int64)})
+
+
+# -- the order by frequency ---------------------------------------------------------------------------------------------
+def _kept_sets(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[tuple[np.ndarray, list[np.ndarray]]]:
+    """(digests, sets) of rows (text, digest); a row whose text isn't the one of the digest is passed over."""
+    for whole in batches:
+        for b in slices(whole):
+            sets, want = shingle_sets(*utf8(b.column(0)), k), b.column(1).to_numpy(zero_copy_only=False)
+            good = [i for i, s in enumerate(sets) if len(s) and _digest(s) == want[i]]
+            if good:
+                yield want[good], [sets[i] for i in good]
 
 
-def _common_counts(packed: DataFrame, percent: int) -> DataFrame:
-    """(d, common): how many shingles of each kept node another kept node has as well, summed over fragments."""
+def _classes(kept: DataFrame, k: int, cuts: int, cell_bits: int) -> np.ndarray:
+    """The class of each cell of hashes: log2 of the number of nodes with the commonest shingle in it."""
+    frag_bits = cuts.bit_length() - 1
 
-    def run(rows):
-        for f in _each_fragment(rows, percent):
-            order = np.argsort(f.h, kind="stable")
-            h, d = f.h[order], f.owner[order]
+    def send(batches):
+        for _, sets in _kept_sets(batches, k):
+            h, c = np.unique(np.concatenate(sets), return_counts=True)
+            frag = (h >> np.uint64(64 - frag_bits)).astype(np.int64)
+            at = np.flatnonzero(np.r_[True, frag[1:] != frag[:-1]])
+            ends = np.r_[at[1:], len(h)]
+            yield pa.RecordBatch.from_arrays([pa.array(frag[at].astype(np.int32)), *(pa.array([v[x:y].tobytes() for x, y in zip(at, ends, strict=True)], pa.binary()) for v in (h, c.astype(np.int32)))], ["frag", "hashes", "counts"])
+
+    def count(frames):
+        now, held = None, []
+
+        def cells(h, c):
+            out = np.zeros(1 << (cell_bits - frag_bits), np.uint8)
+            where = ((h >> np.uint64(64 - cell_bits)) & np.uint64(len(out) - 1)).astype(np.int64)
+            np.maximum.at(out, where, np.floor(np.log2(c)).astype(np.uint8))
+            return pd.DataFrame({"frag": [now], "cells": [out.tobytes()]})
+
+        for frag, rows in _chunks(frames, "hashes", 8):
+            if frag != now:
+                if now is not None:
+                    yield cells(*held)
+                now, held = frag, (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+            h, c = np.concatenate([held[0], _joined(rows["hashes"], np.uint64)]), np.concatenate([held[1], _joined(rows["counts"], np.int32)])
+            order = np.argsort(h, kind="stable")
+            h, c = h[order], c[order]
             at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
-            size = np.diff(np.r_[at, len(h)])
-            yield pd.DataFrame({"d": f.ids, "common": np.bincount(d[np.repeat(size > 1, size)], minlength=len(f.ids)).astype(np.int64)})
-
-    return packed.mapInPandas(run, "d long, common long").groupBy("d").agg(F.sum("common").alias("common"))
-
-
-def _star_pairs(packed: DataFrame, percent: int, known) -> DataFrame:
-    """(a, b): every shared prefix hash links its documents to one centre, the node with the largest common part (then the smallest id)."""
-
-    def run(rows):
-        for f in _each_fragment(rows, percent):
-            f.inform(known)
-            d, at, size = f.lists()
-            if not len(at):
-                continue
-            span = np.repeat(at - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum())
-            member, group = d[span], np.repeat(np.arange(len(at)), size)
-            order = np.lexsort((member, -(f.common / f.n)[member], group))
-            centre = np.repeat(member[order][np.r_[0, np.cumsum(size)[:-1]]], size)
-            x, y = np.minimum(centre, member), np.maximum(centre, member)
-            x, y = x[centre != member], y[centre != member]
-            x, y = f.enough(*np.unique(f.candidates(x, y), return_counts=True))
-            yield pd.DataFrame({"a": f.ids[x], "b": f.ids[y]})
-
-    return packed.mapInPandas(run, "a long, b long").distinct()
-
-
-MOST_CODES = 1_000_000
-
-
-def _cross_pairs(packed: DataFrame, percent: int, known) -> DataFrame:
-    """(a, b): all pairs with different labels that share a prefix hash and may reach the threshold."""
-
-    def run(rows):
-        for f in _each_fragment(rows, percent):
-            f.inform(known)
-            d, at, size = f.lists()
-            mine = f.label[d]
-            if len(at):
-                span = np.repeat(at - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum())
-                low = np.minimum.reduceat(mine[span], np.r_[0, np.cumsum(size)[:-1]])
-                high = np.maximum.reduceat(mine[span], np.r_[0, np.cumsum(size)[:-1]])
-                at, size = at[low < high], size[low < high]
-            # counts of pairs merge as they grow, so memory follows the pairs, not their shared hashes
-            held: dict[str, np.ndarray] = {"code": np.zeros(0, np.int64), "count": np.zeros(0, np.int64)}
-            fresh: list[np.ndarray] = []
-            waiting = 0
-
-            def merge() -> None:
-                code, count = np.unique(np.concatenate(fresh), return_counts=True) if fresh else (np.zeros(0, np.int64), np.zeros(0, np.int64))
-                fresh.clear()
-                both, inv = np.unique(np.concatenate([held["code"], code]), return_inverse=True)
-                held["code"], held["count"] = both, np.bincount(inv, np.concatenate([held["count"], count]), len(both)).astype(np.int64)
-
-            for m in np.unique(size):
-                starts = at[size == m]
-                i, j = (np.triu_indices(m, 1) if m <= 512 else (None, None))
-                step = max(1, 400_000 // (m * m))
-                for lo in range(0, len(starts), step):
-                    block = d[starts[lo : lo + step, None] + np.arange(m)]
-                    if i is not None:
-                        pieces = [(block[:, i].ravel(), block[:, j].ravel())]
-                    else:
-                        pieces = ((np.full(m - 1 - r, one[r]), one[r + 1 :]) for one in block for r in range(m - 1))
-                    for x, y in pieces:
-                        differ = f.label[x] != f.label[y]
-                        fresh.append(f.candidates(x[differ], y[differ]))
-                        waiting += len(fresh[-1])
-                        if waiting > MOST_CODES:
-                            merge()
-                            waiting = 0
-            merge()
-            x, y = f.enough(held["code"], held["count"])
-            yield pd.DataFrame({"a": f.ids[x], "b": f.ids[y]})
-
-    return packed.mapInPandas(run, "a long, b long").distinct()
-
-
-def _verified(packed: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
-    """The pairs that reach the threshold: each fragment counts its part of the overlap, the parts are summed per pair.
-    Pairs are broadcast in portions of bounded size."""
-    sc = pairs.sparkSession.sparkContext
-    portions = max(1, -(-pairs.count() // BROADCAST_PAIRS))
-    out = None
-    for i in range(portions):
-        some = pairs.where(F.pmod(F.xxhash64("a", "b"), F.lit(portions)) == i) if portions > 1 else pairs
-        both = some.toPandas()
-        a, b = both["a"].to_numpy(np.int64), both["b"].to_numpy(np.int64)
-        shared = sc.broadcast((a, b))
-
-        def run(rows):  # noqa: B023
-            a, b = shared.value
-            for f in _each_fragment(rows, percent):
-                x, y = np.searchsorted(f.ids, a), np.searchsorted(f.ids, b)
-                x, y = np.minimum(x, len(f.ids) - 1), np.minimum(y, len(f.ids) - 1)
-                here = np.flatnonzero((f.ids[x] == a) & (f.ids[y] == b))
-                x, y = x[here], y[here]
-                _, rank = np.unique(f.h, return_inverse=True)
-                most = int(rank.max()) + 1
-                table = f.owner * most + rank  # ascending: documents in order, hashes sorted in each
-                first = np.cumsum(f.count) - f.count
-                got = np.zeros(len(here), np.int64)
-                sizes = np.cumsum(f.count[x])
-                lo = 0
-                while lo < len(x):  # portions of pairs of a bounded number of hashes
-                    hi = max(lo + 1, int(np.searchsorted(sizes, (sizes[lo - 1] if lo else 0) + 500_000)))
-                    c = f.count[x[lo:hi]]
-                    at = np.repeat(first[x[lo:hi]] - (np.cumsum(c) - c), c) + np.arange(c.sum())
-                    want = np.repeat(y[lo:hi], c) * most + rank[at]
-                    spot = np.minimum(np.searchsorted(table, want), len(table) - 1)
-                    got[lo:hi] = np.bincount(np.repeat(np.arange(hi - lo), c), table[spot] == want, hi - lo)
-                    lo = hi
-                yield pd.DataFrame({"a": a[here], "b": b[here], "na": f.n[x], "nb": f.n[y], "o": got})
-
-        part = packed.mapInPandas(run, "a long, b long, na long, nb long, o long")
-        part = part.groupBy("a", "b", "na", "nb").agg(F.sum("o").alias("o")).where(100 * F.col("o") >= percent * (F.col("na") + F.col("nb") - F.col("o"))).select("a", "b")
-        out = part if out is None else out.unionByName(part)
-    return cut_lineage(out)
+            held = h[at], np.add.reduceat(c, at)
+        if now is not None:
+            yield cells(*held)
+
+    out = np.zeros(1 << cell_bits, np.uint8)
+    width = len(out) // cuts
+    by_frag = kept.mapInArrow(send, "frag int, hashes binary, counts binary").repartition("frag").sortWithinPartitions("frag")
+    for r in by_frag.mapInPandas(count, "frag int, cells binary").toLocalIterator():
+        out[r.frag * width : (r.frag + 1) * width] = np.frombuffer(r.cells, np.uint8)
+    return out
+
+
+def _ordered(kept: DataFrame, k: int, percent: int, classes, cell_bits: int) -> DataFrame:
+    """(digest, n, common, hashes, rests, pieces) of nodes that may have partners: the listed shingles with the number of
+    shingles from each on, and the shingles that may be shared, by fragment of the sets."""
+
+    def run(batches):
+        for digests, sets in _kept_sets(batches, k):
+            n = np.array([len(s) for s in sets], np.int64)
+            h, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), n)
+            cls = classes.value[(h >> np.uint64(64 - cell_bits)).astype(np.int64)]
+            common = np.bincount(owner, cls > 0, len(sets)).astype(np.int64)
+            may = common >= least_overlap(n, percent)
+            order = np.lexsort((h, cls, owner))
+            listed = h[order]
+            rest = np.repeat(np.cumsum(n), n) - np.arange(len(h))
+            rare = np.cumsum(n) - common  # where each set's shared shingles begin in the order
+            stop = np.cumsum(n) - least_overlap(n, percent) + 1
+            piece = (h >> np.uint64(61)).astype(np.int64)
+            rows: list[list] = [[] for _ in range(6)]
+            start = np.cumsum(n) - n
+            for i in np.flatnonzero(may):
+                a, b = rare[i], max(rare[i], min(stop[i], start[i] + n[i]))
+                mine = slice(start[i], start[i] + n[i])
+                shared = cls[mine] > 0
+                own, part = h[mine][shared].astype(np.int64), piece[mine][shared]
+                cuts = np.searchsorted(part, np.arange(SET_FRAGMENTS + 1))
+                for col, v in zip(rows, (digests[i], n[i], common[i], listed[a:b].astype(np.int64), rest[a:b].astype(np.int32), [own[x:y] for x, y in zip(cuts[:-1], cuts[1:], strict=True)]), strict=True):
+                    col.append(v)
+            kinds = (pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.list_(pa.int64())))
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(rows, kinds, strict=True)], ["digest", "n", "common", "hashes", "rests", "pieces"])
+
+    return kept.mapInArrow(run, "digest long, n int, common int, hashes array<long>, rests array<int>, pieces array<array<long>>")
+
+
+# -- candidates and links -----------------------------------------------------------------------------------------------
+def _join_hot(rows: DataFrame, keyed: DataFrame, key: str, size: str, total: int, how: str = "inner") -> DataFrame:
+    """rows joined with ``keyed`` (one row per key, with its number of rows): common keys by broadcast, the others by shuffle."""
+    least = max(HOT_LEAST, -(-total // HOT_KEYS))
+    hot = F.broadcast(keyed.where(F.col(size) >= least))
+    return rows.join(hot, key).unionByName(rows.join(hot.select(key), key, "left_anti").join(keyed.where(F.col(size) < least), key, how))
+
+
+def _may_link(na: Column, ra: Column, nb: Column, rb: Column, percent: int) -> Column:
+    """Whether two sets can reach the threshold if their first common shingle is this one."""
+    return (100 * F.least(na, nb) >= percent * F.greatest(na, nb)) & ((100 + percent) * F.least(ra, rb) >= percent * (na + nb))
+
+
+def _elements(nodes: DataFrame) -> DataFrame:
+    e = nodes.select(F.col("digest").alias("node"), "n", (F.col("common") / F.col("n")).alias("share"), F.explode(F.arrays_zip("hashes", "rests")).alias("e"))
+    return e.select("node", "n", "share", F.col("e.hashes").alias("h"), F.col("e.rests").alias("rest"))
+
+
+def _star_pairs(e: DataFrame, total: int, percent: int) -> DataFrame:
+    """(a, b): each node b with the centre a it shares most listed shingles with. The centre of a list has the largest
+    part of its shingles in common with others."""
+    lists = cut_lineage(e.groupBy("h").agg(F.count("*").alias("size"), F.max(F.struct("share", "node", "n", "rest")).alias("c")).where("size > 1"))
+    met = _join_hot(e, lists, "h", "size", total).where(F.col("node") != F.col("c.node")).where(_may_link(F.col("n"), F.col("rest"), F.col("c.n"), F.col("c.rest"), percent))
+    counts = met.groupBy(F.col("c.node").alias("a"), F.col("node").alias("b")).agg(F.count("*").alias("n"))
+    return counts.groupBy("b").agg(F.max(F.struct("n", "a")).alias("best")).select("best.a", "b")
+
+
+def _cross_pairs(e: DataFrame, labels: DataFrame, total: int, percent: int) -> DataFrame:
+    """(a, b): pairs of different components that meet in a list and may reach the threshold. In each list those outside the
+    component of its centre meet all; long lists are dealt over blocks."""
+    e = e.join(labels.withColumnRenamed("d", "node"), "node", "left").withColumn("label", F.coalesce("label", "node"))
+    lists = e.groupBy("h").agg(F.count("*").alias("size"), F.min("label").alias("low"), F.max("label").alias("high"), F.max(F.struct("share", "node", "label")).alias("c")).where("low < high")
+    lists = cut_lineage(lists.select("h", "size", F.col("c.label").alias("top"), F.ceil(F.col("size") / BLOCK_ROWS).cast("int").alias("blocks")))
+    e = cut_lineage(_join_hot(e, lists, "h", "size", total).select("h", "node", "n", "rest", "label", "top", "blocks"))
+    left = e.withColumn("block", F.pmod(F.xxhash64("node"), "blocks").cast("int")).alias("x")
+    right = e.where("label <> top").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).alias("y")
+    once = (F.col("x.label") == F.col("x.top")) | (F.col("x.node") < F.col("y.node"))
+    bound = _may_link(F.col("x.n"), F.col("x.rest"), F.col("y.n"), F.col("y.rest"), percent)
+    met = left.join(right, (F.col("x.h") == F.col("y.h")) & (F.col("x.block") == F.col("y.block")) & (F.col("x.label") != F.col("y.label")) & once & bound)
+    return met.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
+
+
+PAIRS_A_TASK = 1_000
+
+
+def _verified(nodes: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
+    """The pairs that reach the threshold: each fragment of the sets counts its part of the overlap, the parts are summed per pair."""
+    pairs = cut_lineage(pairs)
+    small = pairs.count() <= BROADCAST_PAIRS
+    near = F.broadcast if small else lambda df: df
+    many = pairs.groupBy("a").agg(F.ceil(F.count("*") / PAIRS_A_TASK).cast("int").alias("salts")).where("salts > 1")
+    pieces = nodes.select("digest", "n", F.posexplode("pieces").alias("frag", "piece")).where(F.size("piece") > 0)
+    salted = pairs.join(F.broadcast(many), "a", "left").withColumn("salt", F.pmod(F.xxhash64("b"), F.coalesce("salts", F.lit(1))).cast("int"))
+    left = pieces.join(near(salted.select("a", F.col("b").alias("digest"), "salt")), "digest").select("a", "salt", "frag", F.col("digest").alias("b"), F.col("n").alias("nb"), F.col("piece").alias("pb"))
+    centres = salted.select(F.col("a").alias("digest"), "salt").distinct()
+    right = pieces.join(near(centres), "digest").select(F.col("digest").alias("a"), "salt", "frag", F.col("n").alias("na"), F.col("piece").alias("pa"))
+    parts = left.join(right, ["a", "salt", "frag"]).select("a", "b", "na", "nb", F.size(F.array_intersect("pa", "pb")).alias("o"))
+    sums = parts.groupBy("a", "b", "na", "nb").agg(F.sum("o").alias("o"))
+    return cut_lineage(sums.where(100 * F.col("o") >= percent * (F.col("na") + F.col("nb") - F.col("o"))).select("a", "b"))
 
 
 def connected_components(edges: DataFrame) -> DataFrame:
@@ -363,63 +324,79 @@ def connected_components(edges: DataFrame) -> DataFrame:
             return labels
 
 
-def _t(n):
-    return F.greatest(F.lit(1), F.floor(n * 0.1).cast("long"))
-
-
-def similarity_components(docs: DataFrame, percent: int = 75, k: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, component_id): one row per row of ``docs``."""
+def _links(docs: DataFrame, table: DataFrame, groups: DataFrame, percent: int, k: int) -> DataFrame | None:
+    """(d, label): components of digests that have a link; None if none has."""
     spark = docs.sparkSession
-    docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    table = cut_lineage(shingle_table(docs, k))
     total = table.agg(F.sum("n").alias("s")).first().s or 0
-    nodes = table.where("n > 0").groupBy("digest").agg(F.min("doc_id").alias("d"))
-
     fragments = max(8, math.ceil(total * 0.35 / COUNT_ROWS))
-    shared = _fragment_rows(docs, k, percent, fragments).groupBy("frag").applyInPandas(_shared_in_fragment, "digest long, n long, shared long")
-    least_partner = F.ceil(F.col("n") * percent / 100)
-    suspects = shared.groupBy("digest", "n").agg(F.sum("shared").alias("shared")).where(F.col("shared") >= _t(least_partner))
-    keep = cut_lineage(suspects.join(nodes, "digest").select("d", "n"))
-    count = keep.count()
+    hot = F.broadcast(groups.where(F.col("copies") >= max(HOT_LEAST, -(-table.count() // HOT_KEYS))).select(F.col("one.text_key").alias("text_key"), F.col("one.doc_id").alias("hot_id")))
+    single = docs.join(hot, "text_key", "left").where("hot_id is null or hot_id <=> doc_id")  # of a text with very many copies one row is enough
+    shared = _fragment_rows(single, k, percent, fragments).repartition("frag").sortWithinPartitions("frag").mapInPandas(_shared_counts, "digest long, shared long")
+    partner = F.ceil(F.col("n") * percent / 100)
+    suspects = shared.groupBy("digest").agg(F.sum("shared").alias("shared")).join(groups, "digest").where(F.col("shared") >= F.greatest(F.lit(1), F.floor(partner * 0.1).cast("long")))
+    keep = cut_lineage(suspects.select("digest", "n", F.col("one.doc_id").alias("d"), F.col("one.text_key").alias("text_key")))
+    count, kept_total = keep.agg(F.count("*"), F.sum("n")).first()
     if not count:
-        labels = None
-    else:
-        kept_total = keep.agg(F.sum("n")).first()[0]
-        cuts = max(8, math.ceil(kept_total / FRAGMENT_ROWS))
-        small = count <= BROADCAST_NODES
-        if small:
-            chosen = docs
-            ids = spark.sparkContext.broadcast(np.sort(np.array([r.d for r in keep.select("d").toLocalIterator()], np.int64)))
-        else:
-            chosen, ids = docs.join(keep.select(F.col("d").alias("doc_id")), "doc_id", "left_semi"), None
-        packed = cut_lineage(_packed_sets(chosen, k, percent, ids, cuts).repartition("frag").sortWithinPartitions("frag"))
-        common = cut_lineage(_common_counts(packed, percent))
-        known = None
-        if small:
-            pdf = common.toPandas().sort_values("d")
-            at, n_common = pdf["d"].to_numpy(np.int64), pdf["common"].to_numpy(np.int64)
-            known = spark.sparkContext.broadcast((at, n_common, None))
-        links = _verified(packed, cut_lineage(_star_pairs(packed, percent, known)), percent)
-        labels = connected_components(links)
-        if small:
-            pdf = labels.toPandas().sort_values("d")
-            label = at.copy()
-            label[np.searchsorted(at, pdf["d"].to_numpy(np.int64))] = pdf["label"].to_numpy(np.int64)
-            across = _cross_pairs(packed, percent, spark.sparkContext.broadcast((at, n_common, label)))
-        else:
-            named = chosen.join(common.withColumnRenamed("d", "doc_id"), "doc_id").join(labels.withColumnRenamed("d", "doc_id"), "doc_id", "left")
-            named = named.select("doc_id", "text", F.coalesce("label", "doc_id").alias("label"), "common")
-            across = _cross_pairs(cut_lineage(_packed_sets(named, k, percent, None, cuts).repartition("frag").sortWithinPartitions("frag")), percent, None)
-        more = _verified(packed, cut_lineage(across), percent)
-        if not more.isEmpty():
-            labels = connected_components(links.union(more))
-    out = table.join(nodes.select("digest", "d"), "digest", "left")
-    if labels is None:
-        return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("d")).otherwise(F.col("doc_id")).alias("component_id"))
-    return out.join(labels, "d", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.coalesce("label", "d")).otherwise(F.col("doc_id")).alias("component_id"))
-
-
-def drop_near_duplicates(docs: DataFrame, **how) -> DataFrame:
-    """The documents that are the smallest doc_id of their component, with all their columns."""
-    extra = similarity_components(docs, **how).where("doc_id != component_id").select("doc_id").distinct()
-    return docs.join(extra, "doc_id", "left_anti").select(*docs.columns)
+        return None
+    near = F.broadcast if count <= BROADCAST_NODES else lambda df: df
+    wanted = near(keep.select("digest", "d", F.col("text_key").alias("key")))
+    kept = docs.join(wanted, (docs.text_key == F.col("key")) & docs.doc_id.eqNullSafe(F.col("d"))).select("text", "digest")
+    cuts = 1 << max(3, math.ceil(math.log2(max(1, kept_total / FRAGMENT_ROWS))))
+    cell_bits = min(MOST_CELL_BITS, max(20, math.ceil(math.log2(kept_total + 1)), cuts.bit_length()))
+    classes = spark.sparkContext.broadcast(_classes(kept, k, cuts, cell_bits))
+    nodes = cut_lineage(_ordered(kept, k, percent, classes, cell_bits))
+    if nodes.count() > nodes.select("digest").distinct().count():  # repeated rows
+        nodes = cut_lineage(nodes.dropDuplicates(["digest"]))
+    e = _elements(nodes)
+    size = nodes.agg(F.sum(F.size("hashes"))).first()[0]
+    if not size:
+        return None
+    links = _verified(nodes, _star_pairs(e, size, percent), percent)
+    labels = connected_components(links)
+    more = _verified(nodes, _cross_pairs(e, labels, size, percent), percent)
+    if not more.isEmpty():
+        labels = connected_components(links.union(more))
+    classes.unpersist()
+    return labels
+
+
+def _components(docs: DataFrame, percent: int, k: int) -> DataFrame:
+    """(doc_id, text_key, n, digest, root, component_id) per row of ``docs`` (doc_id, text_key, text); root tells components apart."""
+    table = cut_lineage(shingle_table(docs, k))
+    one = F.min_by(F.struct("doc_id", "text_key"), F.struct(F.col("doc_id").isNull(), "doc_id", "text_key")).alias("one")
+    groups = cut_lineage(table.where("n > 0").groupBy("digest").agg(F.first("n").alias("n"), F.count("*").alias("copies"), one))
+    labels = _links(docs, table, groups, percent, k)
+    roots = groups.select("digest", "copies", F.col("one.doc_id").alias("d"), F.col("digest").alias("root"))
+    if labels is not None:
+        roots = cut_lineage(roots.drop("root").join(labels.withColumnRenamed("d", "digest"), "digest", "left"))
+        least = roots.where("label is not null").groupBy("label").agg(F.min("d").alias("least"))
+        roots = roots.join(least, "label", "left").select("digest", "copies", F.coalesce("least", "d").alias("d"), F.coalesce("label", "digest").alias("root"))
+    roots = cut_lineage(roots.select("digest", "copies", "root", F.col("d").alias("component_id")))
+    found = _join_hot(table.where("n > 0"), roots, "digest", "copies", table.count())
+    none = table.where("n = 0").withColumn("copies", F.lit(1).cast("long")).withColumn("root", F.lit(None).cast("long")).withColumn("component_id", F.col("doc_id"))
+    return found.unionByName(none)
+
+
+def _input(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("text_key"), F.col(text_col).alias("text"))
+
+
+def similarity_components(docs: DataFrame, percent: int = 75, k: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, n_shingles, component_id): one row per row of ``docs``."""
+    return _components(_input(docs, id_col, text_col), percent, k).select("doc_id", F.col("n").alias("n_shingles"), "component_id")
+
+
+def drop_near_duplicates(docs: DataFrame, percent: int = 75, k: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One document of each component, the one of the smallest doc_id (then text hash), with all its columns; repeated rows
+    of a document stay once."""
+    rows = cut_lineage(_components(_input(docs, id_col, text_col), percent, k).select("doc_id", "text_key", "root"))
+    by_root = rows.where(F.col("root").isNotNull()).groupBy("root").agg(F.min_by(F.struct("doc_id", "text_key"), F.struct(F.col("doc_id").isNull(), "doc_id", "text_key")).alias("one"), F.count("*").alias("copies"))
+    grouped = by_root.where("copies > 1").select("root", "copies", F.col("one.doc_id").alias("keep_id"), F.col("one.text_key").alias("keep_key"))
+    met = _join_hot(rows, cut_lineage(grouped), "root", "copies", rows.count())
+    out = met.where("not (doc_id <=> keep_id and text_key = keep_key)").select(F.col("doc_id").alias("out_id"), F.col("text_key").alias("out_key")).distinct()
+    repeated = cut_lineage(rows.groupBy(F.col("doc_id").alias("out_id"), F.col("text_key").alias("out_key")).agg(F.count("*").alias("n")).where("n > 1").drop("n"))
+    own = (F.xxhash64(F.coalesce(docs[text_col], F.lit(""))) == F.col("out_key")) & docs[id_col].cast("long").eqNullSafe(F.col("out_id"))
+    left = docs.join(out, own, "left_anti")
+    if repeated.isEmpty():
+        return left
+    return left.join(repeated, own, "left_anti").unionByName(left.join(repeated, own, "left_semi").dropDuplicates([id_col, text_col]))
