@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import shared_folder
+
 
 def load_table(spark: SparkSession, sf_dir: str, name: str, cols: list[str] | None = None) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -14,11 +14,10 @@ def load_table(spark: SparkSession, sf_dir: str, name: str, cols: list[str] | No
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    """A folder for round trips: under the shared checkpoint folder where the cluster names one."""
+    """A folder for round trips, under the shared checkpoint folder."""
     import uuid
 
-    root = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="flextensor-")
-    return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
 def round_trip(df: DataFrame, fmt: str) -> DataFrame:
