@@ -210,7 +210,7 @@ def _classes(kept: DataFrame, k: int, cuts: int, cell_bits: int) -> np.ndarray:
     out = np.zeros(1 << cell_bits, np.uint8)
     width = len(out) // cuts
     by_frag = kept.mapInArrow(send, "frag int, hashes binary, counts binary").repartition("frag").sortWithinPartitions("frag")
-    for r in by_frag.mapInPandas(count, "frag int, cells binary").toLocalIterator():
+    for r in by_frag.mapInPandas(count, "frag int, cells binary").collect():  # together as large as the array
         out[r.frag * width : (r.frag + 1) * width] = np.frombuffer(r.cells, np.uint8)
     return out
 
