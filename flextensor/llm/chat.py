@@ -3,8 +3,9 @@
 A template is a function from a list of (role, text) turns to one string. Nothing is known about it: the formatter
 renders successive prefixes of a conversation and compares consecutive outputs. Where an output begins with the one
 before, the rest is the new turn's span; where it doesn't, the template rewrites history, which is reported together
-with the turn, and the span is taken from the first difference on. Long conversations are rendered in windows of a few turns;
-the spans so found count only if their concatenation equals one rendering of the whole, else all prefixes are rendered.
+with the turn, and the span is taken from the first difference on. Every prefix of every conversation is rendered and
+compared, whatever its length; the templates here remember the turns they have rendered, up to a bounded number of
+characters, so that a further prefix costs its joining and one comparison of memory.
 
 The template ``marked`` starts each turn with a control string and escapes whatever looks like one in texts and
 roles: backslashes double and a backslash goes behind the first character of a control string. Reading back undoes both.
@@ -28,7 +29,7 @@ Turns = list[tuple[str, str]]
 CONTROL = re.compile(r"<\||\|>|</?s>|\[/?INST\]|<</?SYS>>|<(?:bos|eos|start_of_turn|end_of_turn)>")
 STARTS = re.compile(rf"(?={CONTROL.pattern})(.)")
 TURN = re.compile(r"<\|turn\|>(.*?)<\|text\|>(.*?)<\|end\|>", re.S)
-FULL_PREFIXES, WINDOW = 32, 4
+REMEMBERED_CHARS = 1 << 24
 
 
 def escape(text: str) -> str:
@@ -41,8 +42,31 @@ def unescape(text: str) -> str:
     return re.sub(r"\\(\\?)", r"\1", text) if "\\" in text else text
 
 
+def remembered(render: Callable[[tuple[str, str]], str], most: int = REMEMBERED_CHARS) -> Callable[[tuple[str, str]], str]:
+    """``render`` of single turns, its results kept up to ``most`` characters."""
+    known: dict[tuple[str, str], str] = {}
+    held = 0
+
+    def piece(turn: tuple[str, str]) -> str:
+        nonlocal held
+        out = known.get(turn)
+        if out is None:
+            out = render(turn)
+            held += len(out) + len(turn[1])
+            if held > most:
+                known.clear()
+                held = len(out) + len(turn[1])
+            known[turn] = out
+        return out
+
+    return piece
+
+
+_marked_turn = remembered(lambda turn: f"<|turn|>{escape(turn[0])}<|text|>{escape(turn[1])}<|end|>")
+
+
 def marked(turns: Turns) -> str:
-    return "".join(f"<|turn|>{escape(r)}<|text|>{escape(t)}<|end|>" for r, t in turns)
+    return "".join(map(_marked_turn, turns))
 
 
 def bracketed(turns: Turns) -> str:
@@ -67,21 +91,6 @@ def last_answer_only(turns: Turns) -> str:
 
 def locate(turns: Turns, template: Callable[[Turns], str]) -> tuple[str, list[tuple[int, int]], list[int]]:
     """(output, span of each turn, turns at which history was rewritten)"""
-    if len(turns) > FULL_PREFIXES:
-        pieces = []
-        for k in range(len(turns)):
-            near = turns[max(0, k - WINDOW) : k]
-            old, new = template(near) if near else "", template([*near, turns[k]])
-            if not new.startswith(old):
-                break
-            pieces.append(new[len(old) :])
-        else:
-            whole, at, spans = template(turns), 0, []
-            for p in pieces:
-                spans.append((at, at + len(p)))
-                at += len(p)
-            if "".join(pieces) == whole:
-                return whole, spans, []
     old, spans, rewritten = "", [], []
     for k in range(len(turns)):
         new = template(turns[: k + 1])
