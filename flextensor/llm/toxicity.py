@@ -39,7 +39,8 @@ FOLDING = {**{ord(a): b for a, b in zip(HOMOGLYPHS, LOOKS_LIKE, strict=True)}, *
 LEET = {ord(a): b for a, b in DIGITS.items()}
 GAP = re.compile(r"[\W_]+")
 WORD = re.compile(r"[^\W\d_]\w*")
-LEETWORD = re.compile(r"(?<![^\W_])(?=[\w@$]*[^\W\d_])(?=[\w@$]*[0134578@$])[\w@$]+(?![^\W_])")
+RUN = re.compile(r"[\w@$]+")
+LETTER, SIGN = re.compile(r"[^\W\d_]"), re.compile(r"[0134578@$]")
 
 
 def fold(text: str) -> str:
@@ -47,7 +48,8 @@ def fold(text: str) -> str:
     t = text.lower()
     if not t.isascii():
         t = t.translate(FOLDING)
-    t = LEETWORD.sub(lambda m: m[0].rstrip("@$").translate(LEET), t)
+    if SIGN.search(t):
+        t = RUN.sub(lambda m: m[0].rstrip("@$").translate(LEET) if SIGN.search(m[0]) and LETTER.search(m[0]) else m[0], t)
     return f" {GAP.sub(' ', t).strip()} "
 
 
@@ -87,7 +89,17 @@ class Lexicon:
                 spared.append((start, end))
             else:
                 best[start] = max(w, best.get(start, -math.inf))
-        return sum(w for s, w in best.items() if not any(x <= s < y for x, y in spared))
+        if not spared:
+            return sum(best.values())
+        spared.sort()
+        total, at, until = 0.0, 0, -1  # matches and exceptions are met in the order of the text
+        for s, w in sorted(best.items()):
+            while at < len(spared) and spared[at][0] <= s:
+                until = max(until, spared[at][1])
+                at += 1
+            if s >= until:
+                total += w
+        return total
 
     def features(self, text: str | None) -> tuple[float, float]:
         folded = fold(text or "")
@@ -160,7 +172,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE_ROWS,
     if fold_left_out is not None:
         known = known.where(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 != fold_left_out)
     share = min(1.0, sample / max(1, known.count()))
-    known = known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(share * 1_000_000)).dropDuplicates(["doc_id"])
+    known = known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(share * 1_000_000)).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     return docs.select("doc_id", "text").join(F.broadcast(known), "doc_id").select("text", "toxic")
 
 
