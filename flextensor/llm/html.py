@@ -1,11 +1,12 @@
 """Main-text extraction from HTML by a recurrent block labeller.
 
 A page is cut into leaf blocks, the runs of text between block-level tags. Each block is a vector of its tag path
-(tags with their class and id words, hashed), of a hashed bag of its words and of a few measures. A bidirectional LSTM
+(tags with their class and id words, hashed), of a hashed set of all its words and of a few measures. A bidirectional LSTM
 in numpy reads the blocks of a page in order and labels each as main text or not, with the whole page as context.
 
-The network is trained here, on pages built from a grammar of page parts (``training_pages``) filled with words drawn
-from the hash space, so nothing is fitted to given pages. Scripts, styles, comments and markup never become blocks.
+The network is trained here, on pages built from a grammar of page parts (``training_pages``): running text of frequent
+words of four languages and random letters, menus, and notices in the words of their part, some of them in plain tags
+amid the text. Nothing is fitted to given pages. Scripts, styles, comments and markup never become blocks.
 
 Defined results: null and empty pages give the empty text; broken markup is read as far as it goes; very long pages are
 read whole; repeated rows are alike; an empty table gives an empty result; further columns are ignored.
@@ -16,7 +17,8 @@ from __future__ import annotations
 import html as entities
 import re
 import zlib
-from collections.abc import Iterator
+from collections import Counter
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -29,23 +31,122 @@ BLOCK = frozenset("address article aside blockquote body caption center dd detai
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style noscript svg math iframe object canvas".split())
 SELF_CLOSING = {"p": frozenset(["p"]), "li": frozenset(["li"]), "td": frozenset(["td", "th"]), "th": frozenset(["td", "th"]), "tr": frozenset(["tr", "td", "th"]), "option": frozenset(["option"]), "dt": frozenset(["dt", "dd"]), "dd": frozenset(["dt", "dd"])}
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|</?[A-Za-z](?:[^>\"']|\"[^\"]*\"|'[^']*')*>", re.S)
+SPECIAL = re.compile(r"[>\"']")
 TAG = re.compile(r"<(/?)([A-Za-z][A-Za-z0-9:-]*)(.*)>", re.S)
 MARKS = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 WORDS = re.compile(r"[a-z]+")
+LETTERS = re.compile(r"[^\W\d_]+")
 SPACE = re.compile(r"\s+")
+RAW_END = {name: re.compile(rf"</{name}\s*>", re.I) for name in RAW}
 
-PATH_DIMS, WORD_DIMS, MEASURES, HIDDEN = 192, 16, 6, 16
+PATH_DIMS, WORD_DIMS, MEASURES, HIDDEN = 192, 256, 6, 16
 DIMS = PATH_DIMS + WORD_DIMS + MEASURES
+WORD_DECAY = 2.0
+MOST_PATHS = 50_000  # paths remembered between pages
 
 
 class Block:
     __slots__ = ("path", "linked", "text")
 
-    def __init__(self, path: tuple[str, ...], text: str, linked: int):
+    def __init__(self, path: "Path", text: str, linked: int):
         self.path, self.text, self.linked = path, text, linked
 
 
+class Path:
+    """The open tags down to one, as a sum of hashed slots: a tag adds its own to its parent's, whatever the depth."""
+
+    __slots__ = ("name", "raw", "vector", "below")
+    made = 0
+
+    def __init__(self, name: str, raw: np.ndarray):
+        self.name, self.raw, self.below = name, raw, {}
+        self.vector = np.clip(raw, -2, 2)
+
+    def child(self, name: str, marks: tuple[str, ...]) -> "Path":
+        key = (name, marks)
+        out = self.below.get(key)
+        if out is None:
+            raw = self.raw.copy()
+            for part in (name, *(f"{name}.{k}" for k in marks), *(f".{k}" for k in marks)):
+                for salt in ("path", "more"):
+                    i, sign = _slot(f"{salt} {part}", PATH_DIMS)
+                    raw[i] += sign
+            out = self.below[key] = Path(name, raw)
+            Path.made += 1
+        return out
+
+
+_TOP = Path("", np.zeros(PATH_DIMS, np.float32))
+
+
+def scanner(page: str) -> Callable[[int], tuple[int, int] | None]:
+    """A function from a position to the (start, end) of the next comment, declaration or tag. A ``<`` that opens no tag is text. All
+    calls together take linear time: what is known of a stretch that closes no tag is kept."""
+    size = len(page)
+    ends: dict[int, int] = {}  # from a special character outside quotes: where the tag ends, or -1
+    near = (0, -1)  # from its first to its second position the next special character is the second
+    missing = {c: size + 1 for c in ">\"'"}  # from here on the character doesn't occur
+
+    def special(i: int) -> int:
+        nonlocal near
+        if not near[0] <= i <= near[1]:
+            m = SPECIAL.search(page, i)
+            near = (i, m.start() if m else size)
+        return near[1]
+
+    def find(c: str, i: int) -> int:
+        if i >= missing[c]:
+            return -1
+        out = page.find(c, i)
+        if out < 0:
+            missing[c] = i
+        return out
+
+    def tag_end(i: int) -> int:
+        way = []
+        q = special(i)
+        while True:
+            out = ends.get(q)
+            if out is None:
+                if q >= size:
+                    out = -1
+                elif page[q] == ">":
+                    out = q + 1
+                else:
+                    way.append(q)
+                    close = find(page[q], q + 1)
+                    if close >= 0:
+                        q = special(close + 1)
+                        continue
+                    out = -1
+            for w in way:
+                ends[w] = out
+            return out
+
+    def token(at: int) -> tuple[int, int] | None:
+        while True:
+            i = page.find("<", at)
+            if i < 0:
+                return None
+            c = page[i + 1 : i + 2]
+            if page.startswith("<!--", i):
+                end = page.find("-->", i + 4) + 3
+                end = end if end > 2 else size
+            elif page.startswith("<![CDATA[", i):
+                end = page.find("]]>", i + 9) + 3
+                end = end if end > 2 else size
+            elif c in ("!", "?"):
+                end = page.find(">", i + 2) + 1 or size
+            else:
+                d = page[i + 2 : i + 3] if c == "/" else c
+                end = tag_end(i + 2 + (c == "/")) if d.isascii() and d.isalpha() else -1
+            if end >= 0:
+                return i, end
+            at = i + 1
+
+    return token
+
+
 @lru_cache(100_000)
 def _open(token: str) -> tuple[bool, str, tuple[str, ...]]:
     m = TAG.match(token)
@@ -59,8 +160,12 @@ def _open(token: str) -> tuple[bool, str, tuple[str, ...]]:
 
 def blocks(page: str) -> list[Block]:
     """The non-empty leaf blocks of a page, in order."""
+    if Path.made > MOST_PATHS:
+        _TOP.below.clear()
+        Path.made = 0
     out: list[Block] = []
-    stack: list[tuple[str, tuple[str, ...]]] = []
+    stack: list[Path] = []
+    open_: Counter = Counter()
     pieces: list[str] = []
     linked, in_link, at = 0, 0, 0
 
@@ -70,26 +175,23 @@ def blocks(page: str) -> list[Block]:
             text = SPACE.sub(" ", entities.unescape("".join(pieces))).strip()
             pieces.clear()
             if text:
-                out.append(Block(tuple(y for x, marks in stack for y in (x, *(f"{x}.{k}" for k in marks), *(f".{k}" for k in marks))), text, linked))
+                out.append(Block(stack[-1] if stack else _TOP, text, linked))
         linked = 0
 
-    search = TOKEN.search
-    while True:
-        m = search(page, at)
-        if m is None:
-            pieces.append(page[at:])
-            break
-        if m.start() > at:
-            pieces.append(page[at : m.start()])
-            linked += (m.start() - at) * bool(in_link)
-        at, token = m.end(), m[0]
+    following = scanner(page)
+    while (found := following(at)) is not None:
+        start, end = found
+        if start > at:
+            pieces.append(page[at:start])
+            linked += (start - at) * bool(in_link)
+        at, token = end, page[start:end]
         if token[1] in "!?":
             continue
         closing, name, marks = _open(token)
         if name in RAW:
             if not closing and not token.endswith("/>"):
-                end = re.compile(rf"</{name}\s*>", re.I).search(page, at)
-                at = end.end() if end else len(page)
+                close = RAW_END[name].search(page, at)
+                at = close.end() if close else len(page)
             continue
         if name not in BLOCK:
             if name == "a":
@@ -99,16 +201,21 @@ def blocks(page: str) -> list[Block]:
             continue
         flush()
         if closing:
-            for i in range(len(stack) - 1, -1, -1):
-                if stack[i][0] == name:
-                    del stack[i:]
-                    break
+            if open_[name]:
+                while True:
+                    x = stack.pop().name
+                    open_[x] -= 1
+                    if x == name:
+                        break
         elif name not in VOID:
             ends = SELF_CLOSING.get(name)
             if ends:
-                while stack and stack[-1][0] in ends:
-                    stack.pop()
-            stack.append((name, marks))
+                while stack and stack[-1].name in ends:
+                    open_[stack.pop().name] -= 1
+            stack.append((stack[-1] if stack else _TOP).child(name, marks))
+            open_[name] += 1
+    if at < len(page):
+        pieces.append(page[at:])
     flush()
     return out
 
@@ -119,28 +226,22 @@ def _slot(text: str, dims: int) -> tuple[int, float]:
     return h % dims, 1.0 if h & 0x10000 else -1.0
 
 
-@lru_cache(20_000)
-def _path_vector(path: tuple[str, ...]) -> np.ndarray:
-    v = np.zeros(PATH_DIMS, np.float32)
-    for p in path:
-        i, s = _slot(f"path {p}", PATH_DIMS)
-        j, z = _slot(f"more {p}", PATH_DIMS)
-        v[i] += s
-        v[j] += z
-    return np.clip(v, -2, 2)
-
-
 def vectors(found: list[Block]) -> np.ndarray:
     x = np.zeros((len(found), DIMS), np.float32)
     n = len(found)
+    words: list[tuple[int, float]] = []
+    counts = np.zeros(n, np.int64)
     for k, b in enumerate(found):
-        x[k, :PATH_DIMS] = _path_vector(b.path)
-        some = b.text[:200].lower().split()[:20]  # the vector only; the text itself stays whole
-        for w in some:
-            i, s = _slot(w, WORD_DIMS)
-            x[k, PATH_DIMS + i] += s / (1 + len(some))
+        x[k, :PATH_DIMS] = b.path.vector
+        own = [_slot(w, WORD_DIMS) for w in set(LETTERS.findall(b.text.lower()))]
+        words += own
+        counts[k] = len(own)
         size = len(b.text)
         x[k, -MEASURES:] = (np.log1p(size) / 5, min(1.0, b.linked / (size + 1)), k / n, float(b.text[-1] in ".!?"), min(1.0, b.text.count(",") * 20 / (size + 1)), 1.0)
+    if words:
+        slot, sign = (np.array(v) for v in zip(*words, strict=True))
+        bag = np.bincount(np.repeat(np.arange(n), counts) * WORD_DIMS + slot, sign, n * WORD_DIMS).reshape(n, WORD_DIMS)
+        x[:, PATH_DIMS : PATH_DIMS + WORD_DIMS] = np.clip(bag / np.sqrt(1 + counts)[:, None], -1, 1)
     return x
 
 
@@ -229,6 +330,17 @@ def padded(pages: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
 
 # fixed values: how pages name their parts
 OUTSIDE = "nav menu navbar topnav breadcrumb breadcrumbs pagination header masthead banner footer foot copyright sidebar side rail widget related recommended trending ad ads advert advertisement sponsor sponsored promo notice cookie cookies consent gdpr alert modal popup overlay comment comments replies reply respond discussion disqus form search login signup subscribe newsletter share social tags meta author byline toolbar skip".split()
+# words that parts outside the main text use, in four languages
+PART_WORDS = {
+    "consent": "cookie cookies consent accept privacy policy we use datenschutz zustimmen akzeptieren einwilligung accepter confidentialité aceptar privacidad",
+    "rights": "copyright rights reserved terms imprint contact impressum alle rechte vorbehalten kontakt mentions légales tous droits réservés todos los derechos reservados aviso legal",
+    "letter": "subscribe newsletter sign up email inbox weekly abonnieren anmelden abonnez vous inscrire suscríbete boletín correo",
+    "reply": "comment comments reply replies posted by ago says kommentar kommentare antworten commentaire commentaires répondre comentario comentarios responder",
+    "offer": "advertisement sponsored ad buy now offer sale discount shop anzeige werbung jetzt kaufen angebot publicité acheter offre publicidad comprar oferta",
+    "more": "share tweet follow us related read more trending menu home login search teilen folgen mehr lesen partager suivez lire aussi compartir síguenos leer más",
+}
+# frequent words of running text in the same languages
+PROSE_WORDS = "the of and to in that was it for on with as his they at from had this but not which she were der die und das den von zu mit sich auf für ist im dem nicht ein eine als auch es wurde war le la les des et en un une du dans qui que pour sur pas plus par au avec il elle était el los las del por una con no se su para como fue más pero".split()
 INSIDE = "content main article post entry body story text articlebody maincontent postcontent entrycontent page".split()
 
 
@@ -238,11 +350,26 @@ def training_pages(n: int, seed: int = 11) -> list[tuple[str, list[int]]]:
     pick = lambda xs: xs[int(rng.integers(len(xs)))]
     chance = lambda p: rng.random() < p
 
-    def phrase(lo: int, hi: int) -> str:
-        return " ".join("".join(chr(97 + int(c)) for c in rng.integers(0, 26, int(rng.integers(2, 9)))) for _ in range(int(rng.integers(lo, hi + 1))))
+    parts_of = [x.split() for x in PART_WORDS.values()]
 
-    def sentences(hi: int = 60) -> str:
-        return ". ".join(phrase(1, 25).capitalize() for _ in range(int(rng.integers(1, max(2, hi // 12))))) + pick([".", ".", ".", "", "!", ","])
+    def word(vocabulary: list[str] | None = None, share: float = 0.5) -> str:
+        """Of a vocabulary with the chance ``share``, else letters at random."""
+        if vocabulary and chance(share):
+            return pick(vocabulary)
+        return "".join(chr(97 + int(c)) for c in rng.integers(0, 26, int(rng.integers(2, 9))))
+
+    def phrase(lo: int, hi: int, vocabulary: list[str] | None = None, share: float = 0.5) -> str:
+        return " ".join(word(vocabulary, share) for _ in range(int(rng.integers(lo, hi + 1))))
+
+    def sentences(hi: int = 60, vocabulary: list[str] | None = None, share: float = 0.5) -> str:
+        return ". ".join(phrase(1, 25, vocabulary, share).capitalize() for _ in range(int(rng.integers(1, max(2, hi // 12))))) + pick([".", ".", ".", "", "!", ","])
+
+    def prose(hi: int = 60) -> str:
+        return sentences(hi, PROSE_WORDS, pick([0.0, 0.3, 0.5]))
+
+    def notice() -> str:
+        """Words of one part, a few sentences at most."""
+        return sentences(30, pick(parts_of), pick([0.6, 0.8, 0.95]))
 
     def marks(names: list[str]) -> str:
         a = pick(names)
@@ -253,30 +380,37 @@ def training_pages(n: int, seed: int = 11) -> list[tuple[str, list[int]]]:
         k = int(rng.integers(1, 5))
         kind = rng.random()
         if kind < 0.25:
-            return "<ul>" + "".join(f'<li><a href="/{phrase(1, 1)}">{phrase(1, 3)}</a></li>' if not label or chance(0.2) else f"<li>{sentences()}</li>" for _ in range(k)) + "</ul>", [label] * k
+            return "<ul>" + "".join(f'<li><a href="/{phrase(1, 1)}">{phrase(1, 3)}</a></li>' if not label or chance(0.2) else f"<li>{prose()}</li>" for _ in range(k)) + "</ul>", [label] * k
         if kind < 0.4:
             level = 1 + int(rng.integers(4))
             return f"<h{level}>{phrase(1, 9)}</h{level}>", [label]
         if kind < 0.5:
-            return f"<blockquote>{sentences()}</blockquote>", [label]
+            return f"<blockquote>{prose()}</blockquote>", [label]
         if kind < 0.56:
             return f"<table><tr><td>{phrase(1, 4)}</td><td>{phrase(1, 4)}</td></tr></table>", [label] * 2
-        return "".join(f"<p>{'<b>' * chance(0.2)}{sentences(120)}{'<br>' * chance(0.2)}{'</p>' * chance(0.8)}" for _ in range(k)), [label] * k
+        return "".join(f"<p>{'<b>' * chance(0.2)}{prose(120) if label or chance(0.5) else notice()}{'<br>' * chance(0.2)}{'</p>' * chance(0.8)}" for _ in range(k)), [label] * k
 
     def outside() -> tuple[str, list[int]]:
         tag = pick(["nav", "footer", "header", "aside", "form", "menu", "div", "div", "section", "ul", "nav", "footer"])
         named = marks(OUTSIDE) if tag in ("div", "section", "ul") or chance(0.3) else ""
         if tag in ("footer", "div", "section", "header", "aside") and chance(0.6):
-            body, labels = sentences() if chance(0.7) else f"&copy; {phrase(1, 2)} &middot; {sentences()}", [0]
+            body, labels = pick([prose, sentences, notice])() if chance(0.7) else f"&copy; {phrase(1, 2)} &middot; {pick([sentences, notice])()}", [0]
         elif tag == "form":
             body, labels = f"<label>{phrase(1, 3)}</label><input><button>{phrase(1, 1)}</button>", [0]
         elif tag == "ul":
-            body, labels = f"<li>{sentences()}</li>", [0]
+            body, labels = f"<li>{pick([sentences, notice])()}</li>", [0]
         else:
             parts = [part(0) for _ in range(int(rng.integers(1, 3)))]
             body, labels = "".join(p for p, _ in parts), sum((x for _, x in parts), [])
         return f"<{tag}{named}>{body}</{tag}>", labels
 
+    def around() -> tuple[str, list[int]]:
+        """A part outside the main text, or a notice in plain tags, which its words and its place tell from the text."""
+        if chance(0.75):
+            return outside()
+        tag = pick(["p", "p", "div", "section"])
+        return f"<{tag}>{notice()}</{tag}>", [0]
+
     def inside() -> tuple[str, list[int]]:
         parts = [(f"<h1>{phrase(1, 9)}</h1>", [1])] * chance(0.8) + [part(1) for _ in range(int(rng.integers(1, 7)))]
         if chance(0.3):
@@ -292,7 +426,7 @@ def training_pages(n: int, seed: int = 11) -> list[tuple[str, list[int]]]:
 
     out = []
     for _ in range(n):
-        parts = [outside() for _ in range(int(rng.integers(0, 4)))] + [inside()] + [outside() for _ in range(int(rng.integers(0, 4)))]
+        parts = [around() for _ in range(int(rng.integers(0, 4)))] + [inside()] + [around() for _ in range(int(rng.integers(0, 4)))]
         if chance(0.2):
             inner, labels = "".join(p for p, _ in parts), sum((x for _, x in parts), [])
             parts = [(f"<div{marks(['wrapper', 'page', 'container', 'layout', 'site'])}>{inner}</div>", labels)]
@@ -331,6 +465,8 @@ def trained(pages: int = 600, epochs: int = 14, seed: int = 3) -> Lstm:
                 m[k] = 0.9 * m[k] + 0.1 * a
                 v[k] = 0.99 * v[k] + 0.01 * a * a
                 net.w[k] -= (rate * m[k] / (1 - 0.9**step) / (np.sqrt(v[k] / (1 - 0.99**step)) + 1e-6)).astype(np.float32)
+            for k in ("fx", "bx", "s"):  # words are many and mostly chance: what they don't earn decays
+                net.w[k][PATH_DIMS : PATH_DIMS + WORD_DIMS] *= 1 - WORD_DECAY * rate
     return net
 
 
