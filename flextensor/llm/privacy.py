@@ -240,26 +240,27 @@ def _apply(docs: DataFrame, terms: DataFrame, small: bool, remove: float, row, s
 
         return docs.mapInPandas(run, schema)
 
-    # too many terms for a broadcast: each document meets its own terms through a join
+    # too many terms for a broadcast: each text, known by its hash, meets its own terms through a join
     bloom = docs.sparkSession.sparkContext.broadcast(_bloom(terms))
+    docs = docs.withColumn("text_key", F.xxhash64(F.coalesce("text", F.lit(""))))
 
     def emit(frames):
         for pdf in frames:
             rows: list = []
-            for d, text in zip(pdf["doc_id"], pdf["text"], strict=True):
+            for key, text in zip(pdf["text_key"], pdf["text"], strict=True):
                 own = list(terms_of(text, 0, len(text))) if text else []
                 if own:
-                    rows += [(d, t) for t, hit in zip(own, bloom.value[_bits(own)].all(axis=1), strict=True) if hit]
-            yield pd.DataFrame(rows, columns=["doc_id", "term"])
+                    rows += [(key, t) for t, hit in zip(own, bloom.value[_bits(own)].all(axis=1), strict=True) if hit]
+            yield pd.DataFrame(rows, columns=["text_key", "term"])
 
-    own = docs.mapInPandas(emit, "doc_id long, term string").join(terms, "term").groupBy("doc_id").agg(F.collect_list(F.struct("term", "disclosure")).alias("terms"))
+    own = docs.select("text_key", "text").mapInPandas(emit, "text_key long, term string").distinct().join(terms, "term").groupBy("text_key").agg(F.collect_list(F.struct("term", "disclosure")).alias("terms"))
 
     def run_joined(frames):
         for pdf in frames:
             tools = [Sanitiser({r["term"]: r["disclosure"] for r in x} if x is not None else {}, remove) for x in pdf["terms"]]
             yield pd.DataFrame([row(s, d, t or "") for s, d, t in zip(tools, pdf["doc_id"], pdf["text"], strict=True)], columns=[c.split()[0] for c in schema.split(", ")])
 
-    return docs.join(own, "doc_id", "left").mapInPandas(run_joined, schema)
+    return docs.join(own, "text_key", "left").drop("text_key").mapInPandas(run_joined, schema)
 
 
 def find_personal_data(docs: DataFrame, generalise: float = 0.5, remove: float = 0.9, most_broadcast: int = 500_000) -> DataFrame:
