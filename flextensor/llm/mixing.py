@@ -9,8 +9,8 @@ order until the words taken are as near the target as whole documents allow.
 The rank is cut through a histogram of (source, bin of u): only the documents of the one bin in which a source's
 sample ends are ever ordered against each other.
 
-Defined results: null texts have size 0; null is a source of its own and comes last; repeated rows are taken each on
-their own; an empty table gives an empty result; further columns of the input are ignored.
+Defined results: null texts have size 0; null is a source of its own and comes last; a null id is hashed as the empty
+string; repeated rows all count and all are taken equally often; an empty table gives an empty result; further columns of the input are ignored.
 """
 
 from __future__ import annotations
@@ -27,7 +27,7 @@ DIGITS = 13  # hex digits of the id's md5 that make u
 
 def uniform_of(col: Column) -> Column:
     """A number in (0, 1) that depends on the id alone, the same in every engine that has md5."""
-    x = F.conv(F.substring(F.md5(col.cast("string").cast("binary")), 1, DIGITS), 16, 10).cast("double")
+    x = F.conv(F.substring(F.md5(F.coalesce(col.cast("string"), F.lit("")).cast("binary")), 1, DIGITS), 16, 10).cast("double")
     return (x + 0.5) / float(16**DIGITS)
 
 
@@ -52,12 +52,13 @@ def source_targets(sizes: DataFrame, cap: int = 3, period: int = 3) -> DataFrame
     return s.select("source", "source_size", F.when(F.col("capped"), (cap * F.col("source_size")).cast("double")).otherwise(share).alias("target"))
 
 
-def mix_documents(docs: DataFrame, cap: int = 3, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """(doc_id, size, source_size, target, taken, copies) per row."""
+def _mix(docs: DataFrame, cap: int, id_col: str, text_col: str, source_col: str) -> DataFrame:
+    """(doc_id, source, text_key, size, source_size, target, taken, copies) per row; equal rows get equal numbers."""
     rows = cut_lineage(
         docs.select(
             F.col(id_col).alias("doc_id"),
             F.col(source_col).alias("source"),
+            F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("text_key"),
             F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long").alias("size"),
             uniform_of(F.col(id_col)).alias("u"),
         )
@@ -81,7 +82,20 @@ def mix_documents(docs: DataFrame, cap: int = 3, id_col: str = "doc_id", text_co
     joined = rows.join(plan, rows.source.eqNullSafe(plan.plan_source)).drop("plan_source")
     clear = joined.where(F.col("cut_bin").isNull() | (F.col("bin") != F.col("cut_bin"))).withColumn("extra", (F.col("cut_bin").isNotNull() & (F.col("bin") < F.col("cut_bin"))).cast("long"))
     odds = (F.col("u") * (1 - F.col("p"))) / ((1 - F.col("u")) * F.col("p"))
-    run = F.sum("size").over(Window.partitionBy("source").orderBy("rank", "doc_id").rowsBetween(Window.unboundedPreceding, 0))
+    run = F.sum("size").over(Window.partitionBy("source").orderBy("rank", "doc_id", "text_key").rangeBetween(Window.unboundedPreceding, Window.currentRow))
     edge = joined.where(F.col("bin") == F.col("cut_bin")).withColumn("rank", odds).withColumn("extra", (run - F.col("size") / 2 <= F.col("left")).cast("long")).drop("rank")
     copies = F.col("whole") + F.col("extra")
-    return clear.unionByName(edge).select("doc_id", "size", "source_size", "target", (F.col("size") * copies).alias("taken"), copies.alias("copies"))
+    return clear.unionByName(edge).select("doc_id", "source", "text_key", "size", "source_size", "target", (F.col("size") * copies).alias("taken"), copies.alias("copies"))
+
+
+def mix_documents(docs: DataFrame, cap: int = 3, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """(doc_id, size, source_size, target, taken, copies) per row."""
+    return _mix(docs, cap, id_col, text_col, source_col).drop("source", "text_key")
+
+
+def take_documents(docs: DataFrame, cap: int = 3, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """The mix itself: each row of ``docs``, with all its columns, as often as it is taken."""
+    plan = _mix(docs, cap, id_col, text_col, source_col).where("copies > 0").select(F.col("doc_id").alias("mix_id"), F.col("source").alias("mix_source"), "text_key", F.col("copies").alias("mix_copies")).distinct()
+    own = docs[id_col].eqNullSafe(F.col("mix_id")) & docs[source_col].eqNullSafe(F.col("mix_source")) & (F.xxhash64(F.coalesce(docs[text_col], F.lit(""))) == F.col("text_key"))
+    names = [docs[c] for c in docs.columns]
+    return docs.join(plan, own).select(*names, F.explode(F.sequence(F.lit(1), F.col("mix_copies").cast("int"))).alias("mix_copy")).drop("mix_copy")
