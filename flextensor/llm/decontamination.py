@@ -3,8 +3,8 @@
 Texts become templates: numbers, capitalised words inside a sentence and units after a number are typed placeholders
 that keep their value aside; all else is lower-cased words. Windows of ``window`` template words are hash-joined
 between documents and benchmark items (items shorter than a window match by one window of their own length, items of
-fewer than four words only documents of just these words). Windows mostly of placeholders match by equal values, all
-others by their template. Matches of one document and item at the same offset are one occurrence. An item leaks into a
+fewer than four words only documents of just these words). Windows match by their template or by their plain words, so
+that a copy in other capitals is found as well; windows mostly of placeholders match by plain words alone. Matches of one document and item at the same offset are one occurrence. An item leaks into a
 document if an occurrence covers ``min_words`` words of it, or all windows of a shorter item.
 
 Slots are consistent if equal item values stand for equal document values; different ones may fall together. Where a
@@ -36,33 +36,29 @@ def template_words(text: Column) -> Column:
 
 
 def _windows(df: DataFrame, id_col: str, words: Column, lengths: list[int], whole: int) -> DataFrame:
-    """(id, len, pos, win) for every window of each length; texts of fewer than ``whole`` words are one window."""
-    kind = "array<struct<len:int,pos:int,win:string>>"
-
-    def cut(k: int) -> Column:
-        return F.transform(F.sequence(F.lit(1), F.size("words") - k + 1), lambda i: F.struct(F.lit(k).alias("len"), i.alias("pos"), F.array_join(F.slice(F.col("words"), i, k), " ").alias("win")))
-
-    each = [F.when(F.size("words") >= k, cut(k)).otherwise(F.array().cast(kind)) for k in lengths]
-    one = F.array(F.struct(F.size("words").alias("len"), F.lit(1).alias("pos"), F.array_join("words", " ").alias("win")))
-    each.append(F.when(F.size("words").between(1, whole - 1), one).otherwise(F.array().cast(kind)))
+    """(id, len, pos, h, g, win) for every window of each length: hashes of its template and of its plain words, and the words;
+    texts of fewer than ``whole`` words are one window."""
+    kind = "array<struct<len:int,pos:int,h:bigint,g:bigint,win:array<string>>>"
+
+    def window(k: Column, i: Column, cut) -> Column:
+        return F.struct(k.cast("int").alias("len"), i.cast("int").alias("pos"), F.xxhash64(k, cut(F.col("th"))).alias("h"), F.xxhash64(k, cut(F.col("ph"))).alias("g"), cut(F.col("words")).alias("win"))
+
+    def windows(k: int) -> Column:
+        return F.transform(F.sequence(F.lit(1), F.size("words") - k + 1), lambda i: window(F.lit(k), i, lambda a: F.slice(a, i, k)))
+
+    each = [F.when(F.size("words") >= k, windows(k)).otherwise(F.array().cast(kind)) for k in lengths]
+    each.append(F.when(F.size("words").between(1, whole - 1), F.array(window(F.size("words"), F.lit(1), lambda a: a))).otherwise(F.array().cast(kind)))
+    marked = lambda w: F.startswith(w, F.lit(MARK))
+    rows = df.select(F.col(id_col).alias("id"), words.alias("words"))
+    rows = rows.withColumn("th", F.transform("words", lambda w: F.xxhash64(F.when(marked(w), F.substring(w, 1, 2)).otherwise(w))))
+    rows = rows.withColumn("ph", F.transform("words", lambda w: F.xxhash64(F.when(marked(w), F.substring(w, 3, 1 << 30)).otherwise(w))))
     # the outer form keeps the optimiser from building the windows twice, for a filter on their number
-    return df.select(F.col(id_col).alias("id"), words.alias("words")).select("id", F.explode_outer(F.concat(*each)).alias("w")).select("id", "w.*").where(F.col("win").isNotNull())
-
-
-def _plain(win: Column) -> Column:
-    return F.when(F.contains(win, F.lit(MARK)), F.regexp_replace(win, MARK + "[a-z]", "")).otherwise(win)
-
-
-def _keyed(df: DataFrame, whole: int) -> DataFrame:
-    marked = F.contains("win", F.lit(MARK))
-    mostly = F.call_function("substring_index", F.col("win"), F.lit(MARK), F.floor(F.col("len") / 2).cast("int") + 1) != F.col("win")
-    by_value = (F.col("len") < whole) | mostly
-    canon = F.when(marked, F.when(by_value, _plain(F.col("win"))).otherwise(F.regexp_replace("win", MARK + "([a-z])[^ ]*", "<$1>"))).otherwise(F.col("win"))
-    return df.withColumn("h", F.xxhash64("len", canon)).withColumn("by_value", by_value)
+    return rows.select("id", F.explode_outer(F.concat(*each)).alias("w")).select("id", "w.*").where(F.col("win").isNotNull())
 
 
 def _slots(win: str) -> Column:
-    return F.when(F.contains(win, F.lit(MARK)), F.regexp_extract_all(F.col(win), F.lit(MARK + "([^ ]*)"), F.lit(1))).otherwise(F.array().cast("array<string>"))
+    """The values of a window's placeholders."""
+    return F.transform(F.filter(F.col(win), lambda w: F.startswith(w, F.lit(MARK))), lambda w: F.substring(w, 3, 1 << 30))
 
 
 def find_leaks(docs: DataFrame, bench: DataFrame, window: int = 8, min_words: int = 12, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
@@ -73,16 +69,21 @@ def find_leaks(docs: DataFrame, bench: DataFrame, window: int = 8, min_words: in
     short = sorted(r.k for r in items.where((F.size("words") < window) & (F.size("words") >= 4)).select(F.size("words").alias("k")).distinct().collect())
     lengths = [window, *short]
     own = F.least(F.size("words"), F.lit(window))
-    b = _keyed(_windows(items, "item_id", F.col("words"), lengths, whole).withColumnRenamed("id", "item_id"), whole)
+    b = _windows(items, "item_id", F.col("words"), lengths, whole).withColumnRenamed("id", "item_id")
     b = b.join(items.select("item_id", own.alias("own")), "item_id").where(F.col("len") == F.col("own"))
-    b = b.select("h", "item_id", F.col("pos").alias("ipos"), F.col("len"), F.col("win").alias("iwin"), "by_value")
+    by_value = (F.col("len") < whole) | (2 * F.size(_slots("win")) > F.col("len"))
+    b = b.select("item_id", F.col("pos").alias("ipos"), F.col("len"), F.col("win").alias("iwin"), by_value.alias("by_value"), "h", F.col("g").alias("ig"))
     # a changed copy can't match windows by value, so all windows of a short item are all that match by template, if any
     totals = b.groupBy("item_id").agg(F.countDistinct("ipos").alias("total"), F.countDistinct(F.when(~F.col("by_value"), F.col("ipos"))).alias("total_open"))
+    keys = F.when(F.col("by_value") | (F.col("h") == F.col("ig")), F.array("ig")).otherwise(F.array("h", "ig"))
+    b = b.select(F.explode(keys).alias("key"), "item_id", "ipos", "len", "iwin", "by_value", "ig")
     if b.count() <= BROADCAST_ROWS:
         b = F.broadcast(b)
-    d = _keyed(_windows(docs.select(id_col, text_col), id_col, template_words(F.col(text_col)), lengths, whole), whole).select("id", "pos", "win", "h")
-    same = _plain(F.col("iwin")) == _plain(F.col("win"))
-    hits = d.join(b, "h").select("id", "item_id", (F.col("pos") - F.col("ipos")).alias("offset"), "ipos", "len", "by_value", _slots("iwin").alias("i"), F.when(same, _slots("iwin")).otherwise(_slots("win")).alias("d")).dropDuplicates(["id", "item_id", "offset", "ipos"])
+    d = _windows(docs.select(id_col, text_col), id_col, template_words(F.col(text_col)), lengths, whole)
+    d = d.select("id", "pos", "win", "g", F.explode(F.when(F.col("h") == F.col("g"), F.array("h")).otherwise(F.array("h", "g"))).alias("key"))
+    same = F.col("ig") == F.col("g")
+    met = d.join(b, "key").where(same | ~F.col("by_value"))
+    hits = met.select("id", "item_id", (F.col("pos") - F.col("ipos")).alias("offset"), "ipos", "len", "by_value", _slots("iwin").alias("i"), F.when(same, _slots("iwin")).otherwise(_slots("win")).alias("d")).dropDuplicates(["id", "item_id", "offset", "ipos"])
     key = ["id", "item_id", "offset"]
     found = hits.groupBy(*key).agg(F.count("*").alias("n"), F.max("len").alias("len"), F.count(F.when(~F.col("by_value"), 1)).alias("n_open"), F.collect_set(F.when(F.col("by_value"), F.arrays_zip("i", "d"))).alias("equal"), F.collect_list(F.when(~F.col("by_value") & (F.size("i") > 0), F.arrays_zip("i", "d"))).alias("pairs"))
     found = found.withColumn("slots", F.array_distinct(F.flatten("pairs"))).withColumn("values", F.array_sort(F.transform("slots", lambda s: s["i"])))
@@ -100,6 +101,9 @@ def find_leaks(docs: DataFrame, bench: DataFrame, window: int = 8, min_words: in
     )
 
 
-def drop_leaks(docs: DataFrame, bench: DataFrame, **how) -> DataFrame:
-    """The documents into which no item leaks, with all their columns."""
-    return docs.join(find_leaks(docs, bench, **how).select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+def drop_leaks(docs: DataFrame, bench: DataFrame, text_col: str = "text", **how) -> DataFrame:
+    """The documents into whose text no item leaks, with all their columns; the same for every row of one text, whatever its id."""
+    key = F.xxhash64(docs[text_col])
+    texts = docs.select(key.alias("leak_key"), F.col(text_col).alias("text"))
+    leaks = find_leaks(texts, bench, id_col="leak_key", text_col="text", **how).select(F.col("doc_id").alias("leak_key")).distinct()
+    return docs.join(leaks, key == F.col("leak_key"), "left_anti")
