@@ -2,39 +2,42 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from flextensor.llm import decontamination, mixing, sharding, similarity, toxicity
 from flextensor.llm.queries import table
+from flextensor.session import shared_folder
 
 # the first stage learns its lexicon and two later ones read further tables, which SQL can't follow
 ORACLE_SQL = None
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose toxicity reaches the threshold go; the lexicon is learnt from labelled documents of the input."""
+    """Documents whose toxicity reaches the threshold go; the lexicon is learnt from labelled documents of the input, or the built-in
+    one where none are labelled. Null and empty texts stay."""
     labels = table(spark, sf_dir, "labels")
     return toxicity.drop_toxic(docs, toxicity.fit(docs, labels))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The smallest doc_id of each component of similar documents stays."""
+    """The smallest doc_id of each component of similar documents stays; repeated rows stay once, texts without words all stay."""
     return similarity.drop_near_duplicates(docs)
 
 
 def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents into whose text a benchmark item leaks go, whatever their id."""
     return decontamination.drop_leaks(docs, table(spark, sf_dir, "benchmark"))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as many times as the mix takes it."""
-    copies = mixing.mix_documents(docs).where("copies > 0").select("doc_id", F.col("copies").alias("mix_copies"))
-    taken = docs.join(copies, "doc_id")
-    return taken.select(*docs.columns, F.explode(F.sequence(F.lit(1), F.col("mix_copies").cast("int"))).alias("mix_copy")).select(*docs.columns)
+    """Each document as many times as the mix takes it; equal rows are taken equally often, rows of a null id like any other."""
+    return mixing.take_documents(docs)
 
 
 def shard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """(doc_id, size, text_crc32, law, shard, slot, grown_shard): one row per document taken; copies share a shard, each with a slot of its own."""
     return sharding.shard_documents(docs)
 
 
@@ -48,19 +51,12 @@ STAGES = [
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    import posixpath
-    import uuid
-
-    sc = spark.sparkContext
+    """The last stage's rows. Between stages documents are Parquet files in the folder that all executors share. An empty table
+    gives an empty result; further columns of documents stay up to the last stage."""
     docs = table(spark, sf_dir, "documents")
-    root = sc.getCheckpointDir() or sc.getConf().get("spark.checkpoint.dir", None)
-    if root is None:
-        import tempfile
-
-        root = tempfile.mkdtemp(prefix="corpus-pipeline-")
-    root = posixpath.join(root, f"pipeline-{uuid.uuid4().hex}")
+    root = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     for i, (name, stage) in enumerate(STAGES):
-        path = posixpath.join(root, f"{i}-{name.replace(' ', '-')}")
+        path = f"{root}/{i}-{name.replace(' ', '-')}"
         stage(spark, docs, sf_dir).write.parquet(path)
         docs = spark.read.parquet(path)
     return docs
