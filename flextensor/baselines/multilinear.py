@@ -1,7 +1,7 @@
 """CP (ALS, on balanced cells, nonnegative), its large-scale form, HOSVD and Tucker (HOOI).
 
 Sparse work is keyed DataFrame aggregation: MTTKRP broadcasts the other modes' factors and sums per index, so the
-Khatri-Rao product never exists; r×r systems are solved on the driver, row systems in groups.
+Khatri-Rao product never exists; r×r systems are solved on the driver. The large-scale CP keeps its factors as tables.
 """
 
 from __future__ import annotations
@@ -14,7 +14,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..session import ship_package
+from ..sampling import MODULUS, portable_hash
+from ..session import cut_lineage, ship_package
 from ..tensor import TensorFrame
 
 
@@ -58,10 +59,11 @@ def predict_cells(model, cells: DataFrame, modes: list[str], name: str = "mean")
     return cells.mapInArrow(run, f"{schema}, {name} double")
 
 
-def mttkrp(t: TensorFrame, factors: tuple[np.ndarray, ...], k: int) -> DataFrame:
-    """(idx, pos, v): per index of mode k the cells' values times the other modes' factor rows."""
+def keyed_sums(t: TensorFrame, shared_value, k: int, width: int, each) -> DataFrame:
+    """(idx, pos, v): per index of mode k the sums of ``each(value, index columns, y)``, rows of ``width`` numbers a cell. Each task
+    combines its own cells first."""
     ship_package(t.df.sparkSession)
-    shared = t.df.sparkSession.sparkContext.broadcast(factors)
+    shared = t.df.sparkSession.sparkContext.broadcast(shared_value)
     modes = len(t.dims)
 
     def run(batches):
@@ -69,19 +71,29 @@ def mttkrp(t: TensorFrame, factors: tuple[np.ndarray, ...], k: int) -> DataFrame
             if not b.num_rows:
                 continue
             index = [b.column(j).to_numpy(zero_copy_only=False).astype(np.int64) for j in range(modes)]
-            v = b.column(modes).to_numpy(zero_copy_only=False)[:, None]
-            for j in range(modes):
-                if j != k:
-                    v = v * shared.value[j][index[j]]
+            v = each(shared.value, index, b.column(modes).to_numpy(zero_copy_only=False).astype(float))
             keys, inv = np.unique(index[k], return_inverse=True)
-            sums = np.stack([np.bincount(inv, v[:, r], len(keys)) for r in range(v.shape[1])], 1)
-            ends = np.arange(len(keys) + 1, dtype=np.int32) * v.shape[1]
+            sums = np.stack([np.bincount(inv, v[:, r], len(keys)) for r in range(width)], 1)
+            ends = np.arange(len(keys) + 1, dtype=np.int32) * width
             yield pa.RecordBatch.from_arrays([pa.array(keys), pa.ListArray.from_arrays(ends, sums.ravel())], ["idx", "g"])
 
     rows = t.df.select(*t.modes, "y").mapInArrow(run, "idx long, g array<double>")
     return rows.select("idx", F.posexplode("g").alias("pos", "v")).groupBy("idx", "pos").agg(F.sum("v").alias("v"))
 
 
+def _others(factors, index: list[np.ndarray], k: int):
+    out = 1.0
+    for j, u in enumerate(factors):
+        if j != k:
+            out = out * u[index[j]]
+    return out
+
+
+def mttkrp(t: TensorFrame, factors: tuple[np.ndarray, ...], k: int) -> DataFrame:
+    """(idx, pos, v): per index of mode k the cells' values times the other modes' factor rows."""
+    return keyed_sums(t, factors, k, factors[0].shape[1], lambda us, index, y: y[:, None] * _others(us, index, k))
+
+
 def _dense(df: DataFrame, d: int, r: int) -> np.ndarray:
     out = np.zeros((d, r))
     pdf = df.toPandas()
@@ -110,31 +122,83 @@ def fit_cp(t: TensorFrame, rank: int = 3, sweeps: int = 20, ridge: float = 1e-6,
 
 
 def _fit_cp_rows(t: TensorFrame, rank: int, sweeps: int, ridge: float, seed: int) -> CP:
-    """Least squares over the selected cells only: one r×r system per index."""
+    """Least squares over the selected cells only: one r×r system per index. Its normal equations are sums over cells, so a hot
+    index is combined in every task before the shuffle."""
     u = _start(t.dims, rank, seed)
-    spark = t.df.sparkSession
-    ship_package(spark)
+    tri = np.triu_indices(rank)
+    n = len(tri[0])
     for _ in range(sweeps):
         for k in range(len(u)):
-            shared = spark.sparkContext.broadcast(tuple(u))
-            modes = t.modes
-
-            def solve(pdf: pd.DataFrame) -> pd.DataFrame:  # noqa: B023
-                x = 1.0
-                for j, m in enumerate(modes):
-                    if j != k:
-                        x = x * shared.value[j][pdf[m].to_numpy()]
-                w = np.linalg.solve(x.T @ x + ridge * np.eye(rank), x.T @ pdf["y"].to_numpy())
-                return pd.DataFrame({"idx": [int(pdf[modes[k]].iloc[0])] * rank, "pos": range(rank), "v": w})
-
-            rows = t.df.select(*modes, "y").groupBy(modes[k]).applyInPandas(solve, "idx long, pos int, v double")
-            u[k] = _dense(rows, t.dims[k], rank)
+
+            def equations(us, index, y, k=k):
+                x = _others(us, index, k)
+                return np.hstack([x[:, tri[0]] * x[:, tri[1]], x * y[:, None]])
+
+            e = _dense(keyed_sums(t, tuple(u), k, n + rank, equations), t.dims[k], n + rank)
+            g = np.zeros((t.dims[k], rank, rank))
+            g[:, tri[0], tri[1]] = g[:, tri[1], tri[0]] = e[:, :n]
+            u[k] = np.linalg.solve(g + ridge * np.eye(rank), e[:, n:, None])[:, :, 0]
     return CP(tuple(u))
 
 
+def table_start(t: TensorFrame, rank: int, seed: int = 0) -> list[DataFrame]:
+    """(idx, c_0..c_r-1) of each mode: hashed uniform numbers of the spread of a normal of 0.5."""
+    spark = t.df.sparkSession
+    at = lambda k, r: (portable_hash(F.col("idx"), F.lit(k), F.lit(r), seed=seed + 41) / MODULUS - 0.5) * np.sqrt(12) * 0.5
+    return [spark.range(d).select(F.col("id").alias("idx")).select("idx", *(at(k, r).alias(f"c_{r}") for r in range(rank))) for k, d in enumerate(t.dims)]
+
+
+def _table_gram(u: DataFrame, rank: int) -> np.ndarray:
+    tri = np.triu_indices(rank)
+    row = u.agg(*(F.sum(F.col(f"c_{i}") * F.col(f"c_{j}")) for i, j in zip(*tri, strict=True))).first()
+    g = np.zeros((rank, rank))
+    g[tri] = [x or 0.0 for x in row]
+    return g + np.triu(g, 1).T
+
+
+def sparse_cp_tables(t: TensorFrame, rank: int = 3, sweeps: int = 20, ridge: float = 1e-6, seed: int = 0, start: list[DataFrame] | None = None) -> list[DataFrame]:
+    """CP for large sparse tensors, missing cells being zeros. Factors are tables of one column per component and never meet in one
+    place: cells join the other modes' rows, components are multiplied column by column, and each index sums its own, so the
+    Khatri-Rao product is never formed. Only r×r grams reach the driver. Indices without cells have no row: their factor is 0."""
+    names = [f"c_{r}" for r in range(rank)]
+    u = list(start or table_start(t, rank, seed))
+    grams = [_table_gram(x, rank) for x in u]
+    cells = t.df.select(*t.modes, "y")
+    for _ in range(sweeps):
+        for k, m in enumerate(t.modes):
+            met = cells.select("*", *(F.col("y").alias(c) for c in names))
+            gram = np.ones((rank, rank))
+            for j, other in enumerate(t.modes):
+                if j != k:
+                    rows = u[j].select(F.col("idx").alias(other), *(F.col(c).alias(f"x{c}") for c in names))
+                    met = met.join(rows, other).select(*t.modes, *((F.col(c) * F.col(f"x{c}")).alias(c) for c in names))
+                    gram = gram * grams[j]
+            sums = met.groupBy(F.col(m).alias("idx")).agg(*(F.sum(c).alias(c) for c in names))
+            inv = np.linalg.inv(gram + ridge * np.eye(rank))
+            mix = [sum((F.col(names[i]) * float(inv[i, r]) for i in range(rank)), F.lit(0.0)).alias(names[r]) for r in range(rank)]
+            u[k] = cut_lineage(sums.select("idx", *mix))
+            grams[k] = _table_gram(u[k], rank)
+    return u
+
+
+def predict_tables(tables: list[DataFrame], cells: DataFrame, modes: list[str], name: str = "mean") -> DataFrame:
+    """``cells`` with the value of factors kept as tables: one join a mode, no factor on the driver."""
+    names = tables[0].columns[1:]
+    out = cells.select("*", *(F.lit(1.0).alias(f"p{c}") for c in names))
+    for m, u in zip(modes, tables, strict=True):
+        rows = u.select(F.col("idx").alias(m), *(F.col(c).alias(f"x{c}") for c in names))
+        out = out.join(rows, m, "left").select(*cells.columns, *((F.col(f"p{c}") * F.coalesce(F.col(f"x{c}"), F.lit(0.0))).alias(f"p{c}") for c in names))
+    return out.select(*cells.columns, sum((F.col(f"p{c}") for c in names), F.lit(0.0)).alias(name))
+
+
 def fit_sparse_cp(t: TensorFrame, rank: int = 3, sweeps: int = 20, seed: int = 0) -> CP:
-    """CP for large sparse tensors: ``fit_cp``'s normal equations with nonzeros combined in each partition before the keyed sum."""
-    return fit_cp(t, rank, sweeps, seed=seed)
+    """``sparse_cp_tables`` with its factors gathered, for modes that fit the driver."""
+    out = []
+    for d, u in zip(t.dims, sparse_cp_tables(t, rank, sweeps, seed=seed), strict=True):
+        pdf, x = u.toPandas(), np.zeros((d, rank))
+        x[pdf["idx"]] = pdf[u.columns[1:]].to_numpy()
+        out.append(x)
+    return CP(tuple(out))
 
 
 def fit_nncp(t: TensorFrame, rank: int = 3, sweeps: int = 30, seed: int = 0) -> CP:
@@ -152,9 +216,7 @@ def fit_nncp(t: TensorFrame, rank: int = 3, sweeps: int = 30, seed: int = 0) ->
 
 
 def unfolding_gram(t: TensorFrame, k: int) -> np.ndarray:
-    """The gram of the mode-k unfolding: cells that agree in all other modes meet in a join."""
-    if t.dims[k] > 5000:
-        raise ValueError("use the randomised range finder for large modes")
+    """The gram of the mode-k unfolding: cells that agree in all other modes meet in a join. For small modes."""
     others = [m for j, m in enumerate(t.modes) if j != k]
     m = t.modes[k]
     a = t.df.select(*others, F.col(m).alias("a"), F.col("y").alias("x"))
@@ -184,35 +246,56 @@ def _leading(g: np.ndarray, r: int) -> np.ndarray:
     return v[:, ::-1][:, :r]
 
 
-def fit_hosvd(t: TensorFrame, ranks: int | list[int] = 3) -> Tucker:
+GRAM_SIDE = 2_000  # modes up to this size have their whole gram on the driver
+
+
+def range_finder(t: TensorFrame, k: int, r: int, extra: int = 10, powers: int = 2, seed: int = 0) -> np.ndarray:
+    """Leading left vectors of the mode-k unfolding by a randomised range: the unfolding times a random matrix of Khatri-Rao
+    form is one MTTKRP; power steps go through rows keyed by the other modes; the small gram inside the range is a key-free sum."""
+    s = min(t.dims[k], r + extra)
+    rng = np.random.default_rng([seed, k])
+    q, _ = np.linalg.qr(_dense(mttkrp(t, tuple(rng.standard_normal((d, s)) for d in t.dims), k), t.dims[k], s))
+    others, m = [x for j, x in enumerate(t.modes) if j != k], t.modes[k]
+    spark = t.df.sparkSession
+    names = [f"w_{i}" for i in range(q.shape[1])]
+    tri = np.triu_indices(q.shape[1])
+
+    def columns(q: np.ndarray) -> DataFrame:
+        rows = spark.createDataFrame(pd.DataFrame({m: np.arange(len(q)), **{f"q{n}": q[:, i] for i, n in enumerate(names)}}))
+        met = t.df.join(rows, m)
+        return met.groupBy(*others).agg(*(F.sum(F.col("y") * F.col(f"q{n}")).alias(n) for n in names))
+
+    for _ in range(powers):
+        met = t.df.select(*t.modes, "y").join(columns(q), others)
+        pdf = met.groupBy(F.col(m).alias("idx")).agg(*(F.sum(F.col("y") * F.col(n)).alias(n) for n in names)).toPandas()
+        x = np.zeros_like(q)
+        x[pdf["idx"]] = pdf[names].to_numpy()
+        q, _ = np.linalg.qr(x)
+    row = columns(q).agg(*(F.sum(F.col(names[i]) * F.col(names[j])) for i, j in zip(*tri, strict=True))).first()
+    g = np.zeros((len(names), len(names)))
+    g[tri] = [x or 0.0 for x in row]
+    return q @ _leading(g + np.triu(g, 1).T, r)
+
+
+def fit_hosvd(t: TensorFrame, ranks: int | list[int] = 3, gram_side: int = GRAM_SIDE) -> Tucker:
+    """Leading vectors of each unfolding, by its gram or, for modes over ``gram_side``, by a randomised range."""
     ranks = [ranks] * len(t.dims) if isinstance(ranks, int) else ranks
-    u = [_leading(unfolding_gram(t, k), min(r, d)) for k, (r, d) in enumerate(zip(ranks, t.dims, strict=True))]
+    u = [_leading(unfolding_gram(t, k), min(r, d)) if d <= gram_side else range_finder(t, k, min(r, d)) for k, (r, d) in enumerate(zip(ranks, t.dims, strict=True))]
     return Tucker(core_of(t, u), tuple(u))
 
 
 def projected_gram(t: TensorFrame, u: list[np.ndarray], k: int) -> np.ndarray:
     """Rows of the mode-k unfolding projected on the other modes' factors: d_k × Π r."""
-    ship_package(t.df.sparkSession)
-    shared = t.df.sparkSession.sparkContext.broadcast(tuple(u))
-    modes = len(t.dims)
     width = int(np.prod([x.shape[1] for j, x in enumerate(u) if j != k]))
 
-    def run(batches):
-        for b in batches:
-            if not b.num_rows:
-                continue
-            index = [b.column(j).to_numpy(zero_copy_only=False).astype(np.int64) for j in range(modes)]
-            v = b.column(modes).to_numpy(zero_copy_only=False)[:, None]
-            for j in range(modes):
-                if j != k:
-                    v = (v[:, :, None] * shared.value[j][index[j]][:, None, :]).reshape(len(v), -1)
-            keys, inv = np.unique(index[k], return_inverse=True)
-            sums = np.stack([np.bincount(inv, v[:, r], len(keys)) for r in range(v.shape[1])], 1)
-            ends = np.arange(len(keys) + 1, dtype=np.int32) * v.shape[1]
-            yield pa.RecordBatch.from_arrays([pa.array(keys), pa.ListArray.from_arrays(ends, sums.ravel())], ["idx", "g"])
+    def outer(us, index, y):
+        v = y[:, None]
+        for j, x in enumerate(us):
+            if j != k:
+                v = (v[:, :, None] * x[index[j]][:, None, :]).reshape(len(v), -1)
+        return v
 
-    rows = t.df.select(*t.modes, "y").mapInArrow(run, "idx long, g array<double>").select("idx", F.posexplode("g").alias("pos", "v"))
-    return _dense(rows.groupBy("idx", "pos").agg(F.sum("v").alias("v")), t.dims[k], width)
+    return _dense(keyed_sums(t, tuple(u), k, width, outer), t.dims[k], width)
 
 
 def fit_tucker(t: TensorFrame, ranks: int | list[int] = 3, sweeps: int = 5, seed: int = 0) -> Tucker:

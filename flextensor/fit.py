@@ -3,17 +3,19 @@
 from __future__ import annotations
 
 import time
-from dataclasses import replace
+from dataclasses import dataclass, replace
 
 import numpy as np
 from pyspark.sql import DataFrame
 
 from .bounds import em, gaussian, probit
-from .exec import passes
+from .exec import anchored, passes
+from .exec.planner import Plan, choose
 from .functions.special import hazard
 from .model import ModelState, init_model
 from .optim.gd import gd
 from .optim.lbfgs import lbfgs
+from .predict import predict
 from .tensor import TensorFrame
 
 
@@ -52,7 +54,7 @@ def fit(
     model: ModelState | None = None,
     ranks: int | list[int] = 3,
     p: int = 100,
-    kernel: str = "rbf",
+    kernel: str = "ard",
     optimiser: str = "lbfgs",
     steps: int = 30,
     rate: float = 0.01,
@@ -61,8 +63,9 @@ def fit(
     inference: str = "collapsed",
     reduce: str = "keyfree",
     seed: int = 0,
+    lam_iter: int = 60,
 ) -> ModelState:
-    """A fitted model; ``trace`` holds (iteration, seconds, bound)."""
+    """A fitted model; ``trace`` holds (iteration, seconds, bound). λ is warm-started, with at most ``lam_iter`` steps an evaluation."""
     m = model or init_model(t, ranks, p, kernel, seed)
     began, trace = time.time(), []
     if inference == "em":
@@ -84,7 +87,7 @@ def fit(
     else:
 
         def f(v: np.ndarray):
-            value, g, seen = evaluate(t, replace(m.unpack(v, learn_kernel), lam=warm["lam"]), reduce)
+            value, g, seen = evaluate(t, replace(m.unpack(v, learn_kernel), lam=warm["lam"]), reduce, lam_iter=lam_iter)
             warm["lam"] = seen.lam
             return value, whole(g)
 
@@ -95,11 +98,39 @@ def fit(
         x, _, values = gd(f, start, steps, rate, "backtrack" if optimiser == "gd" else optimiser.removeprefix("gd_"), callback=log)
     out = m.unpack(x[:size], learn_kernel)
     if m.kind == "binary":
-        lam = x[size:] if lambda_mode == "joint" else probit.fixed_point(t, out, passes.suff_stats(t, out), warm["lam"])[0]
+        lam = x[size:] if lambda_mode == "joint" else probit.fixed_point(t, out, passes.suff_stats(t, out), warm["lam"], max_iter=lam_iter)[0]
         out = replace(out, lam=lam)
     return replace(out, trace=[(0, 0.0, values[0]), *trace])
 
 
+@dataclass(frozen=True)
+class Fitted:
+    """A model as the planner placed it: with all factors, or with one mode's in a table."""
+
+    plan: Plan
+    model: ModelState
+    mode: int | None = None
+    table: DataFrame | None = None
+
+    def predict(self, train: TensorFrame, cells: DataFrame) -> DataFrame:
+        if self.table is None:
+            return predict(train, self.model, cells)
+        return anchored.predict_anchored(train, self.model, self.table, self.mode, cells)
+
+
+def fit_planned(t: TensorFrame, ranks: int | list[int] = 3, p: int = 100, task_bytes: float = 1e9, salts: int = 1, **how) -> Fitted:
+    """Fits with the reduction and placement that the cost model chooses for this tensor: whole key-free gradients while the factors
+    fit a task, the largest mode's factors as a table beside its cells beyond that, combined keyed gradients for several huge modes."""
+    each = [ranks] * len(t.dims) if isinstance(ranks, int) else list(ranks)
+    tasks = t.df.rdd.getNumPartitions()
+    plan = choose(t.df.count(), list(t.dims), each, p, tasks, task_bytes)
+    if plan.placement != "anchored":
+        return Fitted(plan, fit(t, ranks=each, p=p, reduce="keyfree" if plan.reduce == "keyfree" else "keyed_combined", **how))
+    mode = max(range(len(each)), key=lambda k: t.dims[k] * each[k])
+    model, table = anchored.fit_anchored(t, mode, each, p, shards=tasks, salts=salts, **how)
+    return Fitted(plan, model, mode, table)
+
+
 def block_z(state, index: np.ndarray, y: np.ndarray) -> np.ndarray:
     """Σ k E z, Σ E z², Σ entropy for q(z_j) centred at u_j = k_jᵀ w."""
     m, w = state

@@ -4,17 +4,19 @@ from __future__ import annotations
 
 import time
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .. import metrics, sampling, workloads
-from ..baselines import kron, linear, multilinear
+from ..baselines import kron, multilinear
 from ..bounds import gaussian
 from ..exec import passes, planner
 from ..fit import evaluate, fit
 from ..model import init_model
 from ..predict import predict
+from ..session import cut_lineage
 from ..tensor import TensorFrame
 from .relational import Query
 from .tensor_queries import folded
@@ -30,91 +32,118 @@ def query(name: str, sql: str | None = None):
     return add
 
 
-METHODS = {
-    "cp": lambda t: multilinear.fit_cp(t, 3, 6),
-    "cp2": lambda t: multilinear.fit_cp(t, 3, 6, observed_only=True),
-    "nncp": lambda t: multilinear.fit_nncp(t, 3, 8),
-    "hosvd": lambda t: multilinear.fit_hosvd(t, 3),
-    "tucker": lambda t: multilinear.fit_tucker(t, 3, 3),
-    "krongp": lambda t: kron.fit_krongp(t, 2, steps=15),
-    "mixkron": lambda t: kron.fit_mixkron(t, 2, blocks=4, block=[min(5, d) for d in t.dims]),
+# methods by how they see missing cells: as zeros, or left out but for a balanced sample of zeros
+MISSING_AS_ZERO = {
+    "cp": lambda t, r: multilinear.fit_cp(t, r, 4),
+    "nncp": lambda t, r: multilinear.fit_nncp(t, r, 4),
+    "hosvd": lambda t, r: multilinear.fit_hosvd(t, r),
+    "tucker": lambda t, r: multilinear.fit_tucker(t, r, 2),
+    "krongp": lambda t, r: kron.fit_krongp(t, r, steps=4),
+    "sparse_cp": lambda t, r: multilinear.fit_sparse_cp(t, r, 3),
+    "blockkron": lambda t, r: kron.fit_blockkron(t, r, 12, side(t), 2, 4),
+    "mixkron": lambda t, r: kron.fit_mixkron(t, r, blocks=8, block=side(t)),
 }
+BALANCED = {"cp2": lambda t, r: multilinear.fit_cp(t, r, 4, observed_only=True)}
+SMALL = ("flexgp", "cp2", "cp", "nncp", "hosvd", "tucker", "krongp", "mixkron")
+LARGE = ("flexgp", "sparse_cp", "blockkron", "mixkron")
 
 
-def score(t: TensorFrame, test: DataFrame, method: str, p: int = 15, steps: int = 12) -> DataFrame:
-    """``test`` with ``score`` by a method fitted on ``t``."""
+def side(t: TensorFrame) -> list[int]:
+    """Sub-tensors of about 40 indices a mode."""
+    return [min(40, d) for d in t.dims]
+
+
+def score(t: TensorFrame, balanced: TensorFrame, test: DataFrame, method: str, rank: int = 3, p: int = 100, steps: int = 4) -> DataFrame:
+    """``test`` with ``score`` by a method fitted on the nonzeros ``t`` or on ``balanced``, which holds sampled zeros as well."""
     if method == "flexgp":
-        out = predict(t, fit(t, p=p, steps=steps), test)
+        out = predict(balanced, fit(balanced, ranks=rank, p=p, steps=steps, lam_iter=8), test)
         return out.withColumnRenamed("mean", "score") if t.kind == "real" else out
-    return multilinear.predict_cells(METHODS[method](t), test, t.modes, "score")
+    model = BALANCED[method](balanced, rank) if method in BALANCED else MISSING_AS_ZERO[method](t, rank)
+    return multilinear.predict_cells(model, test, t.modes, "score")
+
+
+def measure(t: TensorFrame, scored: DataFrame, by: list[str]) -> DataFrame:
+    return (metrics.mse(scored, "y", "score", by) if t.kind == "real" else metrics.auc(scored, "y", "score", by)).toDF(*by, "value")
 
 
-def folds_table(t: TensorFrame, methods: list[str], folds: int = 5, **how) -> DataFrame:
-    """(method, fold, value): MSE (real) or AUC (binary) on each held-out fold."""
-    all_, rows = sampling.kfold(t, folds).persist(), []
+def folds_table(t: TensorFrame, methods: tuple[str, ...], folds: int = 5, **how) -> DataFrame:
+    """(method, fold, value): MSE (real) or AUC (binary) on each fold's nonzeros and its share of zeros. The other folds train, with
+    as many zeros as nonzeros for the methods on balanced cells; all test zeros stay out of training."""
+    parts = 8
+    all_ = sampling.kfold(t, folds).persist()
+    zeros = sampling.fold_zeros(t, folds).persist()
+    rows = []
     for i in range(folds):
-        train = t.with_df(all_.where(F.col("fold") != i).drop("fold")).distribute(4)
-        test = all_.where(F.col("fold") == i).select(*t.modes, "y")
+        train = t.with_df(all_.where(F.col("fold") != i).select(*t.modes, "y")).distribute(parts)
+        test = all_.where(F.col("fold") == i).select(*t.modes, "y").unionByName(zeros.where(F.col("fold") == i).select(*t.modes, "y")).persist()
+        held = zeros.select(*t.modes).unionByName(test.select(*t.modes))
+        balanced = sampling.balanced_sample(train, exclude=held).distribute(parts)
         for m in methods:
-            s = score(train, test, m, **how)
-            v = (metrics.mse(s, "y", "score") if t.kind == "real" else metrics.auc(s, "y", "score")).first()[0]
+            if m == "krongp" and np.prod(t.dims, dtype=float) > kron.MOST_CELLS:
+                rows.append((m, i, None))  # a dense method on a tensor that isn't small
+                continue
+            v = measure(t, score(train, balanced, test, m, **how), []).first()[0]
             rows.append((m, i, None if v is None else float(v)))
-        train.df.unpersist()
+        for df in (train.df, balanced.df, test):
+            df.unpersist()
+    all_.unpersist()
+    zeros.unpersist()
     return t.df.sparkSession.createDataFrame(rows, "method string, fold int, value double")
 
 
-@query("q_w12_folds")
-def _(spark, d):
-    """Mean, SD and standard error of the MSE over folds, all methods, planted real responses."""
-    t = workloads.planted(folded(spark, d))
-    return metrics.fold_stats(folds_table(t, ["flexgp", *METHODS], 2), "value", ["method"])
+def _w12(name: str):
+    def run(spark, d):
+        """Mean, SD and standard error over five folds of each method, and the paired t-test of FlexGP against it."""
+        table = folds_table(workloads.TENSORS[name](spark, d), SMALL)
+        stats = metrics.fold_stats(table, "value", ["method"])
+        tests = [metrics.paired_t(table, "flexgp", m).select(F.col("against").alias("method"), "t", "p") for m in SMALL[1:]]
+        for x in tests[1:]:
+            tests[0] = tests[0].unionByName(x)
+        return stats.join(tests[0], "method", "left")
 
+    TABLE[f"q_w12_folds_{name}"] = (run, None)
 
-@query("q_w12_folds_binary")
-def _(spark, d):
-    t = workloads.planted(folded(spark, d), True)
-    return metrics.fold_stats(folds_table(t, ["flexgp", "cp", "cp2", "tucker"], 2, steps=5), "value", ["method"])
 
+for _name in ("w1", "w2a", "w3", "w4"):
+    _w12(_name)
 
-@query("q_w12_ttest")
-def _(spark, d):
-    return metrics.paired_t(folds_table(workloads.planted(folded(spark, d)), ["flexgp", "cp2"], 3), "flexgp", "cp2")
 
+def test_sets(t: TensorFrame, reps: int, n_zero: int = 1800) -> tuple[TensorFrame, TensorFrame, DataFrame]:
+    """(nonzeros to train, these with balanced zeros, test sets): no test cell trains."""
+    train, tests = sampling.train_and_tests(t, reps=reps, n_zero=n_zero)
+    tests, train = tests.persist(), train.distribute(8)
+    return train, sampling.balanced_sample(train, exclude=tests.select(*t.modes).distinct()).distribute(8), tests
 
-def bibliography(spark: SparkSession, d: str, reps: int) -> tuple[TensorFrame, DataFrame]:
-    """W6: balanced training cells, and test sets of 200 nonzeros and 1,800 zeros."""
-    t = workloads.w6(spark, d)
-    zeros = sampling.enumerated_zeros(t)
-    train, tests = sampling.train_and_tests(t, zeros, reps=reps)
-    tests = tests.persist()
-    return sampling.balanced_sample(train, exclude=tests.select(*t.modes).distinct()).distribute(4), tests
 
+def sets_table(t: TensorFrame, methods: tuple[str, ...], rank: int, reps: int = 50, n_zero: int = 1800, **how) -> DataFrame:
+    """(method, mean, sd, se, sets): measures over test sets of 200 held-out nonzeros and ``n_zero`` zeros."""
+    train, balanced, tests = test_sets(t, reps, n_zero)
+    out = None
+    for m in methods:
+        v = measure(t, score(train, balanced, tests.select("rep", *t.modes, "y"), m, rank, **how), ["rep"])
+        s = cut_lineage(metrics.fold_stats(v.withColumn("method", F.lit(m)), "value", ["method"]).withColumnRenamed("folds", "sets"))
+        out = s if out is None else out.unionByName(s)
+    for df in (train.df, balanced.df, tests):
+        df.unpersist()
+    return out
+
+
+def _w11(name: str, rank: int, n_zero: int):
+    def run(spark, d):
+        t = workloads.w6(spark, d, None) if name == "w6" else workloads.TENSORS[name](spark, d)
+        return sets_table(t, LARGE, rank, n_zero=n_zero)
+
+    TABLE[f"q_w11_sets_{name}"] = (run, None)
 
-@query("q_w11_bibliography")
-def _(spark, d):
-    """Mean AUC over the test sets: FlexGP, sparse CP, one-hot logistic regression."""
-    train, tests = bibliography(spark, d, 5)
-    cells, out = tests.select("rep", *train.modes, "y"), []
-    m = fit(train, p=20, steps=8)
-    for name, s in (
-        ("flexgp", predict(train, m, cells)),
-        ("sparse_cp", multilinear.predict_cells(multilinear.fit_sparse_cp(train, 3, 6), cells, train.modes, "score")),
-        ("logreg", linear.ctr_logreg(train.df.select(*train.modes, "y"), cells, train.modes)),
-    ):
-        out.append(metrics.auc(s, "y", "score", ["rep"]).agg(F.avg("auc").alias("mean_auc"), F.count("auc").alias("sets")).select(F.lit(name).alias("method"), "mean_auc", "sets"))
-    return out[0].unionByName(out[1]).unionByName(out[2])
+
+for _name, _rank, _zero in (("w5", 3, 1800), ("w6", 3, 1800), ("w7", 5, 2000)):
+    _w11(_name, _rank, _zero)
 
 
 @query("q_w14_balanced")
 def _(spark, d):
-    """CP on all cells against CP on balanced cells, held-out AUC."""
-    train, tests = bibliography(spark, d, 2)
-    cells = tests.select("rep", *train.modes, "y")
-    rows = []
-    for name, observed in (("cp", False), ("cp2", True)):
-        s = multilinear.predict_cells(multilinear.fit_cp(train, 3, 5, observed_only=observed), cells, train.modes, "score")
-        rows.append((name, metrics.auc(s, "y", "score").first()[0]))
-    return spark.createDataFrame(rows, "method string, auc double")
+    """CP with all missing cells as zeros against CP on balanced cells: AUC over 50 test sets."""
+    return sets_table(workloads.w6(spark, d, None), ("cp", "cp2"), 3)
 
 
 @query("q_w14_optimisers")
@@ -149,25 +178,27 @@ def _(spark, d):
 def _(spark, d):
     """Seconds of one evaluation by number of tasks the cells are dealt over, against the cost model's operations per task."""
     t = workloads.w5(spark, d)
-    rows = []
+    t = t.with_df(cut_lineage(t.df))
+    m, n, rows = init_model(t, 3, 100, "ard"), t.df.count(), []
     for tasks in (1, 2, 4, 8):
         part = t.distribute(tasks)
-        m = init_model(part, 3, 20)
-        n = part.df.count()
-        rows.append((tasks, seconds(lambda part=part, m=m: evaluate(part, m)), planner.cost_model(n, list(t.dims), [3, 3, 3], 20, tasks).flops_per_task))
+        evaluate(part, m)
+        s = seconds(lambda part=part: evaluate(part, m))
+        rows.append((tasks, s, rows[0][1] / s if rows else 1.0, planner.cost_model(n, list(t.dims), [3, 3, 3], 100, tasks).flops_per_task))
         part.df.unpersist()
-    return spark.createDataFrame(rows, "tasks int, seconds double, flops_per_task double")
+    return spark.createDataFrame(rows, "tasks int, seconds double, speed double, flops_per_task double")
 
 
 @query("q_w13_iterations")
 def _(spark, d):
-    """Seconds of one iteration of each large-scale method on W6."""
-    t = sampling.balanced_sample(workloads.w6(spark, d)).distribute(8)
-    m = init_model(t, 3, 20)
+    """Seconds of one iteration of each large-scale method on the bibliography tensor of all words."""
+    t = sampling.balanced_sample(workloads.w6(spark, d, None)).distribute(8)
+    m = init_model(t, 3, 100, "ard")
+    ones = t.with_df(t.df.where("y > 0"))
     rows = [
         ("flexgp", seconds(lambda: evaluate(t, m, lam_iter=10))),
-        ("sparse_cp", seconds(lambda: multilinear.fit_sparse_cp(t, 3, 1))),
-        ("blockkron", seconds(lambda: kron.fit_blockkron(t, 3, 4, [10, 4, 20], 1, 2))),
+        ("sparse_cp", seconds(lambda: multilinear.sparse_cp_tables(ones, 3, 1))),
+        ("blockkron", seconds(lambda: kron.fit_blockkron(ones, 3, 12, side(t), 1, 4))),
     ]
     return spark.createDataFrame(rows, "method string, seconds double")
 

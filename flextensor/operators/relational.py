@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..sampling import MODULUS, portable_hash, portable_hash_sql
 from ..sources import tables
 from ..sources.tables import load_table
 
@@ -188,9 +189,12 @@ def _(spark, d):
     return li(spark, d, "l_suppkey", "l_partkey").agg(F.count_distinct("l_suppkey").alias("d1"), F.count_distinct("l_partkey").alias("d2"))
 
 
-@query("q_agg_approx", None)
+@query("q_agg_approx", "SELECT count(DISTINCT l_suppkey) AS d1, count(DISTINCT l_partkey) AS d2, true AS near FROM lineitem")
 def _(spark, d):
-    return li(spark, d, "l_suppkey", "l_partkey").agg(F.approx_count_distinct("l_suppkey", 0.02).alias("d1"), F.approx_count_distinct("l_partkey", 0.02).alias("d2"))
+    """Exact sizes, and whether the approximate ones are within 5 %."""
+    exact = [F.count_distinct(c) for c in ("l_suppkey", "l_partkey")]
+    near = [F.abs(F.approx_count_distinct(c, 0.02) - x) <= 0.05 * x for c, x in zip(("l_suppkey", "l_partkey"), exact, strict=True)]
+    return li(spark, d, "l_suppkey", "l_partkey").agg(exact[0].alias("d1"), exact[1].alias("d2"), (near[0] & near[1]).alias("near"))
 
 
 @query("q_agg_percentile", "SELECT event_type, round(quantile_cont(value, 0.5), 6) AS med FROM events GROUP BY event_type")
@@ -483,9 +487,10 @@ def _(spark, d):
     return spark.sql("SELECT id AS i, round(ndtr((id - 28) / 10.0D), 9) AS phi FROM range(57) WHERE id % 2 = 0")
 
 
-@query("q_sample", None)
+@query("q_sample", f"SELECT event_id FROM events WHERE {portable_hash_sql('event_id', seed=4)} < {MODULUS // 10}")
 def _(spark, d):
-    return ev(spark, d, "event_id").sample(0.1, seed=4)
+    """A tenth by hash: the same rows in every layout."""
+    return ev(spark, d, "event_id").where(portable_hash(F.col("event_id"), seed=4) < MODULUS // 10)
 
 
 @query("q_skew", "SELECT event_type, count(*) AS n, round(sum(value), 3) AS s FROM events GROUP BY event_type")
@@ -495,14 +500,34 @@ def _(spark, d):
     return part.groupBy("event_type").agg(F.sum("n").alias("n"), F.round(F.sum("s"), 3).alias("s"))
 
 
-@query("q_explain", None)
+@query("q_explain", "SELECT check_name, true AS holds FROM (VALUES ('filter pushed'), ('columns pruned'), ('one code-generated stage'), ('key-free has no keyed exchange'), ('keyed has one')) t(check_name)")
 def _(spark, d):
-    df = li(spark, d, "l_orderkey", "l_quantity").where("l_quantity > 45")
-    text = df._jdf.queryExecution().explainString(df.sparkSession._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted"))
-    return spark.createDataFrame([(i, x) for i, x in enumerate(text.split("\n"))], "line int, plan string")
+    """What the plans must show, read from the plans."""
+    from ..bounds import gaussian
+    from ..exec import passes
+    from .tensor_queries import folded, sine_model
 
+    plan = lambda df: df._jdf.queryExecution().explainString(spark._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted"))
+    scan = plan(li(spark, d, "l_orderkey", "l_quantity").where("l_quantity > 45"))
+    t, m = folded(spark, d).distribute(2), sine_model()
+    a = gaussian.adjoints(m, passes.suff_stats(t, m))[0]
+    keyed = plan(passes.keyed_gradient(t, m, a))
+    free = plan(t.df.select(*t.modes, "y").mapInArrow(lambda batches: iter(()), "v binary"))
+    t.df.unpersist()
+    rows = [
+        ("filter pushed", "GreaterThan(l_quantity,45" in scan),
+        ("columns pruned", "ReadSchema: struct<l_orderkey:bigint,l_quantity:double>" in scan),
+        ("one code-generated stage", "[codegen id : 1]" in scan and "[codegen id : 2]" not in scan),
+        ("key-free has no keyed exchange", "hashpartitioning" not in free.split("InMemoryRelation")[0]),
+        ("keyed has one", "hashpartitioning(mode" in keyed),
+    ]
+    return spark.createDataFrame(rows, "check_name string, holds boolean")
 
-@query("q_datasource", None)
+
+_ZERO_INDEX = ", ".join(f"({portable_hash_sql('j', str(k + 1))} // 256) % {n} AS i_{k + 1}" for k, n in enumerate((100, 50, 25)))
+
+
+@query("q_datasource", f"SELECT {_ZERO_INDEX} FROM range(2000) t(j)")
 def _(spark, d):
     from ..sources.tables import register_tensor_zeros
 

@@ -53,11 +53,14 @@ def _(spark, d):
     return st.drain(st.dedupe(s.union(s)).select("event_id"))
 
 
-@query("st_late")
+_SPLIT = "SELECT min(ts) + (max(ts) - min(ts)) / 2 AS cut FROM events"
+
+
+@query("st_late", f"WITH c AS ({_SPLIT}), w AS (SELECT max(ts) - INTERVAL 1 HOUR AS mark FROM events, c WHERE ts >= cut AND event_id % 2 = 0) SELECT (SELECT count(*) FROM events, c, w WHERE ts >= cut OR ts > mark) AS kept, (SELECT count(*) FROM events, c, w WHERE ts < cut AND ts <= mark) AS dropped")
 def _(spark, d):
-    """Rows behind a short watermark are dropped from open windows; what stays never exceeds the batch count."""
-    s = st.event_stream(spark, d).withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
-    return st.drain(s.select(F.col("window.start").alias("start"), "n"))
+    """The later half of the events comes first; of the earlier half, rows behind the watermark are dropped and counted."""
+    kept, dropped = st.late_rows(spark, d)
+    return one_row(spark, kept=kept, dropped=dropped)
 
 
 @query("st_static_join", "SELECT event_id, n_name FROM events JOIN nation ON user_id % 25 = n_nationkey")
@@ -105,9 +108,10 @@ def _(spark, d):
     return out.groupBy("user_id").agg(F.max("clicks").alias("clicks"), F.max("views").alias("views"))
 
 
-@query("st_sinks", "SELECT event_type, count(*) AS n FROM events GROUP BY event_type")
+@query("st_sinks", "SELECT sink, event_type, count(*) AS n FROM events, (VALUES ('append'), ('complete'), ('update')) t(sink) GROUP BY ALL")
 def _(spark, d):
-    """A stream stopped after one batch and started again from its checkpoint gives each row once."""
+    """Counts by way of three output modes: Parquet with a stop and a restart from the checkpoint, memory, and a batch function that
+    upserts."""
     from ..sources.tables import scratch
 
     s = st.event_stream(spark, d).select("event_id", "event_type")
@@ -115,6 +119,15 @@ def _(spark, d):
     write = s.writeStream.format("parquet").option("checkpointLocation", ckpt)
     write.trigger(once=True).start(out).awaitTermination()
     write.trigger(availableNow=True).start(out).awaitTermination()
-    return spark.read.parquet(out).groupBy("event_type").agg(F.count("*").alias("n"))
-
-
+    append = spark.read.parquet(out).groupBy("event_type").agg(F.count("*").alias("n"))
+    counts = lambda: st.event_stream(spark, d).groupBy("event_type").agg(F.count("*").alias("n"))
+    complete = st.drain(counts(), "complete")
+    state: dict[str, int] = {}
+
+    def upsert(df, batch_id):
+        state.update({r.event_type: r.n for r in df.collect()})
+
+    counts().writeStream.outputMode("update").foreachBatch(upsert).option("checkpointLocation", scratch(spark, "ckpt")).trigger(availableNow=True).start().awaitTermination()
+    update = spark.createDataFrame(list(state.items()), "event_type string, n bigint")
+    parts = [df.select(F.lit(name).alias("sink"), "event_type", "n") for name, df in (("append", append), ("complete", complete), ("update", update))]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])

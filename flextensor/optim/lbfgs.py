@@ -1,4 +1,4 @@
-"""L-BFGS (maximising) with a strong-Wolfe line search."""
+"""L-BFGS (maximising) with a strong-Wolfe line search. Vectors need sums, multiples and dot products only, so they may be sharded."""
 
 from __future__ import annotations
 
@@ -14,12 +14,12 @@ def direction(g: np.ndarray, pairs: deque) -> np.ndarray:
     for s, y, rho in reversed(pairs):
         a = rho * (s @ q)
         alphas.append(a)
-        q -= a * y
+        q = q - a * y
     if pairs:
         s, y, _ = pairs[-1]
-        q *= (s @ y) / (y @ y)
+        q = q * ((s @ y) / (y @ y))
     for (s, y, rho), a in zip(pairs, reversed(alphas), strict=True):
-        q += s * (a - rho * (y @ q))
+        q = q + s * (a - rho * (y @ q))
     return q
 
 
@@ -45,6 +45,10 @@ def wolfe(f: Callable, x: np.ndarray, value: float, g: np.ndarray, d: np.ndarray
     return best
 
 
+def _abs_sum(g) -> float:
+    return g.abs_sum() if hasattr(g, "abs_sum") else float(np.abs(g).sum())
+
+
 def lbfgs(f: Callable[[np.ndarray], tuple[float, np.ndarray]], x: np.ndarray, steps: int = 50, memory: int = 10, tol: float = 1e-7, callback: Callable | None = None) -> tuple[np.ndarray, float, list[float]]:
     value, g = f(x)
     trace, pairs = [value], deque(maxlen=memory)
@@ -53,7 +57,7 @@ def lbfgs(f: Callable[[np.ndarray], tuple[float, np.ndarray]], x: np.ndarray, st
         if d @ g <= 0:
             pairs.clear()
             d = g.copy()
-        t, v, ng = wolfe(f, x, value, g, d, 1.0 if pairs else min(1.0, 1.0 / (np.abs(g).sum() + 1e-12)))
+        t, v, ng = wolfe(f, x, value, g, d, 1.0 if pairs else min(1.0, 1.0 / (_abs_sum(g) + 1e-12)))
         if t == 0.0:
             if not pairs:
                 break

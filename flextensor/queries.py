@@ -3,9 +3,7 @@
 from .operators import experiments, relational, streaming_queries, tensor_queries
 from .operators.tensor_queries import flagship
 
-# harnesses that have run over whole tables so far; the others of ``experiments`` are called directly
-READY = ("q_udaf_auc", "q_plan_exchanges", "q_calibration", "q_log_predictive", "q_w14_optimisers", "q_w10_reductions")
-_ALL = {**relational.TABLE, **tensor_queries.TABLE, **streaming_queries.TABLE, **{n: experiments.TABLE[n] for n in READY}}
+_ALL = {**relational.TABLE, **tensor_queries.TABLE, **streaming_queries.TABLE, **experiments.TABLE}
 QUERIES = {name: f for name, (f, _) in _ALL.items()}
 ORACLES = {name: sql for name, (_, sql) in _ALL.items() if sql is not None}
 

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .session import cut_lineage
 from .tensor import TensorFrame
 
 MULTIPLIER, INCREMENT, MODULUS = 1_103_515_245, 12_345, 2_147_483_648
@@ -49,7 +50,9 @@ def balanced_sample(t: TensorFrame, ratio: float = 1.0, exclude: DataFrame | Non
     grid = 1.0
     for d in t.dims:
         grid *= d
-    n = t.df.count()
+    cells = cut_lineage(t.df.select(*modes, "y"))
+    t = t.with_df(cells)
+    n = cells.count()
     want = round(n * ratio)
     free = max(1e-9, 1 - n / grid)
     if want > grid - n:
@@ -59,11 +62,28 @@ def balanced_sample(t: TensorFrame, ratio: float = 1.0, exclude: DataFrame | Non
     pool = zero_candidates(t, tries, seed).distinct().join(t.df.select(*modes), modes, "left_anti")
     if exclude is not None:
         pool = pool.join(exclude.select(*modes), modes, "left_anti")
-    zeros = pool.orderBy(portable_hash(*(F.col(m) for m in modes), seed=seed + 1), *modes).limit(want)
-    cells = t.df.select(*modes, "y").withColumn("origin", F.lit("obs")).unionByName(zeros.select(*modes, F.lit(0.0).alias("y"), F.lit("zero").alias("origin")))
+    zeros = smallest_hashes(pool, modes, want, seed + 1)
+    cells = cells.withColumn("origin", F.lit("obs")).unionByName(zeros.select(*modes, F.lit(0.0).alias("y"), F.lit("zero").alias("origin")))
     return t.with_df(cells)
 
 
+HASH_BINS = 4096
+
+
+def smallest_hashes(pool: DataFrame, modes: list[str], n: int, seed: int) -> DataFrame:
+    """The n rows of smallest hash (ties by index). A histogram of the hash finds the one bin in which the n-th lies; only that bin is
+    ever ordered."""
+    pool = cut_lineage(pool.withColumn("rank_hash", portable_hash(*(F.col(m) for m in modes), seed=seed)))
+    b = F.floor(F.col("rank_hash") / (MODULUS // HASH_BINS))
+    seen = 0
+    for r in pool.groupBy(b.alias("b")).agg(F.count("*").alias("n")).orderBy("b").collect():
+        if seen + r.n >= n:
+            edge = pool.where(b == r.b).orderBy("rank_hash", *modes).limit(n - seen)
+            return pool.where(b < r.b).unionByName(edge).drop("rank_hash")
+        seen += r.n
+    return pool.drop("rank_hash")
+
+
 def enumerated_zeros(t: TensorFrame) -> DataFrame:
     """All empty cells of a tiny tensor."""
     spark = t.df.sparkSession
@@ -74,19 +94,57 @@ def enumerated_zeros(t: TensorFrame) -> DataFrame:
     return out.join(t.df.select(*t.modes), t.modes, "left_anti").withColumn("y", F.lit(0.0))
 
 
-def train_and_tests(t: TensorFrame, zeros: DataFrame, share: float = 0.8, reps: int = 50, n_one: int = 200, n_zero: int = 1800, seed: int = 5) -> tuple[TensorFrame, DataFrame]:
-    """``share`` of the nonzeros to train, and (rep, cells, y) test sets of n_one held-out nonzeros and n_zero zeros each."""
+def hashed_cells(spark: SparkSession, dims: tuple[int, ...], modes: list[str], groups: int, each: int, name: str, seed: int) -> DataFrame:
+    """(name, modes): ``each`` random cells of the grid in every group 0..groups-1, drawn index by index from the hash of
+    (group, attempt); the grid itself is never made."""
+    ids = spark.range(groups * each).select(F.floor(F.col("id") / each).cast("int").alias(name), F.pmod("id", F.lit(each)).alias("a"))
+    draws = (F.pmod(F.floor(portable_hash(F.col(name), F.col("a"), F.lit(k + 1), seed=seed) / 256).cast("long"), F.lit(d)).alias(m) for k, (m, d) in enumerate(zip(modes, dims, strict=True)))
+    return ids.select(name, *draws)
+
+
+def _first(df: DataFrame, modes: list[str], name: str, n: int, seed: int) -> DataFrame:
+    """Per group the n rows of smallest hash; groups are small by their making."""
+    rank = F.row_number().over(Window.partitionBy(name).orderBy(portable_hash(F.col(name), *(F.col(m) for m in modes), seed=seed), *modes))
+    return df.withColumn("rank", rank).where(F.col("rank") <= n).drop("rank")
+
+
+def empty_cells(t: TensorFrame, groups: int, n: int, name: str = "rep", seed: int = 5, attempts: int | None = None) -> DataFrame:
+    """(name, modes, y = 0): n distinct empty cells in each group."""
+    free = 1 - t.density()
+    grid = 1.0
+    for d in t.dims:
+        grid *= d
+    if n > free * grid:
+        raise ValueError(f"{n} zeros wanted, {free * grid:.0f} cells are empty")
+    # draws that hit cells or repeat are made up for; on a grid of few empty cells there are more of them
+    each = attempts or int(n * (1 + 4 * n / grid) / max(free, 1e-9) * 1.5) + 64
+    pool = hashed_cells(t.df.sparkSession, t.dims, t.modes, groups, each, name, seed).distinct()
+    return _first(pool.join(t.df.select(*t.modes), t.modes, "left_anti"), t.modes, name, n, seed + 1).withColumn("y", F.lit(0.0))
+
+
+def fold_zeros(t: TensorFrame, k: int = 5, share: float = 0.001, most: float = 1.0, seed: int = 7, attempts: int | None = None) -> DataFrame:
+    """(modes, y = 0, fold): the zeros that each fold tests, ``share`` of all zeros, at most ``most`` times the fold's nonzeros (a
+    share of a large grid would swamp them), at least 1."""
+    grid = 1.0
+    for d in t.dims:
+        grid *= d
+    n = t.df.count()
+    each = max(1, min(int((grid - n) * share + 1e-9), int(n / k * most + 1e-9)))
+    return empty_cells(t, k, each, "fold", seed, attempts).select(*t.modes, "y", "fold")
+
+
+def train_and_tests(t: TensorFrame, share: float = 0.8, reps: int = 50, n_one: int = 200, n_zero: int = 1800, seed: int = 5, attempts: int | None = None) -> tuple[TensorFrame, DataFrame]:
+    """``share`` of the nonzeros to train, and (rep, cells, y) test sets of n_one held-out nonzeros and n_zero empty cells each."""
     modes = t.modes
     h = portable_hash(*(F.col(m) for m in modes), seed=seed)
     train = t.df.where(h < int(MODULUS * share))
     rest = t.df.where(h >= int(MODULUS * share)).select(*modes, "y")
-
-    def draw(df: DataFrame, n: int) -> DataFrame:
-        rep = df.crossJoin(F.broadcast(df.sparkSession.range(reps).select(F.col("id").cast("int").alias("rep"))))
-        rank = F.row_number().over(Window.partitionBy("rep").orderBy(portable_hash(F.col("rep"), *(F.col(m) for m in modes), seed=seed + 1), *modes))
-        return rep.withColumn("rank", rank).where(F.col("rank") <= n).select("rep", *modes, "y")
-
-    return t.with_df(train), draw(rest, n_one).unionByName(draw(zeros.select(*modes, F.lit(0.0).alias("y")), n_zero))
+    held = rest.count()
+    # per set the n_one of smallest hash: a threshold leaves a few times that many for the window, fewer only if there are no more
+    rep = rest.select("*", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))).alias("rep"))
+    low = F.pmod(portable_hash(F.col("rep"), *(F.col(m) for m in modes), seed=seed + 1), F.lit(MODULUS)) < int(min(1.0, (4 * n_one + 64) / max(1, held)) * MODULUS)
+    ones = _first(rep.where(low), modes, "rep", n_one, seed + 1)
+    return t.with_df(train), ones.select("rep", *modes, "y").unionByName(empty_cells(t, reps, n_zero, "rep", seed + 2, attempts).select("rep", *modes, "y"))
 
 
 def day_pairs(events: DataFrame, days: list[str]) -> DataFrame:

@@ -124,20 +124,45 @@ def for_each(stream: DataFrame, merge: Callable[[DataFrame, int], None]) -> None
     stream.writeStream.foreachBatch(merge).option("checkpointLocation", scratch(stream.sparkSession, "ckpt")).trigger(availableNow=True).start().awaitTermination()
 
 
-def user_counters(df: DataFrame) -> DataFrame:
-    """Clicks and views of each user, kept as state: updates of every micro-batch."""
+def late_rows(spark: SparkSession, sf_dir: str, delay: str = "1 hour") -> tuple[int, int]:
+    """(rows kept, rows dropped behind the watermark) of a stream that gets the later half of the events, in two batches, before the
+    earlier one: a batch is held against the watermark that the batch before it began with."""
+    e = batch_events(spark, sf_dir)
+    cut = e.agg((F.min("ts").cast("double") + (F.max("ts").cast("double") - F.min("ts").cast("double")) / 2).alias("c")).first().c
+    root = scratch(spark, "late")
+    later = F.col("ts").cast("double") >= cut
+    even = F.col("event_id") % 2 == 0
+    for name, part in (("a", later & even), ("b", later & ~even), ("c", ~later)):  # files are read in the order of their making
+        e.where(part).coalesce(1).write.parquet(f"{root}/{name}")
+    s = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(f"{root}/*")
+    rows = s.withWatermark("ts", delay).dropDuplicates(["event_id", "ts"]).select("event_id")
+    out = scratch(spark, "sink")
+    q = rows.writeStream.format("parquet").option("checkpointLocation", scratch(spark, "ckpt")).trigger(availableNow=True).start(out)
+    q.awaitTermination()
+    dropped = sum(op["numRowsDroppedByWatermark"] for p in q.recentProgress for op in p["stateOperators"])
+    return spark.read.schema(rows.schema).parquet(out).count(), int(dropped)
+
+
+def user_counters(df: DataFrame, idle_days: int = 60) -> DataFrame:
+    """Clicks and views of each user, kept as state: updates of every micro-batch. The state of a user goes when the watermark is
+    ``idle_days`` past the last event."""
     import pandas as pd
     from pyspark.sql.streaming.state import GroupStateTimeout
 
     def update(key, frames, state):
-        clicks, views = state.get if state.exists else (0, 0)
+        if state.hasTimedOut:
+            state.remove()
+            return
+        clicks, views, last = state.get if state.exists else (0, 0, 0)
         for pdf in frames:
             clicks += int((pdf["event_type"] == "click").sum())
             views += int((pdf["event_type"] == "view").sum())
-        state.update((clicks, views))
+            last = max(last, int(pdf["ts"].max().timestamp() * 1000))
+        state.update((clicks, views, last))
+        state.setTimeoutTimestamp(max(last, state.getCurrentWatermarkMs()) + idle_days * 86_400_000)
         yield pd.DataFrame({"user_id": [key[0]], "clicks": [clicks], "views": [views]})
 
-    return df.groupBy("user_id").applyInPandasWithState(update, "user_id long, clicks long, views long", "clicks long, views long", "update", GroupStateTimeout.NoTimeout)
+    return df.withWatermark("ts", "40 days").groupBy("user_id").applyInPandasWithState(update, "user_id long, clicks long, views long", "clicks long, views long, last long", "update", GroupStateTimeout.EventTimeTimeout)
 
 
 def user_counters_batch(df: DataFrame) -> DataFrame:

@@ -7,6 +7,8 @@ from dataclasses import dataclass, replace
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .session import cut_lineage
+
 AGGREGATES = {
     "sum": F.sum,
     "count": lambda v: F.count("*").cast("double"),
@@ -63,28 +65,36 @@ def merge_cells(df: DataFrame, modes: list[Column | str], value: Column, agg: st
     return rows.groupBy(*names).agg(AGGREGATES[agg](F.col("v")).alias("y"))
 
 
-def dictionary(cells: DataFrame, name: str, big: bool = False) -> DataFrame:
-    """(raw, idx): dense ids in the order of the raw keys. ``big`` numbers range partitions side by side instead of in one window."""
-    keys = cells.select(F.col(name).alias("raw")).distinct()
+ONE_TASK_KEYS = 1_000_000  # up to so many keys of a mode are numbered in one task
+
+
+def number_keys(keys: DataFrame, big: bool) -> DataFrame:
+    """(raw, idx) of distinct ``raw``: dense ids in their order; ``big`` numbers range partitions side by side instead of in one window."""
     if not big:
         return keys.select("raw", (F.row_number().over(Window.orderBy("raw")) - 1).cast("long").alias("idx"))
-    ranged = keys.repartitionByRange("raw").withColumn("part", F.spark_partition_id())
-    from .session import cut_lineage
-
-    ranged = cut_lineage(ranged)
+    ranged = cut_lineage(keys.repartitionByRange("raw").withColumn("part", F.spark_partition_id()))
     counts = ranged.groupBy("part").agg(F.count("*").alias("n"))
     offsets = counts.select("part", (F.sum("n").over(Window.orderBy("part")) - F.col("n")).alias("offset"))
     local = F.row_number().over(Window.partitionBy("part").orderBy("raw")) - 1
     return ranged.withColumn("at", local).join(F.broadcast(offsets), "part").select("raw", (F.col("offset") + F.col("at")).cast("long").alias("idx"))
 
 
-def dense_index(cells: DataFrame, n_modes: int, big: bool = False) -> tuple[DataFrame, list[DataFrame], tuple[int, ...]]:
-    """Cells with dense i_k, the dictionaries and the mode sizes. Joins let Spark choose by the dictionaries' sizes."""
+def dictionary(cells: DataFrame, name: str, big: bool = False) -> DataFrame:
+    """(raw, idx): dense ids in the order of the raw keys."""
+    return number_keys(cells.select(F.col(name).alias("raw")).distinct(), big)
+
+
+def dense_index(cells: DataFrame, n_modes: int, most: int = ONE_TASK_KEYS) -> tuple[DataFrame, list[DataFrame], tuple[int, ...]]:
+    """Cells with dense i_k, the dictionaries and the mode sizes. Raw rows are merged once, keys are read from the merged cells and
+    each mode's are numbered by the way its size asks for; joins let Spark choose by the dictionaries' sizes."""
+    cells = cut_lineage(cells)
     dicts, dims, out = [], [], cells
     for k in range(1, n_modes + 1):
-        d = dictionary(cells, f"m_{k}", big)
+        keys = cells.select(F.col(f"m_{k}").alias("raw")).distinct()
+        n = keys.count()
+        d = cut_lineage(number_keys(keys, n > most))
         dicts.append(d)
-        dims.append(d.count())
+        dims.append(n)
         out = out.join(d.select(F.col("raw").alias(f"m_{k}"), F.col("idx").alias(f"i_{k}")), f"m_{k}")
     return out.select(*(f"i_{k + 1}" for k in range(n_modes)), "y"), dicts, tuple(dims)
 
