@@ -1,8 +1,9 @@
 """Telephony audio columns: mu-law, A-law and IMA ADPCM in WAV containers.
 
 Companded bytes are expanded to 16-bit PCM by 256-entry lookup tables built from the codecs' rules; ADPCM blocks are
-decoded step by step, all blocks of a file at once; PCM is resampled by a windowed-sinc filter. Any byte string is a
-valid mu-law payload, so ``store_payload`` keeps bytes losslessly as 8-bit samples.
+decoded step by step, all blocks of many files at once; PCM is resampled by a windowed-sinc filter. Any byte is a valid
+companded sample and any nibble a valid ADPCM code, so ``store_payload`` keeps bytes losslessly in each codec; documents
+are dealt over the three by their content.
 
 Defined results: null media gives null columns, null text the empty payload; a container that can't be read raises
 ValueError in ``decode_wav`` and gives null PCM in ``decode_media``; repeated rows are independent; empty tables give
@@ -21,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import slices
+
 PCM, ALAW, MULAW, IMA = 1, 6, 7, 17
 # fixed values: step sizes and index changes of the IMA ADPCM codec
 STEPS = np.array(
@@ -195,35 +198,103 @@ def pad_payload(text: bytes, unit: int = 64) -> bytes:
     return text + b"\0" * (-len(text) % unit if text else unit)
 
 
-def store_payload(payload: bytes) -> bytes:
-    """The payload as mu-law samples."""
-    return wav(MULAW, payload, len(payload))
+UNIT = 64
+IMA_BLOCK = 4 + UNIT  # a header and one unit of codes
+CODECS = (MULAW, ALAW, IMA)
+
+
+def store_payload(payload: bytes, codec: int = MULAW) -> bytes:
+    """The payload as mu-law or A-law samples, or as the codes of ADPCM blocks that start from silence."""
+    if codec != IMA:
+        return wav(codec, payload, len(payload))
+    codes = np.frombuffer(payload, np.uint8).reshape(-1, UNIT)
+    data = np.hstack([np.zeros((len(codes), 4), np.uint8), codes]).tobytes()
+    return wav(IMA, data, len(codes) * (2 * UNIT + 1), block=IMA_BLOCK)
+
+
+def read_payload(media: bytes) -> bytes:
+    """What ``store_payload`` was given."""
+    codec, _, block, _, data = read_wav(media)
+    return np.frombuffer(data, np.uint8).reshape(-1, block)[:, 4:].tobytes() if codec == IMA else data
 
 
-def features(media: bytes, rate: int = 16_000) -> str:
-    own, pcm = decode_wav(media)
-    up = resample(pcm, own, rate)
+def codec_of(payload: bytes) -> int:
+    """Payloads are dealt over the codecs by their content, so equal ones are stored alike."""
+    return CODECS[zlib.crc32(payload) % len(CODECS)]
+
+
+def decode_many(files: list[bytes]) -> list[tuple[int, np.ndarray]]:
+    """(rate, PCM) of each file; the ADPCM blocks of all of them are decoded together where they are of one size."""
+    read = [read_wav(m) for m in files]
+    out: list = [None] * len(files)
+    by_block: dict[int, list[int]] = {}
+    for i, (codec, rate, block, samples, data) in enumerate(read):
+        if codec == IMA:
+            by_block.setdefault(block, []).append(i)
+        else:
+            out[i] = rate, (np.frombuffer(data, "<i2", samples) if codec == PCM else TABLES[codec][np.frombuffer(data, np.uint8, samples)])
+    for block, ids in by_block.items():
+        per = (block - 4) * 2 + 1
+        blocks = [len(read[i][4]) // block for i in ids]
+        pcm = ima_decode(b"".join(read[i][4][: n * block] for i, n in zip(ids, blocks, strict=True)), block, sum(blocks) * per)
+        at = 0
+        for i, n in zip(ids, blocks, strict=True):
+            out[i] = read[i][1], pcm[at : at + n * per][: read[i][3]]
+            at += n * per
+    return out
+
+
+def features(rate: int, pcm: np.ndarray, up: np.ndarray, target: int) -> str:
     x = pcm.astype(np.float32)
     power = float(np.sqrt(np.dot(x, x) / len(x)))
     crossings = int(np.count_nonzero((pcm[1:] < 0) != (pcm[:-1] < 0)))
-    return f"rate={own};samples={len(pcm)};rms={power:.2f};peak={int(np.abs(x).max())};crossings={crossings};pcm{rate}_samples={len(up)};pcm{rate}_crc32={zlib.crc32(up.astype('<i2').tobytes())}"
+    return f"rate={rate};samples={len(pcm)};rms={power:.2f};peak={int(np.abs(x).max())};crossings={crossings};pcm{target}_samples={len(up)};pcm{target}_crc32={zlib.crc32(up.astype('<i2').tobytes())}"
+
+
+NAMES = {MULAW: "mulaw", ALAW: "alaw", IMA: "ima_adpcm"}
+
+
+def _stored(texts: list[bytes], rate: int) -> Iterator[tuple[int, bytes, int, np.ndarray, np.ndarray]]:
+    """(codec, file, its rate, its PCM, resampled PCM) of each text."""
+    payloads = [pad_payload(t, UNIT) for t in texts]
+    codecs = [codec_of(p) for p in payloads]
+    files = [store_payload(p, c) for p, c in zip(payloads, codecs, strict=True)]
+    for c, media, (own, pcm) in zip(codecs, files, decode_many(files), strict=True):
+        yield c, media, own, pcm, resample(pcm, own, rate)
+
+
+def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, list[bytes]]]:
+    for whole in batches:
+        for b in slices(whole):
+            yield b.column(0).to_pylist(), [t.as_buffer().to_pybytes() if t.is_valid else b"" for t in b.column(1)]
+
+
+def store_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: int = 16_000) -> DataFrame:
+    """(doc_id, codec, media, pcm, pcm_rate): each text as a telephony file, and its sound as 16-bit PCM at ``rate``."""
+
+    def run(batches):
+        for ids, texts in _texts(batches):
+            rows = [(NAMES[c], media, up.astype("<i2").tobytes()) for c, media, _, _, up in _stored(texts, rate)]
+            names, files, pcm = (list(x) for x in zip(*rows, strict=True))
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(names), pa.array(files, pa.binary()), pa.array(pcm, pa.binary()), pa.array([rate] * len(ids), pa.int32())], ["doc_id", "codec", "media", "pcm", "pcm_rate"])
+
+    return docs.select(F.col(id_col).cast("long"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, codec string, media binary, pcm binary, pcm_rate int")
 
 
-def media_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: its text stored as telephony audio, read back and measured."""
+def media_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: int = 16_000) -> DataFrame:
+    """One row per document: its text stored as telephony audio, read back, decoded, resampled and measured."""
+    longs = ("doc_id", "n_bytes", "payload_bytes", "tail_crc32", "media_bytes")
+    names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "codec"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"]
-        for batch in batches:
+        for ids, texts in _texts(batches):
             rows: list[list] = [[] for _ in names]
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                raw = text.as_buffer().to_pybytes() if text.is_valid else b""
-                media = store_payload(pad_payload(raw))
-                back = read_wav(media)[4]
-                row = (doc, len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(media), hashlib.sha256(media).hexdigest(), features(media))
+            for doc, raw, (codec, media, own, pcm, up) in zip(ids, texts, _stored(texts, rate), strict=True):
+                back = read_payload(media)
+                row = (doc, len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), features(own, pcm, up, rate), NAMES[codec])
                 for r, x in zip(rows, row, strict=True):
                     r.append(x)
-            yield pa.RecordBatch.from_arrays([pa.array(r, pa.int64() if n in ("doc_id", "n_bytes", "payload_bytes", "tail_crc32", "media_bytes") else pa.string()) for n, r in zip(names, rows, strict=True)], names)
+            yield pa.RecordBatch.from_arrays([pa.array(r, pa.int64() if n in longs else pa.string()) for n, r in zip(names, rows, strict=True)], names)
 
-    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
-    return docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(run, schema)
+    schema = ", ".join(f"{n} {'long' if n in longs else 'string'}" for n in names)
+    return docs.select(F.col(id_col).cast("long"), F.col(text_col).alias("text")).mapInArrow(run, schema)
