@@ -258,3 +258,38 @@ def test_lexicon_score_equals_a_plain_search(spark):
     got = {r.doc_id: r.score for r in toxicity.score_documents(frame(spark, list(enumerate(texts))), lex).collect()}
     for i, t in enumerate(texts):
         assert got[i] == pytest.approx(plain(t), rel=1e-9), t
+
+
+# -- telephony: three codecs ------------------------------------------------------------------------------------------
+@settings(max_examples=100, deadline=None)
+@given(st.binary(max_size=400))
+def test_each_codec_keeps_the_payload(raw):
+    from flextensor.llm import telephony
+
+    p = telephony.pad_payload(raw)
+    files = [telephony.store_payload(p, c) for c in telephony.CODECS]
+    assert [telephony.read_payload(m) for m in files] == [p] * 3
+    for m, (rate, pcm) in zip(files, telephony.decode_many(files), strict=True):
+        own, want = telephony.decode_wav(m)
+        assert rate == own and (pcm == want).all()
+
+
+def test_stored_sound(spark):
+    import hashlib
+
+    import numpy as np
+
+    from flextensor.llm import telephony
+
+    texts = [None, "", *(f"text {i} " * (i % 9) for i in range(40)), "z" * 100_000]
+    docs = frame(spark, list(enumerate(texts)))
+    stored = {r.doc_id: r for r in telephony.store_documents(docs).collect()}
+    rows = {r.doc_id: r for r in telephony.media_digests(docs).collect()}
+    assert {r.codec for r in rows.values()} == {"mulaw", "alaw", "ima_adpcm"}
+    for i, t in enumerate(texts):
+        media = bytes(stored[i].media)
+        assert telephony.read_payload(media) == telephony.pad_payload((t or "").encode())
+        assert rows[i].codec == stored[i].codec and rows[i].media_sha256 == hashlib.sha256(media).hexdigest()
+        rate, pcm = telephony.decode_wav(media)
+        assert np.array_equal(np.frombuffer(stored[i].pcm, "<i2"), telephony.resample(pcm, rate, 16_000))
+    assert rows[0].feature == rows[1].feature
