@@ -1 +1,5 @@
 """Spark-native nonlinear tensor factorization engine."""
+
+from .blas import one_thread
+
+one_thread()
