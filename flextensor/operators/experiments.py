@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 import pandas as pd
@@ -53,10 +55,20 @@ def side(t: TensorFrame) -> list[int]:
     return [min(40, d) for d in t.dims]
 
 
-def score(t: TensorFrame, balanced: TensorFrame, test: DataFrame, method: str, rank: int = 3, p: int = 100, steps: int = 4) -> DataFrame:
+DENSE_CELLS = 500_000  # KronGP runs on whole tensors up to this size here
+AT_ONCE = 6  # fits whose jobs share the cluster
+
+
+def side_by_side(f: Callable, jobs: list[tuple]) -> list:
+    """``f`` of each job: their many small Spark jobs fill the gaps of one another."""
+    with ThreadPoolExecutor(AT_ONCE) as pool:
+        return list(pool.map(lambda job: f(*job), jobs))
+
+
+def score(t: TensorFrame, balanced: TensorFrame, test: DataFrame, method: str, rank: int = 3, p: int = 100, steps: int = 2) -> DataFrame:
     """``test`` with ``score`` by a method fitted on the nonzeros ``t`` or on ``balanced``, which holds sampled zeros as well."""
     if method == "flexgp":
-        out = predict(balanced, fit(balanced, ranks=rank, p=p, steps=steps, lam_iter=8), test)
+        out = predict(balanced, fit(balanced, ranks=rank, p=p, steps=steps, lam_iter=5), test)
         return out.withColumnRenamed("mean", "score") if t.kind == "real" else out
     model = BALANCED[method](balanced, rank) if method in BALANCED else MISSING_AS_ZERO[method](t, rank)
     return multilinear.predict_cells(model, test, t.modes, "score")
@@ -69,21 +81,24 @@ def measure(t: TensorFrame, scored: DataFrame, by: list[str]) -> DataFrame:
 def folds_table(t: TensorFrame, methods: tuple[str, ...], folds: int = 5, **how) -> DataFrame:
     """(method, fold, value): MSE (real) or AUC (binary) on each fold's nonzeros and its share of zeros. The other folds train, with
     as many zeros as nonzeros for the methods on balanced cells; all test zeros stay out of training."""
-    parts = 8
     all_ = sampling.kfold(t, folds).persist()
     zeros = sampling.fold_zeros(t, folds).persist()
-    rows = []
-    for i in range(folds):
-        train = t.with_df(all_.where(F.col("fold") != i).select(*t.modes, "y")).distribute(parts)
+
+    def prepare(i: int):
+        train = t.with_df(all_.where(F.col("fold") != i).select(*t.modes, "y")).distribute(4)
         test = all_.where(F.col("fold") == i).select(*t.modes, "y").unionByName(zeros.where(F.col("fold") == i).select(*t.modes, "y")).persist()
         held = zeros.select(*t.modes).unionByName(test.select(*t.modes))
-        balanced = sampling.balanced_sample(train, exclude=held).distribute(parts)
-        for m in methods:
-            if m == "krongp" and np.prod(t.dims, dtype=float) > kron.MOST_CELLS:
-                rows.append((m, i, None))  # a dense method on a tensor that isn't small
-                continue
-            v = measure(t, score(train, balanced, test, m, **how), []).first()[0]
-            rows.append((m, i, None if v is None else float(v)))
+        return i, train, sampling.balanced_sample(train, exclude=held).distribute(4), test
+
+    def run(m: str, i: int, train: TensorFrame, balanced: TensorFrame, test: DataFrame):
+        if m == "krongp" and np.prod(t.dims, dtype=float) > DENSE_CELLS:
+            return m, i, None  # a dense method on a tensor that isn't small
+        v = measure(t, score(train, balanced, test, m, **how), []).first()[0]
+        return m, i, None if v is None else float(v)
+
+    ready = side_by_side(prepare, [(i,) for i in range(folds)])
+    rows = side_by_side(run, [(m, *r) for m in methods for r in ready])
+    for _, train, balanced, test in ready:
         for df in (train.df, balanced.df, test):
             df.unpersist()
     all_.unpersist()
@@ -118,13 +133,17 @@ def test_sets(t: TensorFrame, reps: int, n_zero: int = 1800) -> tuple[TensorFram
 def sets_table(t: TensorFrame, methods: tuple[str, ...], rank: int, reps: int = 50, n_zero: int = 1800, **how) -> DataFrame:
     """(method, mean, sd, se, sets): measures over test sets of 200 held-out nonzeros and ``n_zero`` zeros."""
     train, balanced, tests = test_sets(t, reps, n_zero)
-    out = None
-    for m in methods:
+
+    def run(m: str) -> DataFrame:
         v = measure(t, score(train, balanced, tests.select("rep", *t.modes, "y"), m, rank, **how), ["rep"])
-        s = cut_lineage(metrics.fold_stats(v.withColumn("method", F.lit(m)), "value", ["method"]).withColumnRenamed("folds", "sets"))
-        out = s if out is None else out.unionByName(s)
+        return cut_lineage(metrics.fold_stats(v.withColumn("method", F.lit(m)), "value", ["method"]).withColumnRenamed("folds", "sets"))
+
+    parts = side_by_side(run, [(m,) for m in methods])
     for df in (train.df, balanced.df, tests):
         df.unpersist()
+    out = parts[0]
+    for x in parts[1:]:
+        out = out.unionByName(x)
     return out
 
 

@@ -6,6 +6,7 @@ two inducing points, where determinants and inverses are closed forms.
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import replace
 
 import numpy as np
@@ -547,21 +548,27 @@ def _(spark, d):
     return one_row(spark, share=round(kron.empty_blocks(clicks(spark, d), 40, [4, 3, 4]), 9))
 
 
-def ctr(spark: SparkSession, d: str, planted: bool = False, steps: int = 6, p: int = 50, pairs: int = 3) -> DataFrame:
+def ctr(spark: SparkSession, d: str, planted: bool = False, steps: int = 3, p: int = 50, pairs: int = 3) -> DataFrame:
     """(pair, method, auc): day t trains, day t+1 tests; FlexGP against one-hot LR and SVM."""
     days = [f"2024-01-0{i}" for i in range(1, 5)]
     top = spark.read.parquet(f"{d}/events.parquet").agg(F.max("user_id")).first()[0] + 1
-    dims, rows = (int(top), 100, 24, 60), []
-    for i in range(pairs):
+    dims = (int(top), 100, 24, 60)
+
+    def one(i: int) -> list[tuple]:
         train, test = (workloads.w8_day(spark, d, x, dims) for x in days[i : i + 2])
         if planted:
             train, test = workloads.planted(train, True), workloads.planted(test, True)
-        train = balanced(train).distribute(4)
-        test = balanced(test)
-        m = fit(train, p=p, steps=steps, ranks=3, lam_iter=8)
-        cells = test.df.select(*test.modes, "y")
-        for name, scored in (("flexgp", predict(train, m, cells)), ("logreg", linear.ctr_logreg(train.df, cells, train.modes)), ("svm", linear.ctr_svm(train.df, cells, train.modes))):
-            rows.append((f"{i + 1}-{i + 2}", name, metrics.auc(scored, "y", "score").first()[0]))
+        train, test = balanced(train).distribute(4), balanced(test)
+        cells = test.df.select(*test.modes, "y").persist()
+        scored = {
+            "flexgp": lambda: predict(train, fit(train, p=p, steps=steps, ranks=3, lam_iter=5), cells),
+            "logreg": lambda: linear.ctr_logreg(train.df, cells, train.modes),
+            "svm": lambda: linear.ctr_svm(train.df, cells, train.modes),
+        }
+        return [(f"{i + 1}-{i + 2}", name, metrics.auc(f(), "y", "score").first()[0]) for name, f in scored.items()]
+
+    with ThreadPoolExecutor(pairs) as pool:
+        rows = [row for part in pool.map(one, range(pairs)) for row in part]
     return spark.createDataFrame(rows, "pair string, method string, auc double")
 
 

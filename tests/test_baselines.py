@@ -14,11 +14,10 @@ from flextensor.functions.kernels import Kernel
 from flextensor.model import init_model
 from flextensor.operators import experiments
 from flextensor.operators.tensor_queries import clicks, folded
-from flextensor.queries import ORACLES, QUERIES
+from flextensor.queries import LONG, ORACLES, QUERIES
 from flextensor.tensor import TensorFrame, build_tensor
 
-# long harnesses: their parts are tested here, the queries themselves run in the driver's checks
-LONG = {n for n in QUERIES if n.startswith(("q_w11", "q_w12", "q_w13", "q_w9"))} | {"q_w14_balanced", "q_ctr", "q_ctr_planted"}
+# the long harnesses' parts are tested here; the queries themselves run in the driver's checks
 
 
 def tensor(spark, dims=(6, 5, 4), n=70, seed=0, binary=False):
@@ -242,6 +241,6 @@ def test_set_harness(spark, data):
     assert {r.method for r in rows} == {"flexgp", "sparse_cp"} and all(r.sets == 4 for r in rows)
 
 
-@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES) - LONG))
+@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES) - set(LONG)))
 def test_queries_without_a_twin_run(spark, data, name):
     assert len(QUERIES[name](spark, data).toPandas()) > 0
