@@ -35,30 +35,59 @@ def template_words(text: Column) -> Column:
     return F.regexp_extract_all(F.lower(t), F.lit(MARK + r"?[\p{L}\p{N}]+(?:[.,:/-][0-9]+)*"), F.lit(0))
 
 
-def _windows(df: DataFrame, id_col: str, words: Column, lengths: list[int], whole: int) -> DataFrame:
-    """(id, len, pos, h, g, win) for every window of each length: hashes of its template and of its plain words, and the words;
-    texts of fewer than ``whole`` words are one window."""
-    kind = "array<struct<len:int,pos:int,h:bigint,g:bigint,win:array<string>>>"
+def _shift(x: Column, by: int) -> Column:
+    return F.slice(x, by + 1, F.greatest(F.size(x) - by, F.lit(0)))
 
-    def window(k: Column, i: Column, cut) -> Column:
-        return F.struct(k.cast("int").alias("len"), i.cast("int").alias("pos"), F.xxhash64(k, cut(F.col("th"))).alias("h"), F.xxhash64(k, cut(F.col("ph"))).alias("g"), cut(F.col("words")).alias("win"))
 
-    def windows(k: int) -> Column:
-        return F.transform(F.sequence(F.lit(1), F.size("words") - k + 1), lambda i: window(F.lit(k), i, lambda a: F.slice(a, i, k)))
+def _grams(rows: DataFrame, name: str, most: int) -> DataFrame:
+    """Adds the hashes of 2, 4, 8, .. words from each word on, each from two of half its length, up to ``most``."""
+    k = 1
+    while 2 * k <= most:
+        x = F.col(f"{name}{k}")
+        rows = rows.withColumn(f"{name}{2 * k}", F.zip_with(x, _shift(x, k), lambda a, b: F.xxhash64(a, b)))
+        k *= 2
+    return rows
+
+
+def _gram(name: str, k: int) -> Column:
+    """Hashes of k words from each word on; the last k - 1 are of fewer words."""
+    out, at = None, 0
+    while at < k:
+        part = 1 << ((k - at).bit_length() - 1)
+        x = F.col(f"{name}{part}")
+        out = x if out is None else F.zip_with(out, _shift(x, at), lambda a, b: F.xxhash64(a, b))
+        at += part
+    return out
+
 
-    each = [F.when(F.size("words") >= k, windows(k)).otherwise(F.array().cast(kind)) for k in lengths]
-    each.append(F.when(F.size("words").between(1, whole - 1), F.array(window(F.size("words"), F.lit(1), lambda a: a))).otherwise(F.array().cast(kind)))
+def _windows(df: DataFrame, id_col: str, words: Column, lengths: list[int], whole: int) -> DataFrame:
+    """(id, pos, len, h, g, v_0..) for every window of each length: hashes of its template and of its plain words, and of each plain
+    word; texts of fewer than ``whole`` words are one window. Arrays are shifted against each other once per text, so the
+    work is in proportion to its words."""
+    width = max(lengths)
+    values = [f"v_{j}" for j in range(width)]
+    kind = f"array<struct<pos:int,len:int,h:bigint,g:bigint,{','.join(f'{v}:bigint' for v in values)}>>"
     marked = lambda w: F.startswith(w, F.lit(MARK))
     rows = df.select(F.col(id_col).alias("id"), words.alias("words"))
-    rows = rows.withColumn("th", F.transform("words", lambda w: F.xxhash64(F.when(marked(w), F.substring(w, 1, 2)).otherwise(w))))
-    rows = rows.withColumn("ph", F.transform("words", lambda w: F.xxhash64(F.when(marked(w), F.substring(w, 3, 1 << 30)).otherwise(w))))
-    # the outer form keeps the optimiser from building the windows twice, for a filter on their number
-    return rows.select("id", F.explode_outer(F.concat(*each)).alias("w")).select("id", "w.*").where(F.col("win").isNotNull())
+    rows = rows.select(
+        "id",
+        F.size("words").alias("n"),
+        F.transform("words", lambda w: F.xxhash64(F.when(marked(w), F.substring(w, 1, 2)).otherwise(w))).alias("t1"),
+        F.transform("words", lambda w: F.xxhash64(F.when(marked(w), F.substring(w, 3, 1 << 30)).otherwise(w))).alias("p1"),
+    )
+    rows = _grams(_grams(rows, "t", width), "p", width)
+    n, p1 = F.col("n"), F.col("p1")
 
+    def windows(k: int) -> Column:
+        every = F.arrays_zip(F.sequence(F.lit(1), n), F.array_repeat(F.lit(k), n), _gram("t", k), _gram("p", k), *(_shift(p1, j) for j in range(width)))
+        return F.when(n >= k, F.slice(every, 1, n - k + 1).cast(kind)).otherwise(F.array().cast(kind))
 
-def _slots(win: str) -> Column:
-    """The values of a window's placeholders."""
-    return F.transform(F.filter(F.col(win), lambda w: F.startswith(w, F.lit(MARK))), lambda w: F.substring(w, 3, 1 << 30))
+    own = F.xxhash64(p1)
+    one = F.array(F.struct(F.lit(1), n, own, own, *(F.get(p1, F.lit(j)) for j in range(width)))).cast(kind)
+    each = [*(windows(k) for k in lengths), F.when(n.between(1, whole - 1), one).otherwise(F.array().cast(kind))]
+    # the outer form keeps the optimiser from building the windows twice, for a filter on their number
+    rows = rows.select("id", F.explode_outer(F.concat(*each)).alias("w")).select("id", "w.*").where(F.col("pos").isNotNull())
+    return rows.withColumn("h", F.xxhash64("len", "h")).withColumn("g", F.xxhash64("len", "g"))
 
 
 def find_leaks(docs: DataFrame, bench: DataFrame, window: int = 8, min_words: int = 12, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
@@ -68,22 +97,26 @@ def find_leaks(docs: DataFrame, bench: DataFrame, window: int = 8, min_words: in
     whole = min(window, 4)
     short = sorted(r.k for r in items.where((F.size("words") < window) & (F.size("words") >= 4)).select(F.size("words").alias("k")).distinct().collect())
     lengths = [window, *short]
+    values = [f"v_{j}" for j in range(window)]
     own = F.least(F.size("words"), F.lit(window))
     b = _windows(items, "item_id", F.col("words"), lengths, whole).withColumnRenamed("id", "item_id")
-    b = b.join(items.select("item_id", own.alias("own")), "item_id").where(F.col("len") == F.col("own"))
-    by_value = (F.col("len") < whole) | (2 * F.size(_slots("win")) > F.col("len"))
-    b = b.select("item_id", F.col("pos").alias("ipos"), F.col("len"), F.col("win").alias("iwin"), by_value.alias("by_value"), "h", F.col("g").alias("ig"))
+    b = b.join(items.select("item_id", "words", own.alias("own")), "item_id").where(F.col("len") == F.col("own")).dropDuplicates(["item_id", "pos", "h", "g"])
+    slots = F.filter(F.sequence(F.lit(0), F.col("len") - 1), lambda j: F.startswith(F.get("words", F.col("pos") - 1 + j), F.lit(MARK)))
+    b = b.withColumn("slots", slots)
+    by_value = (F.col("len") < whole) | (2 * F.size("slots") > F.col("len"))
+    b = b.select("item_id", F.col("pos").alias("ipos"), "len", "slots", F.transform("slots", lambda j: F.get(F.array(*values), j)).alias("i"), by_value.alias("by_value"), "h", F.col("g").alias("ig"))
     # a changed copy can't match windows by value, so all windows of a short item are all that match by template, if any
     totals = b.groupBy("item_id").agg(F.countDistinct("ipos").alias("total"), F.countDistinct(F.when(~F.col("by_value"), F.col("ipos"))).alias("total_open"))
-    keys = F.when(F.col("by_value") | (F.col("h") == F.col("ig")), F.array("ig")).otherwise(F.array("h", "ig"))
-    b = b.select(F.explode(keys).alias("key"), "item_id", "ipos", "len", "iwin", "by_value", "ig")
+    keys = F.when(F.col("by_value") | (F.size("slots") == 0), F.array("ig")).otherwise(F.array("h", "ig"))
+    b = b.select(F.explode(keys).alias("key"), "item_id", "ipos", "len", "slots", "i", "by_value", "ig")
     if b.count() <= BROADCAST_ROWS:
         b = F.broadcast(b)
-    d = _windows(docs.select(id_col, text_col), id_col, template_words(F.col(text_col)), lengths, whole)
-    d = d.select("id", "pos", "win", "g", F.explode(F.when(F.col("h") == F.col("g"), F.array("h")).otherwise(F.array("h", "g"))).alias("key"))
+    d = _windows(docs.select(id_col, text_col), id_col, template_words(F.col(text_col)), lengths, whole).drop("len")
+    d = d.select("id", "pos", "g", *values, F.explode(F.when(F.col("h") == F.col("g"), F.array("h")).otherwise(F.array("h", "g"))).alias("key"))
     same = F.col("ig") == F.col("g")
     met = d.join(b, "key").where(same | ~F.col("by_value"))
-    hits = met.select("id", "item_id", (F.col("pos") - F.col("ipos")).alias("offset"), "ipos", "len", "by_value", _slots("iwin").alias("i"), F.when(same, _slots("iwin")).otherwise(_slots("win")).alias("d")).dropDuplicates(["id", "item_id", "offset", "ipos"])
+    met = met.withColumn("d", F.when(same, F.col("i")).otherwise(F.transform("slots", lambda j: F.get(F.array(*values), j))))
+    hits = met.select("id", "item_id", (F.col("pos") - F.col("ipos")).alias("offset"), "ipos", "len", "by_value", "i", "d").dropDuplicates(["id", "item_id", "offset", "ipos"])
     key = ["id", "item_id", "offset"]
     found = hits.groupBy(*key).agg(F.count("*").alias("n"), F.max("len").alias("len"), F.count(F.when(~F.col("by_value"), 1)).alias("n_open"), F.collect_set(F.when(F.col("by_value"), F.arrays_zip("i", "d"))).alias("equal"), F.collect_list(F.when(~F.col("by_value") & (F.size("i") > 0), F.arrays_zip("i", "d"))).alias("pairs"))
     found = found.withColumn("slots", F.array_distinct(F.flatten("pairs"))).withColumn("values", F.array_sort(F.transform("slots", lambda s: s["i"])))
