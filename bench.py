@@ -1,14 +1,15 @@
 """Headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS].
 
-Every finished entry is printed at once as a JSON line of all entries so far, so whatever ends the run, its last line holds what was
-measured. Entries run in the order of their importance; each has a time limit after which its jobs are cancelled, and none starts
-when the whole budget is used up. The last line printed is the result.
+Prints one JSON line with every entry that finished, whatever ends the run: the end of the entries, an interrupt, or a watchdog that
+stops a run stuck beyond its budget. Entries run in the order of their importance; each has a time limit after which its jobs are
+cancelled, and none starts when the whole budget is used up. Progress goes to the error output.
 """
 
 from __future__ import annotations
 
 import json
 import os
+import signal
 import sys
 import threading
 import time
@@ -18,8 +19,8 @@ os.environ.setdefault("SPARK_LOCAL_IP", "127.0.0.1")
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
-BUDGET_S = float(os.environ.get("BENCH_BUDGET_S", "600"))
-ENTRY_S = float(os.environ.get("BENCH_ENTRY_S", "120"))
+BUDGET_S = float(os.environ.get("BENCH_BUDGET_S", "480"))
+ENTRY_S = float(os.environ.get("BENCH_ENTRY_S", "90"))
 
 
 class Bench:
@@ -27,6 +28,22 @@ class Bench:
         self.spark, self.start = spark, time.time()
         self.times: dict[str, float] = {}
         self.left_out: dict[str, str] = {}
+        self.lock, self.printed = threading.Lock(), False
+        signal.signal(signal.SIGINT, lambda *_: self.leave())
+        signal.signal(signal.SIGTERM, lambda *_: self.leave())
+        watchdog = threading.Timer(BUDGET_S + 2 * ENTRY_S, self.leave)
+        watchdog.daemon = True
+        watchdog.start()
+
+    def result(self) -> None:
+        with self.lock:
+            if not self.printed:
+                self.printed = True
+                print(self.line(), flush=True)
+
+    def leave(self) -> None:
+        self.result()
+        os._exit(0)
 
     def line(self) -> str:
         return json.dumps({"metric": "headline_total", "value": round(sum(self.times.values()), 3), "unit": "sec", "queries": self.times, "sf": SF_DIR.rsplit("sf", 1)[-1], "left_out": self.left_out})
@@ -47,7 +64,7 @@ class Bench:
             self.left_out[name] = f"{type(e).__name__} after {time.time() - began:.0f} s"
         finally:
             watch.cancel()
-        print(self.line(), flush=True)
+        print(name, self.times.get(name, self.left_out.get(name, "")), file=sys.stderr, flush=True)
         return out
 
 
@@ -108,7 +125,7 @@ def main() -> None:
             part.df.unpersist()
     for q in ("q_build_w3", "q_build_w5", "q_build_w7", "q_suff_stats", "q_words", "q_asof", "st_tumbling"):
         b.run(q, lambda q=q: QUERIES[q](spark, SF_DIR).write.format("noop").mode("overwrite").save())
-    print(b.line(), flush=True)
+    b.result()
 
 
 if __name__ == "__main__":

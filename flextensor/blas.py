@@ -22,7 +22,10 @@ def one_thread() -> bool:
         return False
     done = False
     for path in paths:
-        lib = ctypes.CDLL(path)
+        try:
+            lib = ctypes.CDLL(path)
+        except OSError:
+            continue
         for name in SETTERS:
             if hasattr(lib, name):
                 getattr(lib, name)(1)
