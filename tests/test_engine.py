@@ -147,3 +147,16 @@ def test_mini_batches_are_unbiased(spark, data):
     full = passes.suff_stats(t, m)
     parts = [anchored.scaled(passes.suff_stats(anchored.mini_batch(t, 0.5, i), m), 0.5) for i in range(6)]
     assert abs(np.mean([p.n for p in parts]) / full.n - 1) < 0.2
+
+
+def test_test_sets_take_the_smallest_hashes_of_many_cells(spark, data):
+    from pyspark.sql import Window
+
+    cells = spark.range(60_000).select((F.col("id") % 100).alias("i_1"), (F.col("id") / 100).cast("long").alias("i_2"), F.lit(1.0).alias("y"))
+    _, tests = sampling.train_and_tests(TensorFrame(cells, (100, 50_000), "binary"), reps=50)
+    held = cells.where(sampling.portable_hash(F.col("i_1"), F.col("i_2"), seed=5) >= int(sampling.MODULUS * 0.8))
+    each = held.crossJoin(spark.range(50).select(F.col("id").cast("int").alias("rep")))
+    rank = F.row_number().over(Window.partitionBy("rep").orderBy(sampling.portable_hash(F.col("rep"), F.col("i_1"), F.col("i_2"), seed=6), "i_1", "i_2"))
+    want = each.withColumn("rank", rank).where("rank <= 200").select("rep", "i_1", "i_2", "y")
+    got = tests.where("y = 1")
+    assert got.count() == want.count() == 50 * 200 and got.exceptAll(want).isEmpty()
