@@ -160,3 +160,14 @@ def test_test_sets_take_the_smallest_hashes_of_many_cells(spark, data):
     want = each.withColumn("rank", rank).where("rank <= 200").select("rep", "i_1", "i_2", "y")
     got = tests.where("y = 1")
     assert got.count() == want.count() == 50 * 200 and got.exceptAll(want).isEmpty()
+
+
+def test_balanced_zeros_of_given_attempts_on_a_nearly_full_grid(spark):
+    cells = spark.range(90).select((F.col("id") % 10).alias("i_1"), (F.col("id") / 10).cast("long").alias("i_2"), F.lit(1.0).alias("y"))
+    t = TensorFrame(cells, (10, 10), "binary")
+    zeros = sampling.balanced_sample(t, attempts=8).df.where("origin = 'zero'")
+    assert 0 < zeros.count() <= 10 and zeros.where("i_2 < 9").isEmpty() and zeros.exceptAll(zeros.distinct()).isEmpty()
+    some = sampling.empty_cells(t, 2, 50, attempts=500)
+    assert 0 < some.count() <= 20 and some.where("i_2 < 9").isEmpty()
+    with pytest.raises(ValueError):
+        sampling.balanced_sample(t)
