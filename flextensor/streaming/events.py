@@ -35,16 +35,24 @@ def batch_events(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """The stream's result after all input: written to Parquet, or to memory for modes that Parquet can't take."""
+    """The stream's result after all input, written to Parquet by the tasks: appended rows, the updates of all micro-batches, or the
+    whole table that the last of them gave."""
     spark = stream.sparkSession
-    ckpt = scratch(spark, "ckpt")
+    out, ckpt = scratch(spark, "sink"), scratch(spark, "ckpt")
     if mode == "append":
-        out = scratch(spark, "sink")
         stream.writeStream.format("parquet").outputMode(mode).option("checkpointLocation", ckpt).trigger(availableNow=True).start(out).awaitTermination()
         return spark.read.schema(stream.schema).parquet(out)
-    name = "sink_" + ckpt.rsplit("-", 1)[-1]
-    stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", ckpt).trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name)
+    written: list[str] = []
+
+    def write(df: DataFrame, batch_id: int) -> None:
+        df.write.mode("overwrite").parquet(f"{out}/{batch_id}")
+        if f"{out}/{batch_id}" not in written:
+            written.append(f"{out}/{batch_id}")
+
+    stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", ckpt).trigger(availableNow=True).start().awaitTermination()
+    if not written:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(*(written if mode == "update" else written[-1:]))
 
 
 def tumbling(df: DataFrame, width: str = "1 day") -> DataFrame:

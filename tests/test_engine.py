@@ -171,3 +171,16 @@ def test_balanced_zeros_of_given_attempts_on_a_nearly_full_grid(spark):
     assert 0 < some.count() <= 20 and some.where("i_2 < 9").isEmpty()
     with pytest.raises(ValueError):
         sampling.balanced_sample(t)
+
+
+def test_whole_tables_of_streams_stay_off_the_driver(spark, data):
+    from flextensor.streaming import events as st
+
+    def sinks():
+        return {x.name for x in spark.catalog.listTables() if x.name.startswith("sink_")}
+
+    before = sinks()
+    got = st.drain(st.sessions(st.event_stream(spark, data)), "complete")
+    assert sinks() == before and len(got.inputFiles()) > 0
+    want = st.sessions(st.batch_events(spark, data))
+    assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
