@@ -184,3 +184,16 @@ def test_whole_tables_of_streams_stay_off_the_driver(spark, data):
     assert sinks() == before and len(got.inputFiles()) > 0
     want = st.sessions(st.batch_events(spark, data))
     assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
+
+
+def test_given_inputs_of_more_rows_than_exact_inference_takes(spark, tmp_path):
+    from flextensor.functions.kernels import Kernel
+    from flextensor.operators import tensor_queries
+
+    at = [((F.col("id") * m % 101) / 100.0 - 0.5).cast("float") for m in (7, 13, 29, 31, 37, 41, 43, 47)]
+    spark.range(3_500).select(F.col("id").alias("vec_id"), F.array(*at).alias("embedding"), F.lit(0).alias("label")).write.parquet(f"{tmp_path}/embeddings.parquet")
+    assert tuple(tensor_queries.TABLE["q_w15_given_inputs"][0](spark, str(tmp_path)).first()) == (3_500, True, True)
+    e = workloads.embedding_inputs(spark, str(tmp_path))
+    rows = e.select("x", "y").persist()
+    assert not tensor_queries.under_exact(rows, e, Kernel("rbf", [0.5]), 4.0, 1e9, 3_500)
+    rows.unpersist()
