@@ -197,3 +197,12 @@ def test_given_inputs_of_more_rows_than_exact_inference_takes(spark, tmp_path):
     rows = e.select("x", "y").persist()
     assert not tensor_queries.under_exact(rows, e, Kernel("rbf", [0.5]), 4.0, 1e9, 3_500)
     rows.unpersist()
+
+
+@pytest.mark.parametrize("name", ["q_cost_model"])
+def test_results_come_from_the_events(spark, data, tmp_path, name):
+    from flextensor.queries import QUERIES
+
+    events = spark.read.parquet(f"{data}/events.parquet")
+    events.where("event_id % 3 = 0").write.parquet(f"{tmp_path}/events.parquet")
+    assert QUERIES[name](spark, data).exceptAll(QUERIES[name](spark, str(tmp_path))).count() > 0
