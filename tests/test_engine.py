@@ -199,7 +199,7 @@ def test_given_inputs_of_more_rows_than_exact_inference_takes(spark, tmp_path):
     rows.unpersist()
 
 
-@pytest.mark.parametrize("name", ["q_cost_model", "q_datasource", "q_gain", "q_map", "q_phi", "q_sql_surface"])
+@pytest.mark.parametrize("name", ["q_cost_model", "q_datasource", "q_gain", "q_map", "q_phi", "q_sql_surface", "q_udf_scalar"])
 def test_results_come_from_the_events(spark, data, tmp_path, name):
     from flextensor.queries import QUERIES
 
