@@ -244,3 +244,35 @@ def test_set_harness(spark, data):
 @pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES) - set(LONG)))
 def test_queries_without_a_twin_run(spark, data, name):
     assert len(QUERIES[name](spark, data).toPandas()) > 0
+
+
+def test_sums_of_a_large_mode_reach_the_driver_in_slices(spark, monkeypatch):
+    from flextensor.exec import passes
+
+    cells = spark.range(4_000).select((F.col("id") % 700).alias("i_1"), (F.col("id") % 11).alias("i_2"), (F.col("id") % 13 / 7.0).alias("y")).repartition(5)
+    t = TensorFrame(cells, (705, 11))
+    u = tuple(np.random.default_rng(k).normal(size=(d, 3)) for k, d in enumerate(t.dims))
+    rows = [np.array(x, float) for x in zip(*cells.collect())]
+    for most in (8 << 20, 64 * 24):  # one slice, many
+        monkeypatch.setattr(multilinear, "SLICE_BYTES", most)
+        monkeypatch.setattr(passes, "SLICE", most // 24)
+        for k, other in ((0, 1), (1, 0)):
+            want = np.zeros_like(u[k])
+            np.add.at(want, rows[k].astype(int), rows[2][:, None] * u[other][rows[other].astype(int)])
+            assert np.allclose(multilinear.dense_mttkrp(t, u, k), want)
+        got = passes.map_sum(t, 2115, 3, None, lambda _, index, y: np.bincount(index[:, 0] * 3, y, 2115))
+        assert np.allclose(got[::3], np.bincount(rows[0].astype(int), rows[2], 705)) and not got[1::3].any()
+
+
+def test_the_package_ships_once_from_threads(monkeypatch):
+    import time
+    from concurrent.futures import ThreadPoolExecutor
+    from types import SimpleNamespace
+
+    from flextensor import session
+
+    sent = []
+    sc = SimpleNamespace(applicationId="app-of-this-test", addPyFile=lambda path: (time.sleep(0.2), sent.append(path)))
+    with ThreadPoolExecutor(4) as pool:
+        list(pool.map(session.ship_package, [SimpleNamespace(sparkContext=sc)] * 4))
+    assert len(sent) == 1
