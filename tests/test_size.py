@@ -4,7 +4,9 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from flextensor import sampling
+from flextensor.baselines import multilinear
 from flextensor.exec import passes
+from flextensor.functions import special
 from flextensor.functions.kernels import Kernel
 from flextensor.model import ModelState
 from flextensor.tensor import TensorFrame
@@ -39,3 +41,52 @@ def test_packed_cells_sum_as_rows_do(spark):
     each = lambda state, index, y: np.bincount(index[:, 0], y, 13) + index.sum() * state
     assert kept.packed is not None and np.allclose(passes.map_sum(kept, 13, 4, 2.0, each), passes.map_sum(rows, 13, 4, 2.0, each))
     kept.release()
+
+
+def test_kernel_rows_by_modes_equal_the_whole_bell(monkeypatch):
+    rng = np.random.default_rng(1)
+    dims = (400, 300, 5)
+    index = np.stack([np.sort(rng.integers(0, 30, 200)), rng.integers(0, 300, 200), rng.integers(0, 5, 200)], 1)
+    for name, lengths in (("ard", 0.5 + rng.random(6)), ("rbf", [0.8])):
+        m = ModelState(tuple(rng.normal(size=(d, 2)) for d in dims), rng.normal(size=(7, 6)), Kernel(name, lengths, 1.3), 1.0, rng.normal(size=7), "binary")
+        want = m.kernel.gram(m.inputs(index), m.inducing)
+        a = passes.Adjoints(rng.normal(size=(7, 7)), rng.normal(size=7), -0.5)
+        for most in (1 << 20, 8 * 7 * 310, 8 * 7 * 5, 0):  # tables of all modes, of two, of one, of none
+            monkeypatch.setattr(passes, "TABLE_BYTES", most)
+            passes._TABLES.clear()
+            assert np.allclose(passes.kernel_rows(m, index), want, rtol=1e-12)
+            got = passes.cell_gradients(m, a, index, np.ones(200))
+            g = want @ (2 * a.dg) + a.dh
+            dx, dz, dl, da = m.kernel.vjp(m.inputs(index), m.inducing, g)
+            assert np.allclose(got[0], dx) and np.allclose(got[1], dz) and np.allclose(got[2], dl) and np.isclose(got[3], da - 0.5 * 200)
+
+
+def test_packed_cells_lie_by_the_largest_mode(spark):
+    cells = spark.range(3000).select((F.col("id") * 7919 % 1000).alias("i_1"), (F.col("id") % 9).alias("i_2"), F.lit(1.0).alias("y"))
+    kept = TensorFrame(cells, (1000, 9)).distribute(2)
+    for part in kept.packed.glom().collect():
+        at = np.concatenate([np.frombuffer(r[0], np.int64 if len(r[0]) == len(r[2]) else np.int32) for r in part])
+        assert (np.diff(at) >= 0).all()
+    kept.release()
+
+
+def test_nonnegative_cp_and_grams_of_kept_cells_and_negative_values(spark):
+    rng = np.random.default_rng(2)
+    dense = np.where(rng.random((9, 8, 5)) < 0.4, rng.normal(size=(9, 8, 5)), 0.0)
+    rows = [(*map(int, i), float(dense[tuple(i)])) for i in np.argwhere(dense)]
+    t = TensorFrame(spark.createDataFrame(rows, "i_1 long, i_2 long, i_3 long, y double"), dense.shape)
+    kept = t.distribute(3)
+    for k in range(3):
+        flat = np.moveaxis(dense, k, 0).reshape(dense.shape[k], -1)
+        assert np.allclose(multilinear.unfolding_gram(kept, k), flat @ flat.T)
+    positive = t.with_df(t.df.where("y > 0"))
+    for u, v in zip(multilinear.fit_nncp(kept, 2, 3).factors, multilinear.fit_nncp(positive, 2, 3).factors, strict=True):
+        assert np.allclose(u, v)
+    kept.release()
+
+
+def test_the_normal_tail_keeps_its_digits_between_the_middle_and_the_far():
+    assert np.isclose(special.ndtr(-4.9), 4.791832765903199e-07, rtol=1e-13)
+    assert np.isclose(special.log_ndtr(6.0), -9.865876454243e-10, rtol=1e-9)
+    h, log = special.hazard_and_log(np.array([-30.0, -1.0, 0.0, 2.0]))
+    assert np.allclose(h[2], np.sqrt(2 / np.pi), rtol=1e-14) and np.isclose(log[2], np.log(0.5), rtol=1e-14) and np.isclose(h[1], 1.5251352761609812, rtol=1e-13)
