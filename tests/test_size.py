@@ -90,3 +90,12 @@ def test_the_normal_tail_keeps_its_digits_between_the_middle_and_the_far():
     assert np.isclose(special.log_ndtr(6.0), -9.865876454243e-10, rtol=1e-9)
     h, log = special.hazard_and_log(np.array([-30.0, -1.0, 0.0, 2.0]))
     assert np.allclose(h[2], np.sqrt(2 / np.pi), rtol=1e-14) and np.isclose(log[2], np.log(0.5), rtol=1e-14) and np.isclose(h[1], 1.5251352761609812, rtol=1e-13)
+
+
+def test_factors_and_blocks_reach_the_driver_without_rows(spark, monkeypatch):
+    cells = spark.range(900).select((F.col("id") % 30).alias("i_1"), (F.col("id") * 7 % 20).alias("i_2"), (F.col("id") % 3).alias("i_3"), F.lit(1.0).alias("y")).distinct()
+    t = TensorFrame(cells, (30, 20, 3)).distribute(2)
+    monkeypatch.setattr(type(spark.range(0)), "toPandas", None)
+    model = multilinear.fit_sparse_cp(t, 2, 1)
+    assert [u.shape for u in model.factors] == [(30, 2), (20, 2), (3, 2)] and all(np.abs(u).sum(1).all() for u in model.factors)
+    t.release()
