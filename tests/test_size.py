@@ -1,14 +1,19 @@
 """What the large runs rely on, on small tensors."""
 
+import resource
+
 import numpy as np
 from pyspark.sql import functions as F
 
 from flextensor import sampling
 from flextensor.baselines import multilinear
+from flextensor.bounds import gaussian, probit
 from flextensor.exec import passes
+from flextensor.fit import evaluate
 from flextensor.functions import special
 from flextensor.functions.kernels import Kernel
-from flextensor.model import ModelState
+from flextensor.model import ModelState, init_model
+from flextensor.operators import experiments
 from flextensor.tensor import TensorFrame
 
 
@@ -99,3 +104,63 @@ def test_factors_and_blocks_reach_the_driver_without_rows(spark, monkeypatch):
     model = multilinear.fit_sparse_cp(t, 2, 1)
     assert [u.shape for u in model.factors] == [(30, 2), (20, 2), (3, 2)] and all(np.abs(u).sum(1).all() for u in model.factors)
     t.release()
+
+
+def folded_cells(spark):
+    cells = spark.range(3000).select((F.col("id") * 7919 % 700).alias("i_1"), (F.col("id") * 31 % 90).alias("i_2"), (F.col("id") * 17 % 11).alias("i_3"), F.lit(1.0).alias("y")).distinct()
+    t = TensorFrame(cells, (700, 90, 11), "binary")
+    all_ = sampling.kfold(t).persist()
+    return t.with_df(all_), sampling.fold_zeros(t.with_df(all_.select(*t.modes, "y"))).persist()
+
+
+def test_one_draw_gives_every_fold_its_own_zeros(spark):
+    t, zeros = folded_cells(spark)
+    whole = t.with_df(sampling.balanced_folds(t, 5, zeros)).distribute_marked(3)
+    for i in range(5):
+        rows = lambda df: sorted(map(tuple, df.select(*t.modes, "y").collect()))
+        train = t.with_df(t.df.where(F.col("fold") != i).select(*t.modes, "y"))
+        held = zeros.select(*t.modes).unionByName(t.df.where(F.col("fold") == i).select(*t.modes))
+        assert rows(whole.marked(1 << i).df) == rows(train.df)
+        both = whole.marked(1 << i | 1 << 5 + i)
+        assert rows(both.df) == rows(sampling.balanced_sample(train, exclude=held).df)
+        each = lambda state, index, y: np.array([len(y), y.sum(), index.sum()], float)
+        assert np.allclose(passes.map_sum(both, 3, 4, None, each), passes.map_sum(both.with_df(both.df), 3, 4, None, each))
+    whole.release()
+
+
+def test_a_fold_table_prepares_all_folds_at_once(spark, monkeypatch):
+    t, _ = folded_cells(spark)
+    t = t.with_df(t.df.drop("fold"))
+    with monkeypatch.context() as one_by_one:
+        one_by_one.setattr(sampling, "balanced_folds", lambda *a: None)
+        want = sorted(map(tuple, experiments.folds_table(t, ("cp2", "hosvd"), 5).collect()))
+    monkeypatch.setattr(sampling, "balanced_sample", None)
+    got = sorted(map(tuple, experiments.folds_table(t, ("cp2", "hosvd"), 5).collect()))
+    assert [r[:2] for r in got] == [r[:2] for r in want] and np.allclose([r[2] for r in got], [r[2] for r in want])
+
+
+def test_an_evaluation_takes_sums_and_bound_from_the_passes_of_its_steps(spark, monkeypatch):
+    t, _ = folded_cells(spark)
+    t = t.with_df(t.df.select(*t.modes, F.pmod(F.col("i_1") + F.col("i_2"), F.lit(2)).cast("double").alias("y"))).distribute(2)
+    m = init_model(t, 2, 6, "ard")
+    s = passes.suff_stats(t, m)
+    lam, log_phi, _ = probit.fixed_point(t, m, s, m.lam, 1e-6, 4)
+    a, dk = probit.adjoints(m, s, lam)
+    want = gaussian.to_logs(m, gaussian.finish(m, passes.gradient_pass(t, m, a), dk, None))
+    monkeypatch.setattr(passes, "suff_stats", None)
+    monkeypatch.setattr(passes, "gradient_pass", None)
+    value, g, seen = evaluate(t, m, lam_iter=4)
+    assert np.isclose(value, probit.value(m, s, lam, log_phi)) and np.allclose(g, want) and np.allclose(seen.lam, lam)
+    t.release()
+
+
+def test_blocks_reuse_the_memory_of_those_before(spark):
+    def faults(state, index, y):
+        before = resource.getrusage(resource.RUSAGE_SELF).ru_minflt
+        for _ in range(20):
+            np.ones(1 << 19)
+        return np.array([resource.getrusage(resource.RUSAGE_SELF).ru_minflt - before], float)
+
+    t = TensorFrame(spark.range(9).select(F.col("id").alias("i_1"), F.col("id").alias("i_2"), F.lit(1.0).alias("y")), (9, 9)).distribute(1)
+    assert passes.map_sum(t, 1, 4, None, faults)[0] < 3000  # 20 arrays of 4 MB have 20,480 pages
+    t.release()
