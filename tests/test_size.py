@@ -164,3 +164,14 @@ def test_blocks_reuse_the_memory_of_those_before(spark):
     t = TensorFrame(spark.range(9).select(F.col("id").alias("i_1"), F.col("id").alias("i_2"), F.lit(1.0).alias("y")), (9, 9)).distribute(1)
     assert passes.map_sum(t, 1, 4, None, faults)[0] < 3000  # 20 arrays of 4 MB have 20,480 pages
     t.release()
+
+
+def test_training_cells_are_dealt_once(spark, monkeypatch):
+    t, _ = folded_cells(spark)
+    dealt, deal = [], TensorFrame.distribute
+    monkeypatch.setattr(experiments, "TASK_CELLS", 200)
+    monkeypatch.setattr(TensorFrame, "distribute", lambda t, parts: dealt.append(parts) or deal(t, parts))
+    train, balanced, _ = experiments.test_sets(t.with_df(t.df.drop("fold")), 2, 50)
+    assert len(dealt) == 2 and dealt[0] == dealt[1] == -(-train.df.count() // 200) > 8
+    for x in (train, balanced):
+        x.release()
