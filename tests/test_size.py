@@ -175,3 +175,10 @@ def test_training_cells_are_dealt_once(spark, monkeypatch):
     assert len(dealt) == 2 and dealt[0] == dealt[1] == -(-train.df.count() // 200) > 8
     for x in (train, balanced):
         x.release()
+
+
+def test_normal_columns_equal_the_arrays(spark):
+    x = np.arange(-28, 29) / 10.0
+    at = F.col("id") / 10.0 - 2.8
+    got = np.array([tuple(r) for r in spark.range(57).orderBy("id").select(special.ndtr_expr(at), special.log_ndtr_expr(at), special.hazard_expr(at)).collect()]).T
+    assert np.allclose(got, [special.ndtr(x), special.log_ndtr(x), special.hazard(x)], rtol=1e-9)
