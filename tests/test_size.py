@@ -6,7 +6,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from flextensor import sampling
-from flextensor.baselines import multilinear
+from flextensor.baselines import kron, multilinear
 from flextensor.bounds import gaussian, probit
 from flextensor.exec import passes
 from flextensor.fit import evaluate
@@ -182,3 +182,41 @@ def test_normal_columns_equal_the_arrays(spark):
     at = F.col("id") / 10.0 - 2.8
     got = np.array([tuple(r) for r in spark.range(57).orderBy("id").select(special.ndtr_expr(at), special.log_ndtr_expr(at), special.hazard_expr(at)).collect()]).T
     assert np.allclose(got, [special.ndtr(x), special.log_ndtr(x), special.hazard(x)], rtol=1e-9)
+
+
+def test_a_kronecker_gp_by_slices_equals_the_whole_one(monkeypatch):
+    rng = np.random.default_rng(5)
+    dims, bell = (30, 12, 7), Kernel("rbf", [1.0])
+    index = np.unique(np.stack([rng.integers(0, d, 300) for d in dims], 1), axis=0)
+    u = [rng.normal(0, 0.5, (d, 3)) for d in dims]
+    monkeypatch.setattr(kron, "SLICE_CELLS", 200)
+    for binary, noise in ((False, 0.1), (True, 1.0)):
+        y = np.ones(len(index)) if binary else rng.normal(size=len(index))
+        dense = np.zeros(dims)
+        dense[tuple(index.T)] = y
+        target = np.where(dense > 0, 0.8, -0.8) if binary else dense
+        _, want, alpha = kron.value_and_grads(u, bell, noise, target)
+        z = kron.Slices(dims, index, y, binary)
+        dirs, weights, got = kron.bell_step(z, u, bell, noise)
+        f = target - noise * alpha
+        assert len(z.ranges) > 10 and all(np.allclose(a, b, atol=0.02) for a, b in zip(got, want, strict=True))
+        assert np.allclose(kron.mode_apply(dirs, weights), f, atol=1e-3)
+        every = np.argwhere(np.ones(dims))
+        assert np.allclose(kron.BellModel(tuple(u), tuple(dirs), weights, False)(every), f.ravel(), atol=1e-3)
+        if binary:
+            s, z.latent = np.where(dense > 0, 1.0, -1.0), (dirs, weights)
+            assert np.allclose(np.concatenate([z.dense(*r) for r in z.ranges]), f + s * special.hazard(s * f), atol=1e-3)
+
+
+def test_bells_of_many_rows_have_few_directions():
+    u, bell = np.random.default_rng(6).normal(0, 0.5, (3000, 3)), Kernel("ard", [1.0, 1.2, 0.9])
+    dirs, values = kron.bell_directions(u, bell)
+    assert dirs.shape[1] < 600 and np.allclose(dirs.T @ dirs, np.eye(dirs.shape[1]), atol=1e-10)
+    assert np.allclose((dirs[:200] * values) @ dirs.T, bell.gram(u[:200], u), atol=2e-8)
+
+
+def test_every_method_has_a_value_in_tensors_of_many_cells(spark):
+    cells = spark.range(400).select((F.col("id") * 7919 % 300).alias("i_1"), (F.col("id") * 31 % 200).alias("i_2"), (F.col("id") * 17 % 40).alias("i_3"), F.lit(1.0).alias("y")).distinct()
+    t = TensorFrame(cells, (300, 200, 40), "binary")  # 2,400,000 cells
+    rows = experiments.folds_table(t, ("krongp",), 2).collect()
+    assert len(rows) == 2 and all(r.value is not None and 0 <= r.value <= 1 for r in rows)
