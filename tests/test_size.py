@@ -220,3 +220,19 @@ def test_every_method_has_a_value_in_tensors_of_many_cells(spark):
     t = TensorFrame(cells, (300, 200, 40), "binary")  # 2,400,000 cells
     rows = experiments.folds_table(t, ("krongp",), 2).collect()
     assert len(rows) == 2 and all(r.value is not None and 0 <= r.value <= 1 for r in rows)
+
+
+def test_every_cell_of_a_sparse_tensor_is_in_one_fitted_sub_tensor(spark):
+    t = TensorFrame(spark.range(600).select((F.col("id") * 7919 % 1500).alias("i_1"), (F.col("id") * 31 % 90).alias("i_2"), (F.col("id") * 577 % 2000).alias("i_3"), F.lit(1.0).alias("y")), (1500, 90, 2000), "binary")
+    sides = experiments.side(t)
+    blocks = kron.all_blocks(t, sides, 3).toPandas()
+    assert len(blocks) == 600 and 600 / blocks["block_id"].nunique() > 4
+    for k, (b, d) in enumerate(zip(sides, t.dims, strict=True), 1):
+        step = (blocks.groupby("block_id")[f"i_{k}"].nunique() <= b).all()
+        assert step and blocks[f"l_{k}"].between(0, b - 1).all() and blocks.groupby(["block_id", f"l_{k}"])[f"i_{k}"].nunique().max() == 1
+    before = [np.random.default_rng(0).normal(0, 0.5, (1500, 2))]
+    met = blocks["i_1"].unique()
+    for method in ("blockkron", "mixkron"):
+        u = experiments.MISSING_AS_ZERO[method](t, 2).factors[0]
+        moved = (u != before[0]).any(1)
+        assert moved[met].all() and moved.sum() == len(met)
