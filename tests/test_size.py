@@ -236,3 +236,15 @@ def test_every_cell_of_a_sparse_tensor_is_in_one_fitted_sub_tensor(spark):
         u = experiments.MISSING_AS_ZERO[method](t, 2).factors[0]
         moved = (u != before[0]).any(1)
         assert moved[met].all() and moved.sum() == len(met)
+
+
+def test_a_score_comes_from_a_fit_whose_bound_has_settled(spark, monkeypatch):
+    cells = spark.range(80).select((F.col("id") % 10).alias("i_1"), (F.col("id") / 10).cast("long").alias("i_2"), F.sin(F.col("id") * 0.7).alias("y"))
+    t, seen, fit = TensorFrame(cells, (10, 8)).distribute(1), [], experiments.fit
+    monkeypatch.setattr(experiments, "fit", lambda *a, **how: seen.append(fit(*a, **how)) or seen[-1])
+    experiments.score(t, t, t.df, "flexgp", 1, 4).count()
+    values = [v for *_, v in seen[0].trace]
+    assert len(values) > 10 and values[-1] - values[-2] < 1e-7 * max(1.0, abs(values[-2]))
+    for u, v in zip(experiments.MISSING_AS_ZERO["cp"](t, 2).factors, multilinear.fit_cp(t, 2, 20).factors, strict=True):
+        assert np.allclose(u, v)
+    t.release()
